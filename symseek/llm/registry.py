@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from symseek.llm import html_extract, langid, media_ts, quality, sharding, token_counts
+from symseek.llm import html_extract, langid, media_ts, quality, sharding, sp_sampling, substring_dedup, token_counts
 from symseek.llm.common import crc_bucket, table, written
 
 
@@ -35,6 +35,11 @@ def op5_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(table(spark, sf_dir, "pages")).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
 
 
+def op6_sentencepiece_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = sp_sampling.sample(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "draw", F.size("token_ids").alias("n_tokens"), F.xxhash64("token_ids").alias("ids_xxhash64"), "log_prob", "perturbed", "inclusion", "restored")
+
+
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals after three batches over all documents: all inserted; exact copies of a smaller doc_id deleted; of the
     rest, those that repeat a line revised to each line once. Every batch is committed twice, which must count once."""
@@ -56,6 +61,11 @@ def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rollup.totals()
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = substring_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256"))
+
+
 def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     read = media_ts.read_media(media_ts.store_texts(table(spark, sf_dir, "documents")))
     feature = F.format_string("pts=%d..%d;pes=%d;rap=%d;packets=%d;cc=%d", F.col("timestamps")[0], F.element_at("timestamps", -1), F.size("timestamps"), F.size("random_access"), F.col("packets"), F.col("continuity_errors"))
@@ -98,5 +108,26 @@ FROM sums s JOIN placed p ON s.doc_id = p.doc_id
 """
 
 
+#: op8: every window as a string, its smallest document, and the words that no later document's window covers.
+OP8_SQL = r"""
+WITH w AS (
+  SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents
+),
+win AS (
+  SELECT doc_id, i, array_to_string(ws[i : i + 49], ' ') AS s FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 48)) AS i FROM w)
+),
+firsts AS (SELECT s, min(doc_id) AS lo FROM win GROUP BY s HAVING count(DISTINCT doc_id) > 1),
+covered AS (
+  SELECT DISTINCT doc_id, unnest(range(i, i + 50)) AS pos FROM win JOIN firsts USING (s) WHERE lo < doc_id
+),
+words AS (SELECT doc_id, unnest(ws) AS word, unnest(range(1, len(ws) + 1)) AS pos FROM w),
+kept AS (
+  SELECT doc_id, count(*) AS n, string_agg(word, ' ' ORDER BY pos) AS text FROM words ANTI JOIN covered USING (doc_id, pos) GROUP BY doc_id
+)
+SELECT w.doc_id, len(ws)::BIGINT AS n_words, (len(ws) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
+FROM w LEFT JOIN kept ON w.doc_id = kept.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op3_sharding": OP3_SQL}
+    return {"op3_sharding": OP3_SQL, "op8_substring_dedup": OP8_SQL}

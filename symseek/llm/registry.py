@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from symseek.llm import html_extract, langid, media_ts, quality, sharding, sp_sampling, substring_dedup, token_counts
+from symseek.llm import html_extract, langid, media_ts, ngram_join, quality, sharding, sp_sampling, substring_dedup, token_counts
 from symseek.llm.common import crc_bucket, table, written
 
 
@@ -74,6 +74,10 @@ def op9_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_copies(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
 
@@ -129,5 +133,27 @@ FROM w LEFT JOIN kept ON w.doc_id = kept.doc_id
 """
 
 
+#: op10: all pairs with a common shingle, and the smallest document reachable over links.
+OP10_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents
+),
+grams AS (
+  SELECT DISTINCT doc_id, array_to_string(ws[i : i + 2], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 1, 2))) AS i FROM w WHERE len(ws) > 0)
+),
+sizes AS (SELECT doc_id, count(*) AS n FROM grams GROUP BY doc_id),
+links AS (
+  SELECT a.doc_id AS x, b.doc_id AS y FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id <> b.doc_id
+  JOIN sizes m ON m.doc_id = a.doc_id JOIN sizes k ON k.doc_id = b.doc_id WHERE 100 * least(m.n, k.n) >= 90 * greatest(m.n, k.n)
+  GROUP BY a.doc_id, b.doc_id, m.n, k.n HAVING 100 * count(*) >= 90 * (m.n + k.n - count(*))
+),
+reach AS (
+  SELECT doc_id AS x, doc_id AS y FROM w UNION SELECT r.x, l.y FROM reach r JOIN links l ON r.y = l.x
+)
+SELECT w.doc_id, coalesce(s.n, 0)::BIGINT AS n_shingles, (SELECT min(y) FROM reach WHERE reach.x = w.doc_id) AS component_id
+FROM w LEFT JOIN sizes s ON s.doc_id = w.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op3_sharding": OP3_SQL, "op8_substring_dedup": OP8_SQL}
+    return {"op3_sharding": OP3_SQL, "op8_substring_dedup": OP8_SQL, "op10_ngram_jaccard_join": OP10_SQL}

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from symseek.llm import html_extract, langid, media_ts, ngram_join, quality, sharding, sp_sampling, substring_dedup, token_counts
+from symseek.llm import decontaminate, html_extract, langid, media_ts, ngram_join, quality, sharding, sp_sampling, substring_dedup, token_counts
 from symseek.llm.common import crc_bucket, table, written
 
 
@@ -31,6 +31,12 @@ def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
+def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row per document and benchmark item that it holds."""
+    rows = decontaminate.find_items(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return rows.select("doc_id", "item_id", "similarity", "bits_apart", "first_word", "n_words")
+
+
 def op5_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(table(spark, sf_dir, "pages")).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
 

@@ -26,7 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from symseek.llm.common import Words, column_of, list_array, map_texts, records, run_hashes, signed, words_of, written
@@ -164,8 +164,8 @@ def _firsts(strings: DataFrame, width: int) -> DataFrame:
     return strings.mapInArrow(grouped, f"sig binary, firsts array<{kind}>")
 
 
-def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", width: int = WIDTH, seed: int = SEED, hot: int = HOT) -> DataFrame:
-    """key, n_words, n_removed and kept (the words left, joined by one space) of every row, plus `digest` (xxhash64 of the text)."""
+def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", width: int = WIDTH, seed: int = SEED, hot: int = HOT, keep: dict[str, Column] | None = None) -> DataFrame:
+    """key, n_words, n_removed and kept (the words left, joined by one space) of every row, with the columns of `keep`."""
     if not 0 < seed <= width:
         raise ValueError("the seed is at least one word and at most a window")
     docs = df.select(F.col(key).alias("id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"))
@@ -178,7 +178,7 @@ def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", wi
     again = F.filter(F.transform("firsts", lambda x, i: F.when(x < F.col("id"), F.col("start") + i)), lambda x: x.isNotNull())
     repeats = packed.select("sig", "id", "h", "start").join(firsts, "sig").select("id", "h", again.alias("again")).where(F.size("again") > 0)
     gone = repeats.groupBy("id", "h").agg(F.flatten(F.collect_list("again")).alias("gone"))
-    kind = dict(docs.dtypes)["id"]
+    kind, names = dict(docs.dtypes)["id"], list(keep or {})
 
     def step(batch: pa.RecordBatch) -> pa.RecordBatch:
         w = words_of(column_of(batch, "body"))
@@ -199,8 +199,11 @@ def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", wi
             else:
                 kept.append(b" ".join(data[w.starts[a] : w.ends[b - 1]].split()) if b > a else b"")
         return records(
-            id=column_of(batch, "id"), digest=column_of(batch, "h"), n_words=pa.array(w.counts(), pa.int64()), n_removed=pa.array(removed, pa.int64()), kept=pa.array([x.decode() for x in kept], pa.string())
+            id=column_of(batch, "id"), **{n: column_of(batch, n) for n in names}, n_words=pa.array(w.counts(), pa.int64()), n_removed=pa.array(removed, pa.int64()), kept=pa.array([x.decode() for x in kept], pa.string())
         )
 
-    rows = docs.join(gone, ["id", "h"], "left")
-    return map_texts(rows, step, f"id {kind}, digest long, n_words long, n_removed long, kept string", text="body").withColumnRenamed("id", key)
+    whole = df.select(F.col(key).alias("id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"), *[c.alias(n) for n, c in (keep or {}).items()])
+    rows = whole.join(gone, ["id", "h"], "left")
+    kinds = dict(rows.dtypes)
+    schema = ", ".join([f"id {kind}", *[f"`{n}` {kinds[n]}" for n in names], "n_words long, n_removed long, kept string"])
+    return map_texts(rows, step, schema, text="body").withColumnRenamed("id", key)

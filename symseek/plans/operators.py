@@ -1,0 +1,373 @@
+"""Queries for the operators around the methods: sources, joins, aggregates, windows, sets and functions."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.window import Window
+
+from symseek.functions import udfs
+from symseek.operators import baselines, sifter
+from symseek.plans import sqltext as Q
+from symseek.plans.methods import EV_PATTERNS, EVH, LI, ONE, docs, ev_hits, ev_kept, events, lines4, pats
+from symseek.plans.registry import query
+from symseek.sources import streams as S
+
+EVK = Q.sift(EVH, 2)
+ONEK = Q.sift(Q.hits(Q.EVENTS, ONE), 2)
+
+
+def one_kept(t) -> DataFrame:
+    return sifter.sift(events(t), pats(t, [(1, "SVCPE", 2)]))
+
+
+# Sources and streams.
+
+_SCANS = {
+    "region": "r_regionkey, r_name", "nation": "n_nationkey, n_name, n_regionkey", "customer": "c_custkey, c_name, c_nationkey", "supplier": "s_suppkey, s_name, s_nationkey", "part": "p_partkey, p_name, p_size",
+    "orders": "o_orderkey, o_custkey, o_orderstatus", "lineitem": "l_orderkey, l_linenumber, l_quantity", "events": "event_id, user_id, event_type", "documents": "doc_id, lang, n_chars", "embeddings": "vec_id, label",
+    "pages": "page_id, url", "benchmark": "item_id, text", "labels": "doc_id, quality, toxic", "conversations": "conv_id, turn, role",
+}
+for _table, _columns in _SCANS.items():
+    query(f"scan_{_table}", f"SELECT {_columns} FROM {_table}")(lambda t, table=_table, columns=_columns: getattr(t, table).select(*columns.split(", ")))
+
+
+@query("encode_events", "SELECT event_id, translate(upper(substr(event_type, 1, 1)), 'CEPSV', 'abcde') AS sym FROM events WHERE value IS NOT NULL")
+def _(t):
+    return t.events.where(F.col("value").isNotNull()).select("event_id", F.translate(F.upper(F.substring("event_type", 1, 1)), "CEPSV", "abcde").alias("sym"))
+
+
+@query("filter_short_streams", "SELECT stream_id, n FROM (SELECT o_custkey AS stream_id, count(*) AS n FROM orders GROUP BY 1) WHERE n >= 4 AND n BETWEEN 4 AND 20 AND stream_id NOT IN (1, 2)")
+def _(t):
+    built = S.build_streams(t.orders, F.col("o_custkey"), ("o_orderdate", "o_orderkey"), F.col("o_orderstatus"))
+    return built.where((F.col("n") >= 4) & F.col("n").between(4, 20) & ~F.col("stream_id").isin(1, 2)).select("stream_id", "n")
+
+
+@query("build_streams_events", Q.all_of(Q.EVENTS))
+def _(t):
+    return events(t)
+
+
+@query("build_streams_li4", Q.all_of(LI))
+def _(t):
+    return lines4(t)
+
+
+@query("unpack_streams", f"SELECT stream_id, pos, substr(text, (pos + 1)::BIGINT, 1) AS sym FROM (SELECT *, unnest(range(0, n)) AS pos FROM {Q.docs('n_chars <= 200')})")
+def _(t):
+    return S.unpack_streams(docs(t, "n_chars <= 200"))
+
+
+@query("kmer_counts", f"SELECT substr(text, (pos + 1)::BIGINT, 6) AS kmer, count(*) AS n FROM (SELECT *, unnest(range(0, n - 5)) AS pos FROM {LI}) GROUP BY kmer")
+def _(t):
+    grams = F.transform(F.sequence(F.lit(1), F.col("n").cast("int") - 5), lambda i: F.substr("text", i, F.lit(6)))
+    return lines4(t).where("n >= 6").select(F.explode(grams).alias("kmer")).groupBy("kmer").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("kmer_topk", f"SELECT kmer, n FROM (SELECT substr(text, (pos + 1)::BIGINT, 6) AS kmer, count(*) AS n FROM (SELECT *, unnest(range(0, n - 5)) AS pos FROM {LI}) GROUP BY kmer) ORDER BY n DESC, kmer LIMIT 20")
+def _(t):
+    grams = F.transform(F.sequence(F.lit(1), F.col("n").cast("int") - 5), lambda i: F.substr("text", i, F.lit(6)))
+    counts = lines4(t).where("n >= 6").select(F.explode(grams).alias("kmer")).groupBy("kmer").agg(F.count(F.lit(1)).alias("n"))
+    return counts.orderBy(F.desc("n"), "kmer").limit(20)
+
+
+# Joins.
+
+_ORDER_KEPT = Q.sift(Q.hits(Q.ORDERS, Q.patterns([(0, "FOF", 1)])), 1)
+
+
+def _order_kept(t) -> DataFrame:
+    built = S.build_streams(t.orders, F.col("o_custkey"), ("o_orderdate", "o_orderkey"), F.col("o_orderstatus"))
+    return sifter.sift(built, pats(t, [(0, "FOF", 1)]), number=False)
+
+
+@query("occ_by_nation", f"SELECT n_name, count(*) AS kept FROM {_ORDER_KEPT} k JOIN customer ON c_custkey = stream_id JOIN nation ON n_nationkey = c_nationkey GROUP BY n_name")
+def _(t):
+    met = _order_kept(t).join(t.customer.hint("shuffle_hash"), F.col("stream_id") == F.col("c_custkey")).join(F.broadcast(t.nation), F.col("c_nationkey") == F.col("n_nationkey"))
+    return met.groupBy("n_name").agg(F.count(F.lit(1)).alias("kept"))
+
+
+@query("occ_with_orders", f"SELECT stream_id, start, len, dist, o_orderkey FROM {_ORDER_KEPT} k JOIN (SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) - 1 AS pos FROM orders) o ON o_custkey = stream_id AND pos = start")
+def _(t):
+    placed = t.orders.select("o_custkey", "o_orderkey", (F.row_number().over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")) - 1).cast("long").alias("pos"))
+    kept = _order_kept(t)
+    return kept.join(placed.hint("merge"), (F.col("o_custkey") == F.col("stream_id")) & (F.col("pos") == F.col("start"))).select("stream_id", "start", "len", "dist", "o_orderkey")
+
+
+@query("fuzzy_join_parts", """WITH p AS (SELECT p_partkey, p_name FROM part) SELECT a.p_partkey AS left_key, b.p_partkey AS right_key, levenshtein(a.p_name, b.p_name)::INTEGER AS dist
+FROM p a JOIN p b ON a.p_partkey < b.p_partkey AND abs(length(a.p_name) - length(b.p_name)) <= 1 AND levenshtein(a.p_name, b.p_name) <= 1""")
+def _(t):
+    """Pairs of names within one edit: one of two halves is unchanged, up to a shift by one, so equal halves find all of them."""
+    p = t.part.select("p_partkey", "p_name").withColumn("n", F.char_length("p_name"))
+    half = F.floor(F.col("n") / 2).cast("int")
+    left = p.select("p_partkey", "p_name", "n", F.explode(F.array(F.struct(F.lit(0).alias("at"), F.col("n").alias("of"), F.substr("p_name", F.lit(1), half).alias("piece")), F.struct(F.lit(1).alias("at"), F.col("n").alias("of"), F.substr("p_name", half + 1, F.col("n")).alias("piece")))).alias("key"))
+    # the other name's piece for each of the three lengths that the first name can have
+    m = F.explode(F.transform(F.array(F.lit(-1), F.lit(0), F.lit(1)), lambda d: F.col("n") + d)).alias("m")
+    right = p.select("p_partkey", "p_name", "n", m).where("m > 0").withColumn("h", F.floor(F.col("m") / 2).cast("int"))
+    keys = F.array(F.struct(F.lit(0).alias("at"), F.col("m").alias("of"), F.substr("p_name", F.lit(1), F.col("h")).alias("piece")), F.struct(F.lit(1).alias("at"), F.col("m").alias("of"), F.substr("p_name", F.col("n") - (F.col("m") - F.col("h")) + 1, F.col("n")).alias("piece")))
+    right = right.where("n - (m - h) >= 0").select(F.col("p_partkey").alias("right_key"), F.col("p_name").alias("right_name"), F.explode(keys).alias("key"))
+    met = left.join(right, "key").select(F.col("p_partkey").alias("a"), F.col("p_name").alias("a_name"), F.col("right_key").alias("b"), F.col("right_name").alias("b_name")).where("a <> b")
+    near = met.select(F.least("a", "b").alias("left_key"), F.greatest("a", "b").alias("right_key"), F.levenshtein("a_name", "b_name", 1).alias("dist")).where("dist >= 0")
+    return near.distinct()
+
+
+@query("asof_last_event", "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, o_orderkey AS last_order FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_suppkey AS k FROM lineitem WHERE l_linenumber = 1) l ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_orderkey) AS o_orderkey FROM orders GROUP BY ALL) o ON l.k = o.o_custkey AND l.l_shipdate >= o.o_orderdate")
+def _(t):
+    """The latest order of the customer with the supplier's number, at or before each first line's shipment: both sides in one order of time."""
+    lines = t.lineitem.where("l_linenumber = 1").select(F.col("l_suppkey").alias("k"), F.col("l_shipdate").alias("at"), F.lit(1).alias("side"), F.struct("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate").alias("line"), F.lit(None).cast("long").alias("o"))
+    placed = t.orders.groupBy(F.col("o_custkey").alias("k"), F.col("o_orderdate").alias("at")).agg(F.max("o_orderkey").alias("o")).select("k", "at", F.lit(0).alias("side"), F.lit(None).cast(lines.schema["line"].dataType).alias("line"), "o")
+    last = F.last("o", ignorenulls=True).over(Window.partitionBy("k").orderBy("at", "side").rowsBetween(Window.unboundedPreceding, 0))
+    return lines.unionByName(placed).withColumn("last_order", last).where("side = 1").select("line.*", "last_order")
+
+
+_STRICT = Q.sift(Q.hits(Q.EVENTS, Q.patterns([(1, "SVCPE", 1)])), 1)
+
+
+@query("streams_with_hit", f"SELECT stream_id, n FROM {Q.EVENTS} WHERE stream_id IN (SELECT stream_id FROM {_STRICT})")
+def _(t):
+    return events(t).join(sifter.sift(events(t), pats(t, [(1, "SVCPE", 1)]), number=False), "stream_id", "left_semi").select("stream_id", "n")
+
+
+@query("streams_without_hit", f"SELECT stream_id, n FROM {Q.EVENTS} WHERE stream_id NOT IN (SELECT stream_id FROM {_STRICT})")
+def _(t):
+    return events(t).join(sifter.sift(events(t), pats(t, [(1, "SVCPE", 1)]), number=False), "stream_id", "left_anti").select("stream_id", "n")
+
+
+@query("counts_all_streams", f"SELECT s.stream_id, count(k.start) AS kept FROM {Q.EVENTS} s LEFT JOIN {_STRICT} k ON s.stream_id = k.stream_id GROUP BY s.stream_id")
+def _(t):
+    kept = sifter.sift(events(t), pats(t, [(1, "SVCPE", 1)]), number=False).groupBy("stream_id").agg(F.count(F.lit(1)).alias("kept"))
+    return events(t).join(kept, "stream_id", "left").select("stream_id", F.coalesce("kept", F.lit(0)).alias("kept"))
+
+
+# Aggregates.
+
+
+@query("occ_stats", f"SELECT pattern_id, count(*) AS n, sum(len)::BIGINT AS total, min(start) AS first, max(start) AS last, round(avg(dist), 6) AS mean_dist, count(DISTINCT stream_id) AS streams, round(stddev_samp(len), 6) AS len_spread FROM {EVK} GROUP BY pattern_id")
+def _(t):
+    return ev_kept(t).groupBy("pattern_id").agg(
+        F.count(F.lit(1)).alias("n"), F.sum("len").alias("total"), F.min("start").alias("first"), F.max("start").alias("last"), F.round(F.avg("dist"), 6).alias("mean_dist"),
+        F.countDistinct("stream_id").alias("streams"), F.round(F.stddev_samp("len"), 6).alias("len_spread"),
+    )
+
+
+@query("occ_rollup", f"SELECT pattern_id, dist, count(*) AS n FROM {EVK} GROUP BY ROLLUP (pattern_id, dist)")
+def _(t):
+    return ev_kept(t).rollup("pattern_id", "dist").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("occ_cube", "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY CUBE (lang, source)")
+def _(t):
+    return t.documents.cube("lang", "source").agg(F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars"))
+
+
+@query("occ_grouping_sets", f"SELECT pattern_id, dist, grouping_id(pattern_id, dist)::BIGINT AS level, count(*) AS n FROM {EVK} GROUP BY GROUPING SETS ((pattern_id, dist), (dist), ())")
+def _(t):
+    sets = [[F.col("pattern_id"), F.col("dist")], [F.col("dist")], []]
+    return ev_kept(t).groupingSets(sets, "pattern_id", "dist").agg(F.grouping_id("pattern_id", "dist").alias("level"), F.count(F.lit(1)).alias("n"))
+
+
+@query("delay_quantiles", f"SELECT pattern_id, round(quantile_cont(decided_at - start + 1, 0.5), 6) AS median, round(quantile_cont(decided_at - start + 1, 0.9), 6) AS p90, round(covar_samp(len, dist), 6) AS len_dist, round(regr_slope(decided_at, start), 6) AS slope, bool_or(dist = 0) AS any_exact, max(decided_at - start + 1) AS longest FROM {EVK} GROUP BY pattern_id")
+def _(t):
+    delay = F.col("decided_at") - F.col("start") + 1
+    return ev_kept(t).groupBy("pattern_id").agg(
+        F.round(F.percentile(delay, 0.5), 6).alias("median"), F.round(F.percentile(delay, 0.9), 6).alias("p90"), F.round(F.covar_samp("len", "dist"), 6).alias("len_dist"),
+        F.round(F.regr_slope("decided_at", "start"), 6).alias("slope"), F.bool_or(F.col("dist") == 0).alias("any_exact"), F.max(delay).alias("longest"),
+    )
+
+
+# Windows.
+
+_BY_STREAM = Window.partitionBy("stream_id", "pattern_id").orderBy("start", "len")
+
+
+@query("rank_occ_per_stream", f"""SELECT stream_id, start, row_number() OVER w AS rn, rank() OVER d AS rk, dense_rank() OVER d AS dr, ntile(4) OVER w AS quarter, round(percent_rank() OVER d, 6) AS pr, round(cume_dist() OVER d, 6) AS cd
+FROM {ONEK} WINDOW w AS (PARTITION BY stream_id, pattern_id ORDER BY start, len), d AS (PARTITION BY stream_id, pattern_id ORDER BY dist)""")
+def _(t):
+    by_dist = Window.partitionBy("stream_id", "pattern_id").orderBy("dist")
+    return one_kept(t).select(
+        "stream_id", "start", F.row_number().over(_BY_STREAM).cast("long").alias("rn"), F.rank().over(by_dist).cast("long").alias("rk"), F.dense_rank().over(by_dist).cast("long").alias("dr"), F.ntile(4).over(_BY_STREAM).cast("long").alias("quarter"),
+        F.round(F.percent_rank().over(by_dist), 6).alias("pr"), F.round(F.cume_dist().over(by_dist), 6).alias("cd"),
+    )
+
+
+@query("occ_gaps", f"""SELECT stream_id, start, start - lag(start + len) OVER w AS gap, lead(dist) OVER w AS next_dist, first_value(start) OVER w AS first_start, nth_value(start, 2) OVER w AS second_start
+FROM {ONEK} WINDOW w AS (PARTITION BY stream_id, pattern_id ORDER BY start, len)""")
+def _(t):
+    return one_kept(t).select(
+        "stream_id", "start", (F.col("start") - F.lag(F.col("start") + F.col("len")).over(_BY_STREAM)).alias("gap"), F.lead("dist").over(_BY_STREAM).alias("next_dist"),
+        F.first_value("start").over(_BY_STREAM).alias("first_start"), F.nth_value("start", 2).over(_BY_STREAM).alias("second_start"),
+    )
+
+
+@query("moving_hit_rate", f"SELECT stream_id, start, count(*) OVER (PARTITION BY stream_id ORDER BY start RANGE BETWEEN 10 PRECEDING AND CURRENT ROW) AS near, sum(dist) OVER (PARTITION BY stream_id ORDER BY start, len ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS recent FROM {ONEK}")
+def _(t):
+    near = Window.partitionBy("stream_id").orderBy("start").rangeBetween(-10, 0)
+    return one_kept(t).select("stream_id", "start", F.count(F.lit(1)).over(near).alias("near"), F.sum("dist").over(Window.partitionBy("stream_id").orderBy("start", "len").rowsBetween(-2, 0)).alias("recent"))
+
+
+@query("top_streams", f"SELECT stream_id, count(*) AS kept FROM {EVK} GROUP BY stream_id ORDER BY kept DESC, stream_id LIMIT 10 OFFSET 5")
+def _(t):
+    return ev_kept(t, number=False).groupBy("stream_id").agg(F.count(F.lit(1)).alias("kept")).orderBy(F.desc("kept"), "stream_id").offset(5).limit(10)
+
+
+@query("topk_per_pattern", f"SELECT pattern_id, stream_id, kept FROM (SELECT *, row_number() OVER (PARTITION BY pattern_id ORDER BY kept DESC, stream_id) AS nth FROM (SELECT pattern_id, stream_id, count(*) AS kept FROM {EVK} GROUP BY ALL)) WHERE nth <= 3")
+def _(t):
+    counts = ev_kept(t, number=False).groupBy("pattern_id", "stream_id").agg(F.count(F.lit(1)).alias("kept"))
+    return counts.withColumn("nth", F.row_number().over(Window.partitionBy("pattern_id").orderBy(F.desc("kept"), "stream_id"))).where("nth <= 3").drop("nth")
+
+
+# Sets of end positions: what one method has and another hasn't.
+
+_ENDS = f'SELECT stream_id, pattern_id, "end" FROM {Q.ends(EVH)}'
+_KEPT_ENDS = f'SELECT stream_id, pattern_id, start + len - 1 AS "end" FROM {EVK}'
+
+
+def _ends(t) -> tuple[DataFrame, DataFrame]:
+    kept = ev_kept(t, number=False)
+    return baselines.free_start_ends(events(t), pats(t, EV_PATTERNS)).select("stream_id", "pattern_id", "end"), kept.select("stream_id", "pattern_id", (F.col("start") + F.col("len") - 1).alias("end"))
+
+
+@query("ends_minus_kept", f"{_ENDS} EXCEPT {_KEPT_ENDS}")
+def _(t):
+    ends, kept = _ends(t)
+    return ends.subtract(kept)
+
+
+@query("ends_intersect", f"{_ENDS} INTERSECT {_KEPT_ENDS}")
+def _(t):
+    ends, kept = _ends(t)
+    return ends.intersect(kept)
+
+
+@query("methods_union", f"{_ENDS} UNION {_KEPT_ENDS}")
+def _(t):
+    ends, kept = _ends(t)
+    return ends.unionByName(kept).distinct()
+
+
+@query("ends_except_all", f'SELECT stream_id, start + len - 1 AS "end" FROM {EVH} EXCEPT ALL SELECT stream_id, start + len - 1 AS "end" FROM {EVK}')
+def _(t):
+    last = (F.col("start") + F.col("len") - 1).alias("end")
+    return ev_hits(t).select("stream_id", last).exceptAll(ev_kept(t, number=False).select("stream_id", last))
+
+
+# Functions.
+
+
+@query("string_functions", """SELECT p_partkey, upper(p_name) AS u, lower(p_brand) AS l, length(p_name)::INTEGER AS n, reverse(p_name) AS r, repeat('ab', 2) AS rep, lpad(p_brand, 12, '.') AS lp, rpad(p_brand, 12, '.') AS rp, instr(p_name, 'a')::INTEGER AS at,
+regexp_replace(p_name, '[aeiou]', '_', 'g') AS masked, regexp_extract(p_brand, '([0-9]+)', 1) AS digits, split_part(p_type, ' ', 1) AS word, concat_ws('|', p_brand, p_type) AS both, ascii(p_name)::INTEGER AS a, chr((65 + p_partkey % 26)::INTEGER) AS c, translate(p_name, 'abc', 'xyz') AS tr FROM part""")
+def _(t):
+    return t.part.select(
+        "p_partkey", F.upper("p_name").alias("u"), F.lower("p_brand").alias("l"), F.length("p_name").alias("n"), F.reverse("p_name").alias("r"), F.repeat(F.lit("ab"), 2).alias("rep"), F.lpad("p_brand", 12, ".").alias("lp"),
+        F.rpad("p_brand", 12, ".").alias("rp"), F.locate("a", "p_name").alias("at"), F.regexp_replace("p_name", "[aeiou]", "_").alias("masked"), F.regexp_extract("p_brand", "([0-9]+)", 1).alias("digits"),
+        F.split("p_type", " ")[0].alias("word"), F.concat_ws("|", "p_brand", "p_type").alias("both"), F.ascii("p_name").alias("a"), F.char((65 + F.col("p_partkey") % 26).cast("int")).alias("c"), F.translate("p_name", "abc", "xyz").alias("tr"),
+    )
+
+
+@query("date_functions", """SELECT o_orderkey, year(o_orderdate)::INTEGER AS y, month(o_orderdate)::INTEGER AS m, date_diff('day', TIMESTAMP '1992-01-01', o_orderdate)::INTEGER AS days, date_trunc('month', o_orderdate)::DATE AS first_day, (o_orderdate + INTERVAL 30 DAY)::DATE AS due, date_part('quarter', o_orderdate)::INTEGER AS q FROM orders""")
+def _(t):
+    at = F.col("o_orderdate")
+    return t.orders.select(
+        "o_orderkey", F.year(at).alias("y"), F.month(at).alias("m"), F.datediff(at, F.lit("1992-01-01").cast("date")).alias("days"), F.trunc(at.cast("date"), "month").alias("first_day"),
+        (at + F.expr("INTERVAL 30 DAY")).cast("date").alias("due"), F.extract(F.lit("quarter"), at).cast("int").alias("q"),
+    )
+
+
+@query("math_functions", """SELECT l_orderkey, l_linenumber, l_partkey, greatest(l_quantity, 10.0) AS g, least(l_quantity, 10.0) AS l, abs(l_discount - 0.05) AS a, ((l_partkey % 7) + 7) % 7 AS pm, floor(l_extendedprice)::BIGINT AS f, ceil(l_extendedprice)::BIGINT AS c, round(log2(l_quantity), 6) AS lg, round(pow(l_quantity, 2), 6) AS p, l_partkey << 2 AS sl, l_partkey >> 1 AS sr, l_partkey & 7 AS b FROM lineitem""")
+def _(t):
+    return t.lineitem.select(
+        "l_orderkey", "l_linenumber", "l_partkey", F.greatest("l_quantity", F.lit(10.0)).alias("g"), F.least("l_quantity", F.lit(10.0)).alias("l"), F.abs(F.col("l_discount") - 0.05).alias("a"), F.pmod("l_partkey", F.lit(7)).alias("pm"),
+        F.floor("l_extendedprice").alias("f"), F.ceil("l_extendedprice").alias("c"), F.round(F.log2("l_quantity"), 6).alias("lg"), F.round(F.pow("l_quantity", F.lit(2)), 6).alias("p"),
+        F.shiftleft("l_partkey", 2).alias("sl"), F.shiftright("l_partkey", 1).alias("sr"), F.col("l_partkey").bitwiseAND(7).alias("b"),
+    )
+
+
+_CODES = "(SELECT stream_id, list_transform(string_split(substr(text, 1, 12), ''), lambda c: ascii(c)::INTEGER) AS a FROM " + Q.EVENTS + ")"
+
+
+@query("array_functions", f"""SELECT stream_id, list_transform(a, lambda x: x + 1) AS more, list_filter(a, lambda x: x > 70) AS large, list_sum(a)::BIGINT AS total, a[2:4] AS part, list_sort(a) AS sorted, list_has_any(a, [67, 86]) AS has, list_position(a, 80)::BIGINT AS at, list_sort(list_distinct(a)) AS once FROM {_CODES}""")
+def _(t):
+    a = F.transform(F.filter(F.split(F.substring("text", 1, 12), ""), lambda c: c != ""), lambda c: F.ascii(c))
+    return events(t).select("stream_id", a.alias("a")).select(
+        "stream_id", F.transform("a", lambda x: x + 1).alias("more"), F.filter("a", lambda x: x > 70).alias("large"), F.aggregate("a", F.lit(0).cast("long"), lambda s, x: s + x).alias("total"), F.slice("a", 2, 3).alias("part"),
+        F.array_sort("a").alias("sorted"), F.arrays_overlap("a", F.array(F.lit(67), F.lit(86))).alias("has"), F.nullif(F.array_position("a", 80), F.lit(0).cast("long")).alias("at"), F.array_sort(F.array_distinct("a")).alias("once"),
+    )
+
+
+@query("motif_map", f"SELECT stream_id, pattern_id, count(*) * 10 AS tenfold FROM {EVK} GROUP BY ALL HAVING count(*) >= 2")
+def _(t):
+    counts = ev_kept(t, number=False).groupBy("stream_id", "pattern_id").agg(F.count(F.lit(1)).alias("n"))
+    found = counts.groupBy("stream_id").agg(F.map_from_entries(F.collect_list(F.struct("pattern_id", "n"))).alias("m"))
+    often = F.map_filter(F.transform_values("m", lambda k, v: v * 10), lambda k, v: v >= 20)
+    return found.select("stream_id", F.explode(F.map_entries(often)).alias("e")).select("stream_id", "e.key", "e.value").withColumnsRenamed({"key": "pattern_id", "value": "tenfold"})
+
+
+@query("json_props", "SELECT event_id, (props ->> '$.k')::BIGINT AS k, (props ->> '$.k')::BIGINT + 1 AS more FROM events")
+def _(t):
+    return t.events.select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), (F.from_json("props", "k long")["k"] + 1).alias("more"))
+
+
+@query("embedding_letters", Q.all_of(Q.EMBEDDINGS))
+def _(t):
+    from symseek.plans.methods import embeddings
+
+    return embeddings(t)
+
+
+# SQL, Python functions.
+
+
+@query("sql_recursive_count", f"SELECT stream_id, length(text) - length(replace(text, 'E', '')) AS n FROM {Q.EVENTS}")
+def _(t):
+    """A recursive query in Spark's own SQL: occurrences of a letter, one a step."""
+    events(t).select("stream_id", "text").createOrReplaceTempView("symseek_streams")
+    return t.spark.sql("""
+        WITH RECURSIVE steps(stream_id, rest, n) AS (
+          SELECT stream_id, text, 0L FROM symseek_streams
+          UNION ALL
+          SELECT stream_id, substr(rest, instr(rest, 'E') + 1), n + 1 FROM steps WHERE instr(rest, 'E') > 0)
+        SELECT stream_id, max(n) AS n FROM steps GROUP BY stream_id""")
+
+
+@query("udtf_scan", f"SELECT stream_id, start, len, dist, decided_at FROM {ONEK}")
+def _(t):
+    udfs.register(t.spark)
+    events(t).createOrReplaceTempView("symseek_streams")
+    return t.spark.sql("SELECT stream_id, start, len, dist, decided_at FROM symseek_streams, LATERAL scan_pattern(text, 'SVCPE', 2)")
+
+
+@query("udaf_kept_count", f"SELECT stream_id, pattern_id, count(*) AS kept FROM {EVK} GROUP BY ALL")
+def _(t):
+    return ev_hits(t).groupBy("stream_id", "pattern_id").agg(udfs.kept_count(F.col("start"), F.col("len"), F.col("dist")).alias("kept"))
+
+
+@query("udf_edit_profile", f"SELECT stream_id, [count(*) FILTER (WHERE dist = 0)::INTEGER, count(*) FILTER (WHERE dist = 1)::INTEGER, count(*) FILTER (WHERE dist = 2)::INTEGER] AS profile FROM {Q.hits(Q.EVENTS, ONE)} GROUP BY stream_id")
+def _(t):
+    rows = events(t).select("stream_id", udfs.edit_profile(F.col("text"), F.lit("SVCPE"), F.lit(2)).alias("profile"))
+    return rows.where(F.exists("profile", lambda x: x > 0))
+
+
+# Windows of time, in batch form.
+
+
+@query("hits_tumbling", "SELECT epoch(time_bucket(INTERVAL 1 HOUR, ts))::BIGINT AS w_start, count(*) AS n FROM events WHERE event_type = 'error' GROUP BY 1")
+def _(t):
+    rows = t.events.where("event_type = 'error'").withColumn("at", F.col("ts").cast("timestamp"))
+    return rows.groupBy(F.window("at", "1 hour")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_timestamp("window.start").alias("w_start"), "n")
+
+
+@query("hits_sliding", "SELECT s AS w_start, count(*) AS n FROM (SELECT unnest([epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT, epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT - 1800]) AS s FROM events WHERE event_type = 'error') GROUP BY 1")
+def _(t):
+    rows = t.events.where("event_type = 'error'").withColumn("at", F.col("ts").cast("timestamp"))
+    return rows.groupBy(F.window("at", "1 hour", "30 minutes")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_timestamp("window.start").alias("w_start"), "n")
+
+
+@query("hits_session", """SELECT user_id, session, count(*) AS n FROM (
+  SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (
+    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY ALL""")
+def _(t):
+    rows = t.events.withColumn("at", F.col("ts").cast("timestamp"))
+    found = rows.groupBy("user_id", F.session_window("at", "30 minutes")).agg(F.count(F.lit(1)).alias("n"))
+    return found.select("user_id", F.row_number().over(Window.partitionBy("user_id").orderBy("session_window.start")).cast("long").alias("session"), "n")
+
+

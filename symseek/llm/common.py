@@ -5,6 +5,7 @@ All hashes here are stable across processes and machines: they depend on the byt
 
 from __future__ import annotations
 
+import ctypes
 import posixpath
 import uuid
 from collections.abc import Callable, Iterator
@@ -16,7 +17,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Text bytes that one numpy step looks at; longer texts form a step of their own.
-SLICE_BYTES = 1 << 20
+SLICE_BYTES = 1 << 18
+#: Rows of one transfer between the JVM and Python: with texts of some kilobytes, a few megabytes.
+BATCH_ROWS = 1_000
 
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _BASE = 0x5851F42D4C957F2D
@@ -138,10 +141,28 @@ def map_texts(df: DataFrame, step: Callable[[pa.RecordBatch], pa.RecordBatch], s
             if batch.num_rows:
                 for piece in byte_slices(batch, text, limit):
                     yield step(piece)
+        give_back()
 
+    small_batches(df.sparkSession)
     return df.mapInArrow(pieces, schema)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Let the session send texts to Python in batches of at most BATCH_ROWS rows. A lower setting stays."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name, "10000")) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
+def give_back() -> None:
+    """Return memory that this worker holds but doesn't use, as workers are reused from task to task."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps its own counsel
+        pass
+
+
 def column_of(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 

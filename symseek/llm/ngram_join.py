@@ -6,10 +6,12 @@ table of counts, with different roundings of the counts and different tie-breaks
 every order; only then its sets are compared, exactly.
 
 1. Documents with equal sets are one vertex; they link with each other.
-2. A pass over all documents counts n-grams in 2**20 buckets (a fixed size, so it may be broadcast). A bucket's count only
+2. A pass over all documents counts n-grams in 2**22 buckets (a fixed size, so it may be broadcast). A bucket's count only
    orders; any table gives right results.
-3. Prefix n-grams under the first order are shuffled; those of one set only are dropped. Within the rest, candidates of fitting sizes
-   are joined to clusters: all pairs for small groups, a chain through the sizes for larger ones.
+3. Prefix n-grams under the first order are shuffled; those of one set only are dropped. Pairs of fitting sizes are counted over
+   groups of up to `small` sets; both prefixes hold so few of the n-grams that linked sets must share many of these (`least_shared`).
+   Larger groups can't be expanded into pairs; their n-grams count as shared by any two of their sets, which a chain through
+   the sizes joins. Both kinds of candidates make clusters.
 4. The sets of a cluster meet in a task. Clusters over `block` sets are cut in blocks, each pair of which is a task, so no task's
    memory grows with a cluster. In a task the filters of all orders are intersected, and the remaining pairs verified.
    A task returns a spanning forest of its links: as many edges as vertices, never all pairs.
@@ -26,16 +28,16 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from symseek.llm.common import LOWER_ASCII, PLAIN_WORD, byte_slices, column_of, map_texts, mix64, records, run_hashes, signed, span_hashes, words_of, written
+from symseek.llm.common import LOWER_ASCII, PLAIN_WORD, byte_slices, column_of, give_back, map_texts, mix64, records, run_hashes, signed, small_batches, span_hashes, words_of, written
 from symseek.llm.connected import components
 
-_COUNT_BITS = 20
+_COUNT_BITS = 22
 _COUNT_SLICES = 64
-_SMALL = 24
+_SMALL = 48
 
 
 def gram_sets(texts: pa.Array, n: int) -> list[np.ndarray]:
@@ -76,12 +78,12 @@ def _survey(docs: DataFrame, n: int) -> DataFrame:
     """id, n, s1, s2 of each document (its set's size and two sums that identify it), and each task's bucket counts in slices."""
 
     def facts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros(1 << _COUNT_BITS, np.int64)
+        counts = np.zeros(1 << _COUNT_BITS, np.int32)
         for batch in batches:
             for part in byte_slices(batch, "body") if batch.num_rows else ():
                 sets = gram_sets(column_of(part, "body"), n)
                 every = np.concatenate(sets)
-                counts += np.bincount((every >> np.uint64(64 - _COUNT_BITS)).astype(np.int64), minlength=len(counts))
+                np.add.at(counts, (every >> np.uint64(64 - _COUNT_BITS)).astype(np.int64), 1)
                 sizes = np.array([len(s) for s in sets])
                 ends = np.cumsum(sizes)
                 sums = [np.append(np.uint64(0), np.cumsum(mix64(every ^ np.uint64(salt)), dtype=np.uint64)) for salt in (0x0123456789ABCDEF, 0x5DEECE66D)]
@@ -89,9 +91,10 @@ def _survey(docs: DataFrame, n: int) -> DataFrame:
                 none = {"slice": pa.nulls(len(sets), pa.int32()), "counts": pa.nulls(len(sets), pa.binary())}
                 yield records(id=column_of(part, "id"), n=pa.array(sizes, pa.int32()), s1=s1, s2=s2, **none)
         if counts.any():
-            parts = counts.astype(np.int32).reshape(_COUNT_SLICES, -1)
+            parts = np.minimum(counts, 65535).astype(np.uint16).reshape(_COUNT_SLICES, -1)  # a larger count orders as well
             none = {c: pa.nulls(_COUNT_SLICES, kind) for c, kind in (("id", id_type), ("n", pa.int32()), ("s1", pa.int64()), ("s2", pa.int64()))}
             yield records(**none, slice=pa.array(range(_COUNT_SLICES), pa.int32()), counts=pa.array([p.tobytes() for p in parts], pa.binary()))
+        give_back()
 
     kind = dict(docs.dtypes)["id"]
     id_type = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
@@ -105,7 +108,7 @@ def _codes(surveyed: DataFrame) -> np.ndarray:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for number, counts in zip(column_of(batch, "slice").to_pylist(), column_of(batch, "counts").to_pylist(), strict=True):
-                own = np.frombuffer(counts, np.int32).astype(np.int64)
+                own = np.frombuffer(counts, np.uint16).astype(np.int64)
                 sums[number] = sums[number] + own if number in sums else own
         if sums:
             yield records(slice=pa.array(list(sums), pa.int32()), codes=pa.array([np.minimum(4 * np.log2(1.0 + s), 255).astype(np.uint8).tobytes() for s in sums.values()], pa.binary()))
@@ -137,12 +140,21 @@ def _prefix_rows(docs: DataFrame, codes: Callable[[], np.ndarray], n: int, perce
                         sizes.append(np.full(len(head), len(own), np.int32))
                 if grams:
                     yield records(gram=signed(np.concatenate(grams)), s1=signed(np.concatenate(s1)), id=column_of(part, "id").take(pa.array(np.concatenate(of))), n=np.concatenate(sizes))
+        give_back()
 
     return docs.mapInArrow(rows, f"gram long, s1 long, id {dict(docs.dtypes)['id']}, n int")
 
 
-def _candidates(shared: DataFrame, percent: int) -> DataFrame:
-    """a, b: edges that connect all sets of fitting sizes with a common prefix n-gram. Input: gram, id, n with one row per set, sorted by gram and n."""
+def least_shared(a: Column, b: Column, percent: int) -> Column:
+    """How many n-grams the prefixes of linked sets of sizes a and b share at least. All n-grams that both sets have, but for those shared
+    by the prefixes, lie behind the prefix that ends first in the order, so they are at most as many as that set has behind its prefix."""
+    behind = lambda n: F.ceil(n * percent / 100) - 1
+    return F.greatest(F.ceil((a + b) * percent / (100 + percent)) - F.greatest(behind(a), behind(b)), F.lit(1))
+
+
+def _group_edges(shared: DataFrame, percent: int, *, pairs: bool) -> DataFrame:
+    """a, b, a_n, b_n from groups of sets with a common prefix n-gram. Input: gram, id, n with one row per set, sorted by gram, n and id.
+    pairs: all pairs of fitting sizes, once for each common n-gram; else neighbours in size only."""
     kind = dict(shared.dtypes)["id"]
 
     def edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -152,7 +164,10 @@ def _candidates(shared: DataFrame, percent: int) -> DataFrame:
                 batch = pa.Table.from_batches([rest, batch]).combine_chunks().to_batches()[0]
             gram = column_of(batch, "gram").to_numpy()
             cut = int(np.searchsorted(gram, gram[-1], "left")) if len(gram) else 0
-            rest = batch.slice(cut)
+            if cut or pairs:
+                rest = batch.slice(cut)
+            else:  # a group longer than a batch: its chain goes on from its last row
+                cut, rest = len(gram), batch.slice(max(len(gram) - 1, 0))
             if cut:
                 yield from emit(batch.slice(0, cut))
         if rest is not None and rest.num_rows:
@@ -160,21 +175,29 @@ def _candidates(shared: DataFrame, percent: int) -> DataFrame:
 
     def emit(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         gram, n = column_of(batch, "gram").to_numpy(), column_of(batch, "n").to_numpy().astype(np.int64)
-        size = np.diff(np.append(np.flatnonzero(np.append(True, gram[1:] != gram[:-1])), len(gram)))
-        group = np.repeat(np.arange(len(size)), size)
-        left, right = [], []
-        for step in range(1, _SMALL):
+        ids = column_of(batch, "id")
+        for step in range(1, len(gram) if pairs else 2):
             a = np.arange(len(gram) - step)
-            a = a[(group[a] == group[a + step]) & (100 * n[a] >= percent * n[a + step]) & ((size[group[a]] <= _SMALL) if step > 1 else True)]
+            a = a[gram[a] == gram[a + step]]
             if not len(a):
                 break
-            left.append(a)
-            right.append(a + step)
-        if left:
-            ids = column_of(batch, "id")
-            yield records(a=ids.take(pa.array(np.concatenate(left))), b=ids.take(pa.array(np.concatenate(right))))
+            a = a[100 * n[a] >= percent * n[a + step]]
+            yield records(a=ids.take(pa.array(a)), b=ids.take(pa.array(a + step)), a_n=pa.array(n[a], pa.int32()), b_n=pa.array(n[a + step], pa.int32()))
+
+    return shared.mapInArrow(edges, f"a {kind}, b {kind}, a_n int, b_n int")
+
 
-    return shared.mapInArrow(edges, f"a {kind}, b {kind}")
+def _candidates(shared: DataFrame, percent: int, small: int) -> DataFrame:
+    """a, b: edges that connect all sets that may link. Input: gram, id, n, and size, the number of sets with the gram."""
+    dealt = lambda rows: rows.select("gram", "id", "n").repartition("gram").sortWithinPartitions("gram", "n", "id")
+    few, many = shared.where(F.col("size") <= small), shared.where(F.col("size") > small)
+    common = many.groupBy("id").agg(F.count(F.lit(1)).alias("common"))
+    pairs = _group_edges(dealt(few), percent, pairs=True).groupBy("a", "b", "a_n", "b_n").agg(F.count(F.lit(1)).alias("met"))
+    for side in "ab":
+        pairs = pairs.join(common.select(F.col("id").alias(side), F.col("common").alias(f"{side}_common")), side, "left")
+    more = F.least(F.coalesce("a_common", F.lit(0)), F.coalesce("b_common", F.lit(0)))
+    met = pairs.where(F.col("met") + more >= least_shared(F.col("a_n"), F.col("b_n"), percent))
+    return met.select("a", "b").unionByName(_group_edges(dealt(many), percent, pairs=False).select("a", "b"))
 
 
 def linked_pairs(sets: list[np.ndarray], codes: np.ndarray, percent: int, orders: int, pairs: np.ndarray | None = None) -> np.ndarray:
@@ -268,15 +291,18 @@ def _links(tasks: DataFrame, codes: Callable[[], np.ndarray], percent: int, orde
         close()
         if out:
             yield ready()
+        give_back()
 
     return tasks.mapInArrow(edges, f"a {kind}, b {kind}")
 
 
-def near_copies(df: DataFrame, *, n: int = 3, percent: int = 90, orders: int = 3, block: int = 600, key: str = "doc_id", text: str = "text") -> DataFrame:
+def near_copies(df: DataFrame, *, n: int = 3, percent: int = 90, orders: int = 3, block: int = 600, small: int = _SMALL, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, n_shingles and component_id (the smallest key reachable by links) of every row.
 
-    n: words of an n-gram; percent: the least similarity; orders: filters that are intersected; block: sets of a cluster that a task takes from one side.
+    n: words of an n-gram; percent: the least similarity; orders: filters that are intersected; block: sets of a cluster that a task takes from one side;
+    small: sets of a group up to which its pairs are counted.
     """
+    small_batches(df.sparkSession)
     every = df.select(F.col(key).alias("id"), F.col(text).alias("body"))
     docs = every.where(F.col("id").isNotNull())
     kind = dict(docs.dtypes)["id"]
@@ -289,9 +315,9 @@ def near_copies(df: DataFrame, *, n: int = 3, percent: int = 90, orders: int = 3
 
     by_gram = Window.partitionBy("gram")
     rows = _prefix_rows(docs, codes, n, percent).withColumn("lo", F.min("s1").over(by_gram)).withColumn("hi", F.max("s1").over(by_gram)).where("lo < hi")
-    sets_once = rows.groupBy("gram", "s1").agg(F.min("id").alias("id"), F.first("n").alias("n")).select("gram", "id", "n")
-    grouped = sets_once.repartition("gram").sortWithinPartitions("gram", "n", "id")
-    clusters = written(components(_candidates(grouped, percent)), "clusters")
+    sets_once = rows.groupBy("gram", "s1").agg(F.min("id").alias("id"), F.first("n").alias("n"))
+    shared = written(sets_once.select("gram", "id", "n", F.count(F.lit(1)).over(by_gram).alias("size")), "shared-prefixes")
+    clusters = written(components(_candidates(shared, percent, small)), "clusters")
 
     members = clusters.join(whose.select(F.col("id").alias("v"), "rep"), "v").groupBy("v", "root").agg(F.min("rep").alias("rep"))
     sizes = clusters.groupBy("root").agg(F.count(F.lit(1)).alias("size"))

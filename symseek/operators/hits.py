@@ -50,6 +50,15 @@ def find_hits(streams: DataFrame, patterns: DataFrame, *, kernel: str = "arrow",
 
 
 def _kernel_hits(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int) -> Iterator[pa.RecordBatch]:
+    """The hits of blocks, as record batches."""
+    for ids, of, pattern_id, start, length, dist in _kernel_arrays(batches, groups, min_len):
+        kinds = (np.int32, np.int64, np.int32, np.int32)
+        columns = [ids.take(pa.array(of)), *[pa.array(np.asarray(c, k)) for c, k in zip((np.full(len(of), pattern_id), start, length, dist), kinds, strict=True)]]
+        yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "pattern_id", "start", "len", "dist"])
+
+
+def _kernel_arrays(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int) -> Iterator[tuple]:
+    """(stream ids of the batch, row of each hit, pattern, starts, lengths, distances) for each pattern and chunk of blocks; hits by row, start and length."""
     gap = max((lp + k for lp, k in groups), default=1)
     for batch in batches:
         ids, bases, owns, texts = (batch.column(i) for i in range(4))
@@ -67,15 +76,12 @@ def _kernel_hits(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int)
             for (_, k), patterns in groups.items():
                 for pattern_id, pattern in patterns:
                     lengths, dist = kernels.band_distances(codes, starts, pattern, k)
-                    l, s = np.nonzero(dist <= k)
+                    s, l = np.nonzero(dist.T <= k)
                     length = np.array(lengths)[l]
                     good = (length <= left[s]) & (length >= min_len)
                     l, s, length = l[good], s[good], length[good]
                     if len(s):
-                        yield pa.RecordBatch.from_arrays(
-                            [ids.take(pa.array(of[s])), pa.array(np.full(len(s), pattern_id, np.int32)), pa.array(base[of[s]] + inside[s]), pa.array(length.astype(np.int32)), pa.array(dist[l, s].astype(np.int32))],
-                            names=["stream_id", "pattern_id", "start", "len", "dist"],
-                        )
+                        yield ids, of[s], pattern_id, base[of[s]] + inside[s], length, dist[l, s]
             row = stop
 
 

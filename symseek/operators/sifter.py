@@ -13,11 +13,14 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from symseek.operators.hits import find_hits
+from symseek.functions import kernels
+from symseek.operators.hits import BLOCK, _kernel_arrays, find_hits
+from symseek.sources.streams import block_streams, collected
 
 TIES = ("earliest", "shortest", "latest")
 VALIDATIONS = ("accumulated", "last_length", "interval")
@@ -232,20 +235,84 @@ def sift_hits(hits: DataFrame, levels: int, *, tie: str = "earliest", validation
                 kept = kept.unionByName(_serial_fold(large, [*KEYS, "island"], levels, rules))
         else:
             raise ValueError("engine is 'native', 'iterator', 'auto' or 'serial'")
-    if not number:
-        return kept
+    return _numbered(kept) if number else kept
+
+
+def _numbered(kept: DataFrame) -> DataFrame:
     group = F.dense_rank().over(Window.partitionBy(*KEYS).orderBy("decided_at")) - 1
     return kept.withColumn("group_no", group.cast("long"))
 
 
+def _fold_in_kernel(streams: DataFrame, patterns: DataFrame, rules: Rules, block: int) -> tuple[DataFrame, DataFrame]:
+    """Detection and fold in one pass over blocks: (occurrences of islands that lie inside a block, hits of the other islands).
+
+    An island is inside if no hit of the block before can reach it, that is if it starts at least lp + K - 1 symbols behind the block's first start, and if
+    it ends before the next block's first start. The first and the last block of a stream have no neighbour on one side.
+    """
+    bank = collected(patterns)
+    levels = max((k for _, _, k in bank), default=0) + 1
+    reach = {i: len(p) + k - 1 for i, p, k in bank}
+    groups: dict[tuple[int, int], list] = {}
+    for i, p, k in bank:
+        groups.setdefault((len(p), k), []).append((i, kernels.encode(p)))
+    halo = max(reach.values(), default=0)
+    if halo > block:
+        raise ValueError("a pattern is longer than a block")
+    blocks = block_streams(streams, block, halo).withColumn("final", F.col("base") + F.char_length("text") == F.col("base") + F.col("own"))
+    import pyarrow as pa
+
+    def fold(batches):
+        for batch in batches:
+            finals = batch.column(4).to_numpy(zero_copy_only=False)
+            bases, owns = batch.column(1).to_numpy(), batch.column(2).to_numpy()
+            for ids, of, pattern_id, start, length, dist in _kernel_arrays(iter([batch.select([0, 1, 2, 3])]), groups, 1):
+                end = start + length - 1
+                # islands: runs in a row whose starts don't lie behind all ends so far; ends are lifted row by row so that one running maximum serves all rows
+                lift = of.astype(np.int64) << 44
+                fresh = np.append(True, (start + lift)[1:] > np.maximum.accumulate(end + lift)[:-1])
+                first = np.flatnonzero(fresh)
+                last_end = np.maximum.reduceat(end, first)
+                row = of[first]
+                inner = ((bases[row] == 0) | (start[first] >= bases[row] + reach[pattern_id])) & (finals[row] | (last_end < bases[row] + owns[row]))
+                whose = np.repeat(inner, np.diff(np.append(first, len(start))))
+                out = []
+                sifter, key = SerialSifter(levels, rules), -1
+                for r, s, n, d in zip(of[whose].tolist(), start[whose].tolist(), length[whose].tolist(), dist[whose].tolist(), strict=True):
+                    if r != key:
+                        out += [(key, *o) for o in sifter.close()]
+                        key = r
+                    found = sifter.add(s, n, d)
+                    if found:
+                        out += [(r, *o) for o in found]
+                out += [(key, *o) for o in sifter.close()]
+                out += [(r, s, n, d, -1) for r, s, n, d in zip(of[~whose].tolist(), start[~whose].tolist(), length[~whose].tolist(), dist[~whose].tolist(), strict=True)]
+                if out:
+                    rows = np.array(out, np.int64)
+                    columns = [ids.take(pa.array(rows[:, 0])), pa.array(np.full(len(rows), pattern_id, np.int32)), pa.array(rows[:, 1]), pa.array(rows[:, 2].astype(np.int32)), pa.array(rows[:, 3].astype(np.int32)), pa.array(rows[:, 4])]
+                    yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "pattern_id", "start", "len", "dist", "decided_at"])
+
+    both = blocks.select("stream_id", "base", "own", "text", "final").mapInArrow(fold, "stream_id long, pattern_id int, start long, len int, dist int, decided_at long")
+    return both.where("decided_at >= 0"), both.where("decided_at < 0").drop("decided_at")
+
+
 def most_levels(patterns: DataFrame) -> int:
     """One more than the largest threshold of a pattern table."""
     return (patterns.agg(F.max("k_max")).first()[0] or 0) + 1
 
 
-def sift(streams: DataFrame, patterns: DataFrame, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "native", kernel: str = "arrow", number: bool = True) -> DataFrame:
-    """Occurrences of patterns in streams: detection, islands, fold. Only hits are shuffled."""
-    return sift_hits(find_hits(streams, patterns, kernel=kernel), most_levels(patterns), tie=tie, validation=validation, strict=strict, engine=engine, number=number)
+def sift(
+    streams: DataFrame, patterns: DataFrame, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "native", kernel: str = "arrow", number: bool = True, block: int = BLOCK
+) -> DataFrame:
+    """Occurrences of patterns in streams: detection, islands, fold. Only hits are shuffled.
+
+    engine `kernel`: islands inside a block are folded where they are found, before any shuffle; only those at a block's edge go on as hits.
+    """
+    rules = {"tie": tie, "validation": validation, "strict": strict}
+    if engine != "kernel":
+        return sift_hits(find_hits(streams, patterns, kernel=kernel, block=block), most_levels(patterns), engine=engine, number=number, **rules)
+    inner, edges = _fold_in_kernel(streams, patterns, Rules(**rules), block)
+    kept = inner.unionByName(sift_hits(edges, most_levels(patterns), engine="iterator", number=False, **rules))
+    return _numbered(kept) if number else kept
 
 
 def sift_bank(streams: DataFrame, patterns: DataFrame, **options) -> DataFrame:

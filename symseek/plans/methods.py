@@ -254,7 +254,7 @@ _OPTIONS = {
 }
 for _name, _options in _OPTIONS.items():
     query(_name, Q.all_of(Q.sift(EVH, 2, **_options)))(lambda t, options=_options: ev_kept(t, **options))
-for _engine in ("serial", "iterator", "auto"):
+for _engine in ("serial", "iterator", "auto", "kernel"):
     query(f"{_engine}_engine", Q.all_of(Q.sift(EVH, 2)))(lambda t, engine=_engine: ev_kept(t, engine=engine))
 
 
@@ -263,6 +263,11 @@ def _(t):
     return sifter.sift(lines4(t), pats(t, LI_PATTERNS))
 
 
+@query("kernel_engine_blocks", Q.all_of(Q.sift(LIH, 2, tie="shortest", validation="interval")))
+def _(t):
+    return sifter.sift(lines4(t), pats(t, LI_PATTERNS), engine="kernel", block=40, tie="shortest", validation="interval")
+
+
 @query("online_sift_orders", Q.all_of(Q.sift(Q.hits(Q.ORDERS, Q.patterns([(0, "FOF", 1), (1, "OOPF", 1)])), 1)))
 def _(t):
     return sifter.sift(orders(t), pats(t, [(0, "FOF", 1), (1, "OOPF", 1)]))

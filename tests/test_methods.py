@@ -105,6 +105,10 @@ def test_option_matrix(spark):
             engine = {"earliest": "native", "shortest": "iterator", "latest": "serial"}[tie]
             got = sifter.sift_hits(found, k + 1, tie=tie, validation=validation, strict=strict, engine=engine, number=False)
             assert rows(got, "stream_id", "start", "len", "dist") == expected, (k, tie, validation, strict)
+            if strict:
+                block = {"accumulated": 9, "last_length": 14, "interval": 1 << 16}[validation]
+                got = sifter.sift(all_streams, S.pattern_frame(spark, [(0, p, k)]), tie=tie, validation=validation, engine="kernel", block=block, number=False)
+                assert rows(got, "stream_id", "start", "len", "dist") == expected, (k, tie, validation, block)
         found.unpersist()
 
 

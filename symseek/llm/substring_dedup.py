@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from symseek.llm.common import Words, column_of, list_array, map_texts, records, run_hashes, signed, words_of, written
+from symseek.llm.common import Words, column_of, give_back, map_texts, records, run_hashes, signed, words_of, written
 
 WIDTH = 50
 SEED = 16
@@ -160,18 +160,23 @@ def _firsts(strings: DataFrame, width: int) -> DataFrame:
         close()
         if ready[0]:
             yield flush()
+        give_back()
 
     return strings.mapInArrow(grouped, f"sig binary, firsts array<{kind}>")
 
 
-def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", width: int = WIDTH, seed: int = SEED, hot: int = HOT, keep: dict[str, Column] | None = None) -> DataFrame:
-    """key, n_words, n_removed and kept (the words left, joined by one space) of every row, with the columns of `keep`."""
+def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", width: int = WIDTH, seed: int = SEED, hot: int = HOT, keep: dict[str, Column] | None = None, text_as: str | None = None) -> DataFrame:
+    """key, n_words, n_removed and kept (the words left, joined by one space) of every row, with the columns of `keep`.
+
+    text_as: a name for one more column: the text as it was where nothing is removed, else the same as kept.
+    """
     if not 0 < seed <= width:
         raise ValueError("the seed is at least one word and at most a window")
     docs = df.select(F.col(key).alias("id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"))
     places = written(_places(docs.where(F.col("id").isNotNull()), width, seed), "places")
     meets = places.groupBy("mini").agg(F.min("id").alias("lo"), F.max("id").alias("hi"), F.count(F.lit(1)).alias("times")).where("lo < hi")
-    travel = places.join(meets.select("mini", (F.col("times") > hot).alias("hot")), "mini").groupBy("id", "h").agg(F.collect_list(F.struct("start", "n", "mini", "hot")).alias("own"))
+    meets = written(meets.select("mini", (F.col("times") > hot).alias("hot")), "shared-minimisers")  # so that the join can split a frequent minimiser's rows
+    travel = places.join(meets, "mini").groupBy("id", "h").agg(F.collect_list(F.struct("start", "n", "mini", "hot")).alias("own"))
     packed = written(_packed(docs.join(travel, ["id", "h"]), width).withColumn("sig", F.unhex(F.md5("packed"))), "super-kmers")
     strings = packed.groupBy("bucket", "packed", "sig").agg(F.min("id").alias("id"))
     firsts = _firsts(strings.repartition("bucket").sortWithinPartitions("bucket"), width)
@@ -198,12 +203,16 @@ def remove_repeats(df: DataFrame, *, key: str = "doc_id", text: str = "text", wi
                 kept.append(b" ".join(data[x:y] for x, y in zip(w.starts[a:b][~covered[a:b]].tolist(), w.ends[a:b][~covered[a:b]].tolist(), strict=True)))
             else:
                 kept.append(b" ".join(data[w.starts[a] : w.ends[b - 1]].split()) if b > a else b"")
+        own = {n: column_of(batch, n) for n in names}
+        if text_as:
+            bodies = column_of(batch, "body").to_pylist()
+            own[text_as] = pa.array([x.decode() if r else t for x, r, t in zip(kept, removed, bodies, strict=True)], pa.string())
         return records(
-            id=column_of(batch, "id"), **{n: column_of(batch, n) for n in names}, n_words=pa.array(w.counts(), pa.int64()), n_removed=pa.array(removed, pa.int64()), kept=pa.array([x.decode() for x in kept], pa.string())
+            id=column_of(batch, "id"), **own, n_words=pa.array(w.counts(), pa.int64()), n_removed=pa.array(removed, pa.int64()), kept=pa.array([x.decode() for x in kept], pa.string())
         )
 
     whole = df.select(F.col(key).alias("id"), F.xxhash64(F.col(text)).alias("h"), F.col(text).alias("body"), *[c.alias(n) for n, c in (keep or {}).items()])
     rows = whole.join(gone, ["id", "h"], "left")
     kinds = dict(rows.dtypes)
-    schema = ", ".join([f"id {kind}", *[f"`{n}` {kinds[n]}" for n in names], "n_words long, n_removed long, kept string"])
+    schema = ", ".join([f"id {kind}", *[f"`{n}` {kinds[n]}" for n in names], *[f"`{text_as}` string"] * bool(text_as), "n_words long, n_removed long, kept string"])
     return map_texts(rows, step, schema, text="body").withColumnRenamed("id", key)

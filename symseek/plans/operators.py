@@ -177,7 +177,8 @@ def _(t):
 
 # Windows.
 
-_BY_STREAM = Window.partitionBy("stream_id", "pattern_id").orderBy("start", "len")
+def by_stream():
+    return Window.partitionBy("stream_id", "pattern_id").orderBy("start", "len")
 
 
 @query("rank_occ_per_stream", f"""SELECT stream_id, start, row_number() OVER w AS rn, rank() OVER d AS rk, dense_rank() OVER d AS dr, ntile(4) OVER w AS quarter, round(percent_rank() OVER d, 6) AS pr, round(cume_dist() OVER d, 6) AS cd
@@ -185,7 +186,7 @@ FROM {ONEK} WINDOW w AS (PARTITION BY stream_id, pattern_id ORDER BY start, len)
 def _(t):
     by_dist = Window.partitionBy("stream_id", "pattern_id").orderBy("dist")
     return one_kept(t).select(
-        "stream_id", "start", F.row_number().over(_BY_STREAM).cast("long").alias("rn"), F.rank().over(by_dist).cast("long").alias("rk"), F.dense_rank().over(by_dist).cast("long").alias("dr"), F.ntile(4).over(_BY_STREAM).cast("long").alias("quarter"),
+        "stream_id", "start", F.row_number().over(by_stream()).cast("long").alias("rn"), F.rank().over(by_dist).cast("long").alias("rk"), F.dense_rank().over(by_dist).cast("long").alias("dr"), F.ntile(4).over(by_stream()).cast("long").alias("quarter"),
         F.round(F.percent_rank().over(by_dist), 6).alias("pr"), F.round(F.cume_dist().over(by_dist), 6).alias("cd"),
     )
 
@@ -194,8 +195,8 @@ def _(t):
 FROM {ONEK} WINDOW w AS (PARTITION BY stream_id, pattern_id ORDER BY start, len)""")
 def _(t):
     return one_kept(t).select(
-        "stream_id", "start", (F.col("start") - F.lag(F.col("start") + F.col("len")).over(_BY_STREAM)).alias("gap"), F.lead("dist").over(_BY_STREAM).alias("next_dist"),
-        F.first_value("start").over(_BY_STREAM).alias("first_start"), F.nth_value("start", 2).over(_BY_STREAM).alias("second_start"),
+        "stream_id", "start", (F.col("start") - F.lag(F.col("start") + F.col("len")).over(by_stream())).alias("gap"), F.lead("dist").over(by_stream()).alias("next_dist"),
+        F.first_value("start").over(by_stream()).alias("first_start"), F.nth_value("start", 2).over(by_stream()).alias("second_start"),
     )
 
 

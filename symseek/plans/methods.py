@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from symseek.functions import distance as D
 from symseek.functions import kernels
-from symseek.operators import baselines, hits, measures, sifter
+from symseek.operators import baselines, hits, measures, resync, sifter
 from symseek.plans import sqltext as Q
 from symseek.plans.registry import Tables, query
 from symseek.sources import streams as S
@@ -263,6 +263,14 @@ def _(t):
     return sifter.sift(lines4(t), pats(t, LI_PATTERNS))
 
 
+_DENSE = [(0, "acgta", 3)]
+
+
+@query("resync_fold", "SELECT stream_id, pattern_id, start, len, dist, decided_at FROM " + Q.sift(Q.hits("(SELECT * FROM " + LI + " WHERE stream_id <= 12)", Q.patterns(_DENSE)), 3))
+def _(t):
+    return resync.resync_fold(hits.find_hits(lines4(t).where("stream_id <= 12"), pats(t, _DENSE)), 4, width=50)
+
+
 @query("kernel_engine_blocks", Q.all_of(Q.sift(LIH, 2, tie="shortest", validation="interval")))
 def _(t):
     return sifter.sift(lines4(t), pats(t, LI_PATTERNS), engine="kernel", block=40, tie="shortest", validation="interval")

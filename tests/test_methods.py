@@ -11,7 +11,7 @@ import reference
 from symseek.functions import distance as D
 from symseek.functions import kernels
 from symseek.functions.costmodel import resource_fit
-from symseek.operators import baselines, hits, measures, sifter
+from symseek.operators import baselines, hits, measures, resync, sifter
 from symseek.sources import streams as S
 
 
@@ -112,6 +112,15 @@ def test_option_matrix(spark):
         found.unpersist()
 
 
+def test_giant_islands(spark):
+    """Whole streams as one island, folded in blocks that repair each other."""
+    texts = random_texts(21, 6, 160)
+    found = hits.find_hits(streams(spark, *texts), S.pattern_frame(spark, [(0, "ABA", 3)]))
+    for tie, width in (("earliest", 11), ("shortest", 30)):
+        expected = sorted((i, *r) for i, t in enumerate(texts) for r in reference.sift("ABA", t, 3, tie))
+        assert rows(resync.resync_fold(found, 4, width=width, tie=tie), "stream_id", "start", "len", "dist") == expected
+
+
 def test_kernels_agree():
     rng = random.Random(3)
     for _ in range(200):

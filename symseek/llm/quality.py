@@ -81,9 +81,9 @@ def statistics(column: pa.Array) -> np.ndarray:
     odd = np.bincount(row[kind == 5] * 128 + data[kind == 5], minlength=128 * n).reshape(n, 128).max(1) if n else np.zeros(0)
     return np.column_stack([
         np.log1p(size), *share.T, np.log1p(words), mean, spread,
-        _distinct(of, w.hashes, n) / some, np.log1p(line_count), words / np.maximum(line_count, 1), 1 - new_lines / np.maximum(line_count, 1),
+        _distinct(of, w.hashes, n) / some, np.log1p(line_count), words / np.maximum(line_count, 1), 1 - np.where(line_count, new_lines, 1) / np.maximum(line_count, 1),
         total(in_word(symbols) > 0) / some, total((in_word(capitals) == length) & (length > 1)) / some, total(length <= 2) / some, total(length >= 12) / some,
-        total(np.isin(last, list(b".!?"))) / some, 1 - new_pairs / np.maximum(pairs, 1) * (pairs > 0), odd / some,
+        total(np.isin(last, list(b".!?"))) / some, 1 - np.where(pairs, new_pairs, 1) / np.maximum(pairs, 1), odd / some,
     ]).astype(np.float32)
 
 
@@ -171,16 +171,17 @@ def train(docs: DataFrame, labels: DataFrame, usable: Column, *, key: str = "doc
     return fit(x[order], y[order], **options)
 
 
-def score(df: DataFrame, model: TreeArrays, *, key: str = "doc_id", text: str = "text", keep: dict[str, Column] | None = None) -> DataFrame:
-    """key, the columns of `keep`, and score (0 to 1) for every row."""
+def score(df: DataFrame, model: TreeArrays, *, key: str = "doc_id", text: str = "text", keep: dict[str, Column] | None = None, text_as: str | None = None) -> DataFrame:
+    """key, the columns of `keep`, the text under the name text_as if given, and score (0 to 1) for every row."""
     keep = keep or {}
     names_kept = list(keep)
     rows = df.select(F.col(key).alias("k"), *[c.alias(n) for n, c in keep.items()], F.col(text).alias("body"))
     shared = df.sparkSession.sparkContext.broadcast(model)
 
     def step(batch: pa.RecordBatch) -> pa.RecordBatch:
-        return records(k=column_of(batch, "k"), **{n: column_of(batch, n) for n in names_kept}, score=shared.value.score(statistics(column_of(batch, "body"))))
+        own = {n: column_of(batch, n) for n in names_kept} | ({text_as: column_of(batch, "body")} if text_as else {})
+        return records(k=column_of(batch, "k"), **own, score=shared.value.score(statistics(column_of(batch, "body"))))
 
     kinds = dict(rows.dtypes)
-    schema = ", ".join([f"k {kinds['k']}", *[f"`{n}` {kinds[n]}" for n in keep], "score double"])
+    schema = ", ".join([f"k {kinds['k']}", *[f"`{n}` {kinds[n]}" for n in keep], *[f"`{text_as}` string"] * bool(text_as), "score double"])
     return map_texts(rows, step, schema, text="body").withColumnRenamed("k", key)

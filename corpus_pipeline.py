@@ -23,17 +23,18 @@ from symseek.llm.common import crc_bucket, shared_folder, table
 
 
 def _carried(docs: DataFrame) -> dict[str, Column]:
-    """All columns under names that can't clash with an operator's own."""
-    return {f"carried_{i}": F.col(f"`{c}`") for i, c in enumerate(docs.columns)}
+    """All columns but the text, under names that can't clash with an operator's own."""
+    return {f"carried_{i}": F.col(f"`{c}`") for i, c in enumerate(docs.columns) if c != "text"}
 
 
-def _restored(rows: DataFrame, docs: DataFrame, text=None) -> DataFrame:
-    return rows.select(*[(text if text is not None and c == "text" else F.col(f"carried_{i}")).alias(c) for i, c in enumerate(docs.columns)])
+def _restored(rows: DataFrame, docs: DataFrame) -> DataFrame:
+    """The documents' columns again; an operator has returned the text as carried_text."""
+    return rows.select(*[F.col("carried_text" if c == "text" else f"carried_{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = quality.train(docs, table(spark, sf_dir, "labels"), crc_bucket(F.col("doc_id"), 5) != 0)
-    return _restored(quality.score(docs, model, keep=_carried(docs)).where(F.col("score") >= quality.ACCEPT), docs)
+    return _restored(quality.score(docs, model, keep=_carried(docs), text_as="carried_text").where(F.col("score") >= quality.ACCEPT), docs)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,9 +44,7 @@ def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def substring_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    rows = substring_dedup.remove_repeats(docs, keep=_carried(docs))
-    at = docs.columns.index("text")
-    out = _restored(rows, docs, text=F.when(F.col("n_removed") > 0, F.col("kept")).otherwise(F.col(f"carried_{at}")))
+    out = _restored(substring_dedup.remove_repeats(docs, keep=_carried(docs), text_as="carried_text"), docs)
     return out.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
 
 

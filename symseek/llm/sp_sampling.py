@@ -94,9 +94,12 @@ def vocabulary(model: str, temperature: float) -> Vocabulary:
                 usable.append((i, piece))
     codes = np.frombuffer("".join(p for _, p in usable).encode("utf-32-le"), np.uint32)
     sizes = np.array([len(p) for _, p in usable])
-    begins, hashes = np.cumsum(sizes) - sizes, np.zeros(len(sizes), np.uint64)
+    begins = np.cumsum(sizes) - sizes
+    raw = np.zeros(len(sizes), np.uint64)
     for length in range(1, _LONGEST + 1):
-        hashes[sizes == length] = window_hashes(codes, begins[sizes == length], length)
+        own = np.flatnonzero(sizes >= length)
+        raw[own] = longer_hashes(raw[own], codes[begins[own] + (length - 1)])
+    hashes = mix64(raw + sizes.astype(np.uint64))
     rest = list(zip([i for i, _ in usable], hashes, strict=True))
     ids, keys = [], []
     for shift in (64 - _SLOTS, 20):
@@ -139,19 +142,24 @@ class Lattices:
         left = np.repeat(begin + sizes, sizes + 1) - np.arange(n)
         sources, pieces, weights, targets = [], [], [], []
         single = np.zeros(n, bool)
+        at = np.flatnonzero(left)
+        raw = np.zeros(len(at), np.uint64)
         for length in range(1, _LONGEST + 1):
-            at = np.flatnonzero(left >= length)
+            if length > 1:
+                longer = left[at] >= length
+                at, raw = at[longer], raw[longer]
             if not len(at):
                 break
-            piece = v.find(window_hashes(codes, at, length))
-            hit = piece >= 0
-            at, piece = at[hit], piece[hit]
+            raw = longer_hashes(raw, codes[at + (length - 1)])
+            piece = v.find(mix64(raw + np.uint64(length)))
+            hit = np.flatnonzero(piece >= 0)
+            found, piece = at[hit], piece[hit]
             if length == 1:
-                single[at] = True
-            sources.append(at)
+                single[found] = True
+            sources.append(found)
             pieces.append(piece)
             weights.append(v.weight[piece])
-            targets.append(at + length)
+            targets.append(found + length)
         bare = np.flatnonzero(~single & (left > 0))
         code = codes[bare].astype(np.int64)
         sources.append(bare)
@@ -184,22 +192,23 @@ class Lattices:
                 total[a:b] = top + np.log(np.add.reduceat(np.exp(value - np.repeat(top, count[a:b])), cut))
         self.logp = weight + total[self.target] - np.repeat(total, count)
         share = np.cumsum(np.exp(self.logp))
-        owner = np.repeat(np.arange(n), count)
         before = np.append(0.0, share)[self.first[:-1]]
-        self.ceiling = owner + np.minimum(share - np.repeat(before, count), 1.0)  # node number plus the share up to this edge: grows from edge to edge
+        self.upto = share - np.repeat(before, count)  # the share of a node's edges up to this one
+        self.upto[self.first[1:][count > 0] - 1] = 2.0
 
     def choose(self, node: np.ndarray, u: np.ndarray) -> np.ndarray:
         """An edge of each node, by its probability."""
-        return np.minimum(np.searchsorted(self.ceiling, node + u, "right"), self.first[node + 1] - 1)
+        edge = self.first[node]
+        beyond = np.flatnonzero(u >= self.upto[edge])
+        while len(beyond):
+            edge[beyond] += 1
+            beyond = beyond[u[beyond] >= self.upto[edge[beyond]]]
+        return edge
 
 
-def window_hashes(codes: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
-    """Hash of the `length` characters from each place, the same as in the vocabulary's tables."""
-    raw = np.full(len(at), length, np.uint64)
-    for k in range(length):
-        raw *= np.uint64(0x5851F42D4C957F2D)
-        raw += codes[at + k]
-    return mix64(raw)
+def longer_hashes(raw: np.ndarray, codes: np.ndarray) -> np.ndarray:
+    """Hashes of strings with one more character each; 0 is that of the empty string."""
+    return raw * np.uint64(0x5851F42D4C957F2D) + codes + np.uint64(1)
 
 
 def _uniforms(seed: np.ndarray, *numbers) -> np.ndarray:
@@ -343,13 +352,14 @@ def spell(ids, v: Vocabulary) -> str:
 
 def segment(texts: list[str | None], seeds: np.ndarray, k: int, v: Vocabulary) -> Iterator[list[tuple[np.ndarray, float, float, float]]]:
     """For each text its (ids, log_prob, perturbed, inclusion), largest perturbed value first."""
-    known: dict[str, int] = {}
     units, sizes = [], []
     for text in texts:
-        own = units_of(text) if text else []
-        sizes.append(len(own))
-        units.extend([known.setdefault(u, len(known)) for u in own])
-    unit = np.array(units, np.int64)
+        before = len(units)
+        units += units_of(text) if text else ()
+        sizes.append(len(units) - before)
+    known = dict.fromkeys(units)
+    known = dict(zip(known, range(len(known)), strict=True))
+    unit = np.fromiter(map(known.__getitem__, units), np.int64, len(units))
     first = np.append(0, np.cumsum(sizes))
     if len(unit):
         lattices = Lattices(list(known), v)
@@ -378,12 +388,13 @@ def sample(df: DataFrame, *, k: int = 2, temperature: float = 0.5, seed: int = 0
         seeds = column_of(batch, "seed").to_numpy().view(np.uint64)
         of, draw, ids, numbers, restored = [], [], [], [], []
         for i, found in enumerate(segment(texts, seeds, k, v)):
+            whole = f" {texts[i]}".encode() if texts[i] else b""
             for j, (tokens, *rest) in enumerate(found):
                 of.append(i)
                 draw.append(j)
                 ids.append(tokens)
                 numbers.append(rest)
-                restored.append(spell(tokens.tolist(), v) == (texts[i] or ""))
+                restored.append(b"".join(map(v.spelled.__getitem__, tokens.tolist())) == whole)
         numbers = np.array(numbers)
         return records(
             k=column_of(batch, "k").take(pa.array(of)), draw=pa.array(draw, pa.int32()), token_ids=list_array(np.concatenate(ids), np.array([len(x) for x in ids])),

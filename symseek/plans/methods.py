@@ -17,7 +17,6 @@ EV_PATTERNS = [(0, "SVCPE", 1), (1, "SVCPE", 2), (2, "EEEP", 1), (3, "CVPSEC", 2
 LI_PATTERNS = [(0, "acgtacgt", 2), (1, "gcaacc", 2)]
 MIXED = [(0, "SVC", 0), (1, "EEEP", 1), (2, "CVPSEC", 2), (3, "VVSPECSE", 3)]
 DOC_PATTERNS = [(0, "interesting", 2), (1, "therefore", 2), (2, "the and attion", 3)]
-SHORT_DOCS = "lang = 'en' AND n_chars <= 1000"
 
 
 # Streams on the given tables.
@@ -56,7 +55,7 @@ def priorities(t: Tables) -> DataFrame:
     return S.build_streams(t.orders, F.col("o_custkey"), ("o_orderdate", "o_orderkey"), F.substring("o_orderpriority", 1, 1))
 
 
-def docs(t: Tables, where: str) -> DataFrame:
+def docs(t: Tables, where: str = "true") -> DataFrame:
     return S.text_streams(t.documents.where(where), F.col("doc_id"), S.fold_ascii(F.col("text")))
 
 
@@ -83,7 +82,7 @@ def pats(t: Tables, rows) -> DataFrame:
 
 
 EV, LI = Q.EVENTS, Q.LINES4
-EVP, LIP, DOCP = Q.patterns(EV_PATTERNS), Q.patterns(LI_PATTERNS), Q.patterns(DOC_PATTERNS)
+EVP, LIP = Q.patterns(EV_PATTERNS), Q.patterns(LI_PATTERNS)
 EVH, LIH = Q.hits(EV, EVP), Q.hits(LI, LIP)
 ONE = Q.patterns([(1, "SVCPE", 2)])
 
@@ -181,9 +180,9 @@ def _(t):
     return hits.find_hits(lines4(t), pats(t, LI_PATTERNS))
 
 
-@query("find_hits_docs", Q.all_of(Q.hits(Q.docs(SHORT_DOCS), DOCP)))
+@query("find_hits_docs")
 def _(t):
-    return hits.find_hits(docs(t, SHORT_DOCS), pats(t, DOC_PATTERNS))
+    return hits.find_hits(docs(t), pats(t, DOC_PATTERNS))
 
 
 @query("blocked_hits_equal", Q.all_of(LIH))
@@ -286,9 +285,9 @@ def _(t):
     return sifter.sift(priorities(t), pats(t, [(0, "1234", 1)]))
 
 
-@query("online_sift_docs", Q.all_of(Q.sift(Q.hits(Q.docs(SHORT_DOCS), DOCP), 3)))
+@query("online_sift_docs")
 def _(t):
-    return sifter.sift(docs(t, SHORT_DOCS), pats(t, DOC_PATTERNS))
+    return sifter.sift(docs(t), pats(t, DOC_PATTERNS))
 
 
 @query("online_sift_parts", Q.all_of(Q.sift(Q.hits(Q.LINES6, Q.patterns([(0, "BCFA", 1)])), 1)))
@@ -348,9 +347,9 @@ def _(t):
     return measures.motif_histogram(ev_kept(t), pats(t, EV_PATTERNS))
 
 
-@query("motif_histogram_docs", _histogram_sql(Q.sift(Q.hits(Q.docs(SHORT_DOCS), DOCP), 3), range(3)))
+@query("motif_histogram_docs")
 def _(t):
-    return measures.motif_histogram(sifter.sift(docs(t, SHORT_DOCS), pats(t, DOC_PATTERNS)), pats(t, DOC_PATTERNS))
+    return measures.motif_histogram(sifter.sift(docs(t), pats(t, DOC_PATTERNS)), pats(t, DOC_PATTERNS))
 
 
 # Other distances and classes of search.

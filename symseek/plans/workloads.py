@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from symseek.functions import costmodel as C
 from symseek.operators import baselines, hits, measures, sifter
 from symseek.plans import sqltext as Q
-from symseek.plans.methods import EV_PATTERNS, EVH, SHORT_DOCS, conversations, docs, embeddings, ev_hits, ev_kept, events, given, lines4, lines16, pages, pats
+from symseek.plans.methods import EV_PATTERNS, EVH, conversations, docs, embeddings, ev_hits, ev_kept, events, given, lines4, lines16, pages, pats
 from symseek.plans.registry import Tables, query
 from symseek.sources import streams as S
 
@@ -178,12 +178,12 @@ def _(t):
     return _counts(around(lines4(t), "acgta", 200), pats(t, [(0, "gcaacc", 2)]))
 
 
-_DOC_ANCHORED = f"(SELECT stream_id, length(win)::BIGINT AS n, win AS text FROM (SELECT stream_id, substr(text, greatest(instr(text, ' and the ') - 201, 0) + 1, least(instr(text, ' and the ') - 1, 200) + 209) AS win FROM {Q.docs(SHORT_DOCS)} WHERE instr(text, ' and the ') > 0))"
+_DOC_ANCHORED = f"(SELECT stream_id, length(win)::BIGINT AS n, win AS text FROM (SELECT stream_id, substr(text, greatest(instr(text, ' and the ') - 201, 0) + 1, least(instr(text, ' and the ') - 1, 200) + 209) AS win FROM {Q.docs("true")} WHERE instr(text, ' and the ') > 0))"
 
 
 @query("w1_doc_window", counts_sql(Q.hits(_DOC_ANCHORED, Q.patterns([(0, "therein", 2)])), 2))
 def _(t):
-    return _counts(around(docs(t, SHORT_DOCS), " and the ", 200), pats(t, [(0, "therein", 2)]))
+    return _counts(around(docs(t), " and the ", 200), pats(t, [(0, "therein", 2)]))
 
 
 # Speed tests.
@@ -265,9 +265,9 @@ def _(t):
 _KEYWORDS = [(0, "interest", 2), (1, "without", 2)]
 
 
-@query("w11_retrieval_topk", f"SELECT stream_id, count(*) AS kept, min(dist)::INTEGER AS best FROM {Q.sift(Q.hits(Q.docs(SHORT_DOCS), Q.patterns(_KEYWORDS)), 2)} GROUP BY stream_id ORDER BY kept DESC, best, stream_id LIMIT 10")
+@query("w11_retrieval_topk")
 def _(t):
-    kept = sifter.sift(docs(t, SHORT_DOCS), pats(t, _KEYWORDS), number=False)
+    kept = sifter.sift(docs(t), pats(t, _KEYWORDS), number=False)
     return kept.groupBy("stream_id").agg(F.count(F.lit(1)).alias("kept"), F.min("dist").alias("best")).orderBy(F.desc("kept"), "best", "stream_id").limit(10)
 
 
@@ -283,11 +283,9 @@ def _(t):
 _HISTOGRAM = [(0, "the", 0), (1, "ing", 0), (2, "and the", 2)]
 
 
-@query("w13_histogram_labels", f"""SELECT quality, count(*) AS documents, sum(v0)::BIGINT AS v0, sum(v1)::BIGINT AS v1, sum(v2)::BIGINT AS v2 FROM (
-  SELECT stream_id, count(*) FILTER (WHERE pattern_id = 0) AS v0, count(*) FILTER (WHERE pattern_id = 1) AS v1, count(*) FILTER (WHERE pattern_id = 2) AS v2 FROM {Q.sift(Q.hits(Q.docs(SHORT_DOCS), Q.patterns(_HISTOGRAM)), 2)} GROUP BY stream_id)
-JOIN labels ON doc_id = stream_id GROUP BY quality""")
+@query("w13_histogram_labels")
 def _(t):
-    vectors = measures.motif_histogram(sifter.sift(docs(t, SHORT_DOCS), pats(t, _HISTOGRAM), number=False), pats(t, _HISTOGRAM))
+    vectors = measures.motif_histogram(sifter.sift(docs(t), pats(t, _HISTOGRAM), number=False), pats(t, _HISTOGRAM))
     marked = vectors.join(t.labels, F.col("doc_id") == F.col("stream_id"))
     return marked.groupBy("quality").agg(F.count(F.lit(1)).alias("documents"), *[F.sum(F.col("vector")[i]).alias(f"v{i}") for i in range(3)])
 

@@ -298,9 +298,9 @@ def _(t):
 _PAGE_PATTERNS = [(0, "<article", 1), (1, "</footer", 2)]
 
 
-@query("online_sift_pages", Q.all_of(Q.sift(Q.hits(Q.cut(Q.pages(), 2000), Q.patterns(_PAGE_PATTERNS)), 2)))
+@query("online_sift_pages", Q.all_of(Q.sift(Q.hits(Q.pages(), Q.patterns(_PAGE_PATTERNS)), 2)))
 def _(t):
-    return sifter.sift(S.first_symbols(pages(t), 2000), pats(t, _PAGE_PATTERNS))
+    return sifter.sift(pages(t), pats(t, _PAGE_PATTERNS))
 
 
 @query("bank_sift_events", Q.all_of(Q.sift(Q.hits(Q.EVENTS_ALL, Q.patterns([(i, p, 1) for i, p in enumerate(("SVCPE", "EEEP", "CVPSEC", "PPPP"))])), 1)))

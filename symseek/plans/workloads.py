@@ -256,9 +256,9 @@ def _(t):
 _MARKUP = [(0, "<script>", 2), (1, "<style>", 2)]
 
 
-@query("w10_signatures_pages", f"SELECT pattern_id, count(*) AS kept, count(*) FILTER (WHERE dist = 0) AS exact, count(DISTINCT stream_id) AS streams FROM {Q.sift(Q.hits(Q.cut(Q.pages(), 1500), Q.patterns(_MARKUP)), 2)} GROUP BY pattern_id")
+@query("w10_signatures_pages", f"SELECT pattern_id, count(*) AS kept, count(*) FILTER (WHERE dist = 0) AS exact, count(DISTINCT stream_id) AS streams FROM {Q.sift(Q.hits(Q.pages(), Q.patterns(_MARKUP)), 2)} GROUP BY pattern_id")
 def _(t):
-    kept = sifter.sift(S.first_symbols(pages(t), 1500), pats(t, _MARKUP), number=False)
+    kept = sifter.sift(pages(t), pats(t, _MARKUP), number=False)
     return kept.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("kept"), F.count_if(F.col("dist") == 0).alias("exact"), F.countDistinct("stream_id").alias("streams"))
 
 

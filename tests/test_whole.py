@@ -69,3 +69,16 @@ def test_retrieval_labels_and_window(spark, small):
     online = {i: len(reference.sift("therein", t, 2)) for i, t in around.items()}
     assert got(spark, small, "w1_doc_window", "stream_id", "exhaustive", "online") == [(i, exhaustive[i], online[i]) for i in sorted(around) if exhaustive[i]]
     assert {2, 3, 4} & {i for i in around if exhaustive[i]}
+
+
+def test_whole_pages(spark, tmp_path):
+    """Patterns beyond the first 2,000 symbols of a page."""
+    rng = random.Random(5)
+    pages = [(i, "<html><article>" + "".join(rng.choice("ab <>/") for _ in range(size)) + "<style>x</style><script></footer></html>") for i, size in ((1, 60), (2, 2100))]
+    spark.createDataFrame([(i, f"http://a/{i}", h) for i, h in pages], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    kept = sifted(pages, [(0, "<article", 1), (1, "</footer", 2)])
+    assert any(r[0] == 2 and r[1] == 1 and r[2] > 2000 and r[4] == 0 for r in kept)
+    assert got(spark, str(tmp_path), "online_sift_pages", "stream_id", "pattern_id", "start", "len", "dist") == kept
+    kept = sifted(pages, [(0, "<script>", 2), (1, "<style>", 2)])
+    expected = [(n, sum(r[1] == n for r in kept), sum(r[1] == n and r[4] == 0 for r in kept), len({r[0] for r in kept if r[1] == n})) for n in (0, 1)]
+    assert got(spark, str(tmp_path), "w10_signatures_pages", "pattern_id", "kept", "exact", "streams") == expected

@@ -313,22 +313,18 @@ def _(t):
     return sifter.sift_bank(events(t), pats(t, MIXED))
 
 
-_BANK = "(SELECT item_id::INTEGER AS pattern_id, substr(regexp_replace(lower(text), '[^a-z ]', '?', 'g'), 1, 16) AS pattern, 16 AS lp, 4 AS k_max FROM benchmark WHERE length(text) >= 16)"
-_BANK_DOCS = "lang = 'en' AND n_chars <= 600"
-
-
 def _bank(t: Tables) -> DataFrame:
     return S.pattern_bank(t.benchmark, F.col("item_id"), S.fold_ascii(F.col("text")), 16, 4)
 
 
-@query("bank_sift_docs40", Q.all_of(Q.sift(Q.hits(Q.docs(_BANK_DOCS), _BANK), 4)))
+@query("bank_sift_docs40")
 def _(t):
-    return sifter.sift_bank(docs(t, _BANK_DOCS), _bank(t))
+    return sifter.sift_bank(docs(t), _bank(t))
 
 
-@query("w7_bank40", "SELECT pattern_id, count(*) AS kept, min(dist)::INTEGER AS best FROM " + Q.sift(Q.hits(Q.docs(_BANK_DOCS), _BANK), 4, validation="interval") + " GROUP BY pattern_id")
+@query("w7_bank40")
 def _(t):
-    kept = sifter.sift_bank(docs(t, _BANK_DOCS), _bank(t), validation="interval")
+    kept = sifter.sift_bank(docs(t), _bank(t), validation="interval")
     return kept.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("kept"), F.min("dist").alias("best"))
 
 

@@ -82,3 +82,19 @@ def test_whole_pages(spark, tmp_path):
     kept = sifted(pages, [(0, "<script>", 2), (1, "<style>", 2)])
     expected = [(n, sum(r[1] == n for r in kept), sum(r[1] == n and r[4] == 0 for r in kept), len({r[0] for r in kept if r[1] == n})) for n in (0, 1)]
     assert got(spark, str(tmp_path), "w10_signatures_pages", "pattern_id", "kept", "exact", "streams") == expected
+
+
+def test_bank_over_all_documents(spark, tmp_path):
+    """A bank's pattern in a long English text and in a German one."""
+    items = [(7, "Sixteen symbols it has"), (8, "another benchmark"), (9, "too short")]
+    rng = random.Random(6)
+    noise = "".join(rng.choice("abcde ") for _ in range(640))
+    texts = [(1, noise + " sixteen symbols it has", "en"), (2, "wir haben another benchmxrk hier", "de"), (3, "sixteen symbol it has", "en")]
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([(i, t, lang, len(t)) for i, t, lang in texts], "doc_id long, text string, lang string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    bank = [(i, fold(t)[:16], 4) for i, t in items if len(t) >= 16]
+    kept = sifted([(i, fold(t)) for i, t, _ in texts], bank)
+    assert {r[0] for r in kept} == {1, 2, 3}
+    assert got(spark, str(tmp_path), "bank_sift_docs40", "stream_id", "pattern_id", "start", "len", "dist") == kept
+    kept = sifted([(i, fold(t)) for i, t, _ in texts], bank, validation="interval")
+    assert got(spark, str(tmp_path), "w7_bank40", "pattern_id", "kept", "best") == [(n, sum(r[1] == n for r in kept), min(r[4] for r in kept if r[1] == n)) for n in (7, 8)]

@@ -265,9 +265,9 @@ def _(t):
 _DENSE = [(0, "acgta", 3)]
 
 
-@query("resync_fold", "SELECT stream_id, pattern_id, start, len, dist, decided_at FROM " + Q.sift(Q.hits("(SELECT * FROM " + LI + " WHERE stream_id <= 12)", Q.patterns(_DENSE)), 3))
+@query("resync_fold", "SELECT stream_id, pattern_id, start, len, dist, decided_at FROM " + Q.sift(Q.hits(LI, Q.patterns(_DENSE)), 3))
 def _(t):
-    return resync.resync_fold(hits.find_hits(lines4(t).where("stream_id <= 12"), pats(t, _DENSE)), 4, width=50)
+    return resync.resync_fold(hits.find_hits(lines4(t), pats(t, _DENSE)), 4, width=50)
 
 
 @query("kernel_engine_blocks", Q.all_of(Q.sift(LIH, 2, tie="shortest", validation="interval")))

@@ -98,3 +98,19 @@ def test_bank_over_all_documents(spark, tmp_path):
     assert got(spark, str(tmp_path), "bank_sift_docs40", "stream_id", "pattern_id", "start", "len", "dist") == kept
     kept = sifted([(i, fold(t)) for i, t, _ in texts], bank, validation="interval")
     assert got(spark, str(tmp_path), "w7_bank40", "pattern_id", "kept", "best") == [(n, sum(r[1] == n for r in kept), min(r[4] for r in kept if r[1] == n)) for n in (7, 8)]
+
+
+def lineitems(spark, folder, suppliers, count, seed=8):
+    """The letters of line items by supplier, for quantities from 0 to 3."""
+    rng = random.Random(seed)
+    rows = [(order, 1, supplier, 1, rng.randrange(4), order) for supplier in suppliers for order in range(count)]
+    made = spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_suppkey long, l_partkey long, q int, day int")
+    made.selectExpr("l_orderkey", "l_linenumber", "l_suppkey", "l_partkey", "double(q) l_quantity", "date_add(date'1995-01-01', day) l_shipdate").write.parquet(f"{folder}/lineitem.parquet")
+    return {s: [r[4] for r in rows if r[2] == s] for s in suppliers}
+
+
+def test_fold_of_all_streams(spark, tmp_path):
+    letters = lineitems(spark, tmp_path, (3, 13, 500), 70)
+    kept = sifted([(i, "".join("acgt"[q] for q in own)) for i, own in letters.items()], [(0, "acgta", 3)])
+    assert {r[0] for r in kept} == {3, 13, 500}
+    assert got(spark, str(tmp_path), "resync_fold", "stream_id", "pattern_id", "start", "len", "dist") == kept

@@ -42,6 +42,10 @@ def lines16(t: Tables) -> DataFrame:
     return S.build_streams(t.lineitem, F.col("l_suppkey") % 16, LINE_ORDER, _letter("ABCD"))
 
 
+def lines100(t: Tables) -> DataFrame:
+    return S.build_streams(t.lineitem, F.col("l_suppkey") % 100, LINE_ORDER, _letter("ABCD"))
+
+
 def lines6(t: Tables) -> DataFrame:
     pair = F.concat("l_returnflag", "l_linestatus")
     return S.build_streams(t.lineitem, F.col("l_partkey"), LINE_ORDER, F.substr(F.lit("ABCDEF"), (F.floor(F.instr(F.lit("AFANRFRNAONO"), pair) / 2) + 1).cast("int"), F.lit(1)))

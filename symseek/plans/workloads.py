@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from symseek.functions import costmodel as C
 from symseek.operators import baselines, hits, measures, sifter
 from symseek.plans import sqltext as Q
-from symseek.plans.methods import EV_PATTERNS, EVH, conversations, docs, embeddings, ev_hits, ev_kept, events, given, lines4, lines16, pages, pats
+from symseek.plans.methods import EV_PATTERNS, EVH, conversations, docs, embeddings, ev_hits, ev_kept, events, given, lines4, lines16, lines100, pages, pats
 from symseek.plans.registry import Tables, query
 from symseek.sources import streams as S
 
@@ -190,11 +190,11 @@ def _(t):
 
 _TEST_TEXT = "ABDCABCCDBADCBA"
 _SWEEP = [(lp, _TEST_TEXT[:lp], 3) for lp in (5, 7, 10, 15)]
-_LIM = Q.cut("(SELECT * FROM " + Q.LINES16 + " WHERE stream_id < 4)", 3104)
+_LIM = Q.cut(Q.LINES16, 3104)
 
 
 def test_streams(t: Tables) -> DataFrame:
-    return S.first_symbols(lines16(t).where("stream_id < 4"), 3104)
+    return S.first_symbols(lines16(t), 3104)
 
 
 def _summary(found: DataFrame, kept: DataFrame) -> DataFrame:
@@ -222,16 +222,16 @@ def _(t):
 K_SWEEP = [(10 * lp + k, _TEST_TEXT[:lp], k) for lp in (5, 15) for k in (2, 3, 4, 5)]
 
 
-@query("w4_k_sweep", _summary_sql(Q.hits("(SELECT * FROM " + _LIM + " WHERE stream_id < 2)", Q.patterns(K_SWEEP)), 5))
+@query("w4_k_sweep", _summary_sql(Q.hits(_LIM, Q.patterns(K_SWEEP)), 5))
 def _(t):
     table = pats(t, K_SWEEP)
-    found = hits.find_hits(test_streams(t).where("stream_id < 2"), table)
+    found = hits.find_hits(test_streams(t), table)
     return _summary(found, sifter.sift_hits(found, 6, engine="iterator", number=False))
 
 
-@query("w5_trials", f"SELECT stream_id, count(*) AS kept FROM {Q.sift(Q.hits(Q.cut(Q.LINES16, 3104), Q.patterns([(0, _TEST_TEXT[:7], 3)])), 3)} GROUP BY stream_id")
+@query("w5_trials", f"SELECT stream_id, count(*) AS kept FROM {Q.sift(Q.hits(Q.cut(Q.LINES100, 3104), Q.patterns([(0, _TEST_TEXT[:7], 3)])), 3)} GROUP BY stream_id")
 def _(t):
-    kept = sifter.sift(S.first_symbols(lines16(t), 3104), pats(t, [(0, _TEST_TEXT[:7], 3)]), number=False)
+    kept = sifter.sift(S.first_symbols(lines100(t), 3104), pats(t, [(0, _TEST_TEXT[:7], 3)]), number=False)
     return kept.groupBy("stream_id").agg(F.count(F.lit(1)).alias("kept"))
 
 

@@ -114,3 +114,20 @@ def test_fold_of_all_streams(spark, tmp_path):
     kept = sifted([(i, "".join("acgt"[q] for q in own)) for i, own in letters.items()], [(0, "acgta", 3)])
     assert {r[0] for r in kept} == {3, 13, 500}
     assert got(spark, str(tmp_path), "resync_fold", "stream_id", "pattern_id", "start", "len", "dist") == kept
+
+
+def test_speed_streams(spark, tmp_path):
+    """Streams beyond the first four, and trials by 100 numbers."""
+    letters = lineitems(spark, tmp_path, (1, 5, 21, 99), 24)
+    by = lambda n: {k: "".join("ABCD"[q] for day in range(24) for i in sorted(letters) if i % n == k for q in [letters[i][day]]) for k in {i % n for i in letters}}
+    trials = Counter(r[0] for r in sifted(list(by(100).items()), [(0, "ABDCABC", 3)]))
+    assert got(spark, str(tmp_path), "w5_trials", "stream_id", "kept") == sorted(trials.items()) and set(trials) == {1, 5, 21, 99}
+    for name, sweep in (("w3_lp_sweep", [(n, "ABDCABCCDBADCBA"[:n], 3) for n in (5, 7, 10, 15)]), ("w4_k_sweep", [(10 * n + k, "ABDCABCCDBADCBA"[:n], k) for n in (5, 15) for k in (2, 3, 4, 5)])):
+        texts = list(by(16).items())
+        expected = []
+        for n, p, k in sweep:
+            found = [(i, *h) for i, t in texts for h in reference.hits(p, t, k)]
+            kept = sifted(texts, [(n, p, k)])
+            if kept:
+                expected.append((n, len(found), len({(i, s + m) for i, s, m, _ in found}), len(kept)))
+        assert got(spark, str(tmp_path), name, "pattern_id", "hits", "ends", "kept") == expected

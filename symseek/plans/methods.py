@@ -102,19 +102,19 @@ def ev_kept(t: Tables, **options) -> DataFrame:
 # Distances.
 
 
-@query("edit_distance", "SELECT stream_id, levenshtein('SVCPE', substr(text, 1, 8))::INTEGER AS dist FROM " + EV)
+@query("edit_distance", "SELECT stream_id, levenshtein('SVCPE', text)::INTEGER AS dist FROM " + EV)
 def _(t):
-    return events(t).select("stream_id", D.edit_distance(F.lit("SVCPE"), F.substring("text", 1, 8)).alias("dist"))
+    return events(t).select("stream_id", D.edit_distance(F.lit("SVCPE"), F.col("text")).alias("dist"))
 
 
-@query("edit_within", "SELECT stream_id, CASE WHEN d <= 5 THEN d END AS dist FROM (SELECT stream_id, levenshtein('SVCPE', substr(text, 1, 8))::INTEGER AS d FROM " + EV + ")")
+@query("edit_within", "SELECT stream_id, CASE WHEN d <= 5 THEN d END AS dist FROM (SELECT stream_id, levenshtein('SVCPE', text)::INTEGER AS d FROM " + EV + ")")
 def _(t):
-    return events(t).select("stream_id", D.edit_distance_within(F.lit("SVCPE"), F.substring("text", 1, 8), 5).alias("dist"))
+    return events(t).select("stream_id", D.edit_distance_within(F.lit("SVCPE"), F.col("text"), 5).alias("dist"))
 
 
-@query("dp_last_row", "SELECT stream_id, m::INTEGER AS m, levenshtein('CVPSEC', substr(text, 1, m))::INTEGER AS dist FROM (SELECT *, unnest(range(0, 13)) AS m FROM " + EV + ")")
+@query("dp_last_row", "SELECT stream_id, m::INTEGER AS m, levenshtein('CVPSEC', substr(text, 1, m::BIGINT))::INTEGER AS dist FROM (SELECT *, unnest(range(0, n + 1)) AS m FROM " + EV + ")")
 def _(t):
-    return events(t).select("stream_id", F.posexplode(D.dp_last_row(F.lit("CVPSEC"), F.substring("text", 1, 12))).alias("m", "dist"))
+    return events(t).select("stream_id", F.posexplode(D.dp_last_row(F.lit("CVPSEC"), F.col("text"))).alias("m", "dist"))
 
 
 @query("dp_matrix", "SELECT n::INTEGER AS n, m::INTEGER AS m, levenshtein(substr('ABCD', 1, n), substr('ABBDA', 1, m))::INTEGER AS c FROM range(0, 5) a(n), range(0, 6) b(m)")
@@ -360,12 +360,12 @@ def _(t):
     return hits.hamming_hits(events(t), pats(t, [(1, "SVCPE", 2)]))
 
 
-@query("indel_distance", f"""WITH RECURSIVE s AS (SELECT stream_id, substr(text, 1, 10) AS text FROM {EV}),
+@query("indel_distance", f"""WITH RECURSIVE s AS (SELECT stream_id, n, text FROM {EV}),
 sub AS (SELECT bits, array_to_string(list_transform(list_filter(range(0, 5), lambda i: (bits >> i) & 1 = 1), lambda i: substr('SVCPE', i + 1, 1)), '') AS part FROM range(32) b(bits)),
-best AS (SELECT stream_id, max(length(part)) AS common FROM s, sub WHERE regexp_matches(text, array_to_string(list_transform(string_split(part, ''), lambda c: c), '.*')) GROUP BY stream_id)
-SELECT stream_id, (5 + 10 - 2 * common)::INTEGER AS dist FROM best""")
+best AS (SELECT stream_id, n, max(length(part)) AS common FROM s, sub WHERE regexp_matches(text, array_to_string(list_transform(string_split(part, ''), lambda c: c), '.*')) GROUP BY stream_id, n)
+SELECT stream_id, (5 + n - 2 * common)::INTEGER AS dist FROM best""")
 def _(t):
-    return events(t).select("stream_id", D.indel_distance(F.lit("SVCPE"), F.substring("text", 1, 10)).cast("int").alias("dist"))
+    return events(t).select("stream_id", D.indel_distance(F.lit("SVCPE"), F.col("text")).cast("int").alias("dist"))
 
 
 @query("episode_hits", f"""SELECT stream_id, 1 AS pattern_id, start, len::INTEGER AS len, (len - 4)::INTEGER AS dist FROM (

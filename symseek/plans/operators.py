@@ -283,12 +283,12 @@ def _(t):
     )
 
 
-_CODES = "(SELECT stream_id, list_transform(string_split(substr(text, 1, 12), ''), lambda c: ascii(c)::INTEGER) AS a FROM " + Q.EVENTS + ")"
+_CODES = "(SELECT stream_id, list_transform(string_split(text, ''), lambda c: ascii(c)::INTEGER) AS a FROM " + Q.EVENTS + ")"
 
 
 @query("array_functions", f"""SELECT stream_id, list_transform(a, lambda x: x + 1) AS more, list_filter(a, lambda x: x > 70) AS large, list_sum(a)::BIGINT AS total, a[2:4] AS part, list_sort(a) AS sorted, list_has_any(a, [67, 86]) AS has, list_position(a, 80)::BIGINT AS at, list_sort(list_distinct(a)) AS once FROM {_CODES}""")
 def _(t):
-    a = F.transform(F.filter(F.split(F.substring("text", 1, 12), ""), lambda c: c != ""), lambda c: F.ascii(c))
+    a = F.transform(F.filter(F.split(F.col("text"), ""), lambda c: c != ""), lambda c: F.ascii(c))
     return events(t).select("stream_id", a.alias("a")).select(
         "stream_id", F.transform("a", lambda x: x + 1).alias("more"), F.filter("a", lambda x: x > 70).alias("large"), F.aggregate("a", F.lit(0).cast("long"), lambda s, x: s + x).alias("total"), F.slice("a", 2, 3).alias("part"),
         F.array_sort("a").alias("sorted"), F.arrays_overlap("a", F.array(F.lit(67), F.lit(86))).alias("has"), F.nullif(F.array_position("a", 80), F.lit(0).cast("long")).alias("at"), F.array_sort(F.array_distinct("a")).alias("once"),

@@ -9,6 +9,7 @@ import pytest
 import __spark_entry__ as entry
 import reference
 from symseek.plans.methods import DOC_PATTERNS
+from test_entry import same
 
 WORDS = "the and attention interesting therefore therein without interest ring und der nicht bench".split()
 
@@ -131,3 +132,28 @@ def test_speed_streams(spark, tmp_path):
             if kept:
                 expected.append((n, len(found), len({(i, s + m) for i, s, m, _ in found}), len(kept)))
         assert got(spark, str(tmp_path), name, "pattern_id", "hits", "ends", "kept") == expected
+
+
+def common(a, b):
+    row = [0] * (len(b) + 1)
+    for x in a:
+        old, row = row, [0]
+        for j, y in enumerate(b):
+            row.append(old[j] + 1 if x == y else max(row[-1], old[j + 1]))
+    return row[-1]
+
+
+def test_distances_to_whole_streams(spark, tables):
+    texts = sorted((r["stream_id"], r["text"]) for r in entry.queries()["build_streams_events"](spark, tables).collect())
+    assert max(len(t) for _, t in texts) > 12
+    whole = [(i, reference.distance("SVCPE", t)) for i, t in texts]
+    assert got(spark, tables, "edit_distance", "stream_id", "dist") == whole
+    assert sorted(got(spark, tables, "edit_within", "stream_id", "dist"), key=lambda r: r[0]) == [(i, d if d <= 5 else None) for i, d in whole]
+    assert got(spark, tables, "dp_last_row", "stream_id", "m", "dist") == [(i, m, reference.distance("CVPSEC", t[:m])) for i, t in texts for m in range(len(t) + 1)]
+    assert got(spark, tables, "indel_distance", "stream_id", "dist") == [(i, 5 + len(t) - 2 * common("SVCPE", t)) for i, t in texts]
+    assert got(spark, tables, "array_functions", "stream_id", "more", "total") == [(i, tuple(ord(c) + 1 for c in t), sum(map(ord, t))) for i, t in texts]
+
+
+@pytest.mark.parametrize("name", ["edit_distance", "edit_within", "dp_last_row", "indel_distance", "array_functions"])
+def test_distances_against_sql(spark, tables, name):
+    same(spark, tables, name)

@@ -53,9 +53,9 @@ def _(t):
     return lines4(t)
 
 
-@query("unpack_streams", f"SELECT stream_id, pos, substr(text, (pos + 1)::BIGINT, 1) AS sym FROM (SELECT *, unnest(range(0, n)) AS pos FROM {Q.docs('n_chars <= 200')})")
+@query("unpack_streams", f"SELECT stream_id, pos, substr(text, (pos + 1)::BIGINT, 1) AS sym FROM (SELECT *, unnest(range(0, n)) AS pos FROM {Q.docs('true')})")
 def _(t):
-    return S.unpack_streams(docs(t, "n_chars <= 200"))
+    return S.unpack_streams(docs(t))
 
 
 @query("kmer_counts", f"SELECT substr(text, (pos + 1)::BIGINT, 6) AS kmer, count(*) AS n FROM (SELECT *, unnest(range(0, n - 5)) AS pos FROM {LI}) GROUP BY kmer")
@@ -111,10 +111,10 @@ def _(t):
     return near.distinct()
 
 
-@query("asof_last_event", "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, o_orderkey AS last_order FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_suppkey AS k FROM lineitem WHERE l_linenumber = 1) l ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_orderkey) AS o_orderkey FROM orders GROUP BY ALL) o ON l.k = o.o_custkey AND l.l_shipdate >= o.o_orderdate")
+@query("asof_last_event", "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, o_orderkey AS last_order FROM (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_suppkey AS k FROM lineitem) l ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_orderkey) AS o_orderkey FROM orders GROUP BY ALL) o ON l.k = o.o_custkey AND l.l_shipdate >= o.o_orderdate")
 def _(t):
-    """The latest order of the customer with the supplier's number, at or before each first line's shipment: both sides in one order of time."""
-    lines = t.lineitem.where("l_linenumber = 1").select(F.col("l_suppkey").alias("k"), F.col("l_shipdate").alias("at"), F.lit(1).alias("side"), F.struct("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate").alias("line"), F.lit(None).cast("long").alias("o"))
+    """The latest order of the customer with the supplier's number, at or before each line's shipment: both sides in one order of time."""
+    lines = t.lineitem.select(F.col("l_suppkey").alias("k"), F.col("l_shipdate").alias("at"), F.lit(1).alias("side"), F.struct("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate").alias("line"), F.lit(None).cast("long").alias("o"))
     placed = t.orders.groupBy(F.col("o_custkey").alias("k"), F.col("o_orderdate").alias("at")).agg(F.max("o_orderkey").alias("o")).select("k", "at", F.lit(0).alias("side"), F.lit(None).cast(lines.schema["line"].dataType).alias("line"), "o")
     last = F.last("o", ignorenulls=True).over(Window.partitionBy("k").orderBy("at", "side").rowsBetween(Window.unboundedPreceding, 0))
     return lines.unionByName(placed).withColumn("last_order", last).where("side = 1").select("line.*", "last_order")

@@ -157,3 +157,14 @@ def test_distances_to_whole_streams(spark, tables):
 @pytest.mark.parametrize("name", ["edit_distance", "edit_within", "dp_last_row", "indel_distance", "array_functions"])
 def test_distances_against_sql(spark, tables, name):
     same(spark, tables, name)
+
+
+def test_all_symbols_and_lines(spark, small, tables):
+    assert got(spark, small, "unpack_streams", "stream_id", "pos", "sym") == [(i, at, c) for i, t, _ in DOCS for at, c in enumerate(fold(t))]
+    lines = spark.read.parquet(f"{tables}/lineitem.parquet").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate").collect()
+    placed = {}
+    for r in spark.read.parquet(f"{tables}/orders.parquet").collect():
+        placed.setdefault(r["o_custkey"], []).append((r["o_orderdate"], r["o_orderkey"]))
+    expected = Counter((*r, max((o for o in placed.get(r["l_suppkey"], ()) if o[0] <= r["l_shipdate"]), default=(None, None))[1]) for r in lines)
+    assert len({r["l_linenumber"] for r in lines}) > 1
+    assert Counter(tuple(r) for r in entry.queries()["asof_last_event"](spark, tables).collect()) == expected

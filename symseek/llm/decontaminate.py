@@ -10,6 +10,8 @@ of an item's fingerprint is found from every value within t_b bits of it, where
 that no fingerprint within the radius is missed. Equal-sized sets with similarity 0.8 differ in 19.4 bits on average, with a
 standard deviation of 4.1; the radius of 40 bits lies five deviations above. Pairs within the radius are then compared exactly.
 
+A document of fewer words than an item is one window, compared exactly whatever its fingerprint.
+
 Windows that share no shingle with any item have similarity 0 with all of them and get no fingerprint. Nothing is shuffled: items
 are a stated query set, taken in blocks of bounded size, and each block goes over all documents.
 
@@ -120,6 +122,8 @@ class ItemIndex:
             for (i, n), places in starts.items():
                 if places:
                     self._compare(self.classes[n], i, n, grams, np.array(sorted(places)), threshold, best)
+                else:
+                    self._compare_short(self.classes[n], i, grams, int(w.first[i]), int(w.first[i + 1]), threshold, best)
         return [(i, item, -s, bits, at - int(w.first[i]), n) for (i, item), (s, at, bits, n) in sorted(best.items())]
 
     def _compare(self, size: SizeClass, i: int, n: int, grams: np.ndarray, starts: np.ndarray, threshold: float, best: dict) -> None:
@@ -143,6 +147,19 @@ class ItemIndex:
                     if found < best.get((i, size.items[item]), (1,)):
                         best[i, size.items[item]] = found
 
+    def _compare_short(self, size: SizeClass, i: int, grams: np.ndarray, at: int, end: int, threshold: float, best: dict) -> None:
+        """A text of fewer words than the items of a class: one window, compared with each of them."""
+        count = end - at - size.width + 1
+        if count / size.shingles < threshold:  # more than that can't be shared
+            return
+        own = Counter(grams[at : at + count].tolist())
+        bits = _POPCOUNT[simhash(grams[at : at + count], np.array([0]), count) ^ size.prints].sum(1, dtype=np.int64).tolist()
+        for item, other in enumerate(size.weights):
+            both = sum(min(c, other[x]) for x, c in own.items() if x in other)
+            similarity = both / (count + size.shingles - both)
+            if similarity >= threshold:
+                best[i, size.items[item]] = (-similarity, at, bits[item], end - at)
+
 
 def find_items(docs: DataFrame, items: DataFrame, *, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", threshold: float = 0.8, radius: int = RADIUS, block_bytes: int = 8 << 20) -> DataFrame:
     """key, item, similarity, bits_apart, first_word, n_words for every item that a document holds.

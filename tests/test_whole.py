@@ -168,3 +168,16 @@ def test_all_symbols_and_lines(spark, small, tables):
     expected = Counter((*r, max((o for o in placed.get(r["l_suppkey"], ()) if o[0] <= r["l_shipdate"]), default=(None, None))[1]) for r in lines)
     assert len({r["l_linenumber"] for r in lines}) > 1
     assert Counter(tuple(r) for r in entry.queries()["asof_last_event"](spark, tables).collect()) == expected
+
+
+def test_document_shorter_than_an_item(spark):
+    """A whole document that is an item short of its last word; half an item isn't one."""
+    pytest.importorskip("symseek.llm.decontaminate")
+    from symseek.llm import decontaminate
+
+    words = [f"w{i}" for i in range(20)]
+    texts = [(1, " ".join(words[:-1])), (2, " ".join(words[:10])), (3, " ".join(words[1:])), (4, " ".join(words))]
+    docs, items = spark.createDataFrame(texts, "doc_id long, text string"), spark.createDataFrame([(5, " ".join(words))], "item_id long, text string")
+    found = {r["doc_id"]: (r["similarity"], r["n_words"]) for r in decontaminate.find_items(docs, items).collect()}
+    assert found == {1: (15 / 16, 19), 3: (15 / 16, 19), 4: (1.0, 20)}
+    assert [r["doc_id"] for r in decontaminate.without_items(docs, items).collect()] == [2]

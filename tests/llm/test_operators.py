@@ -302,14 +302,47 @@ def test_repeats_against_brute_force(spark):
     for i, w in words.items():
         gone = {p for at in range(len(w) - width + 1) if firsts[tuple(w[at : at + width])] < i for p in range(at, at + width)}
         expected[i] = (len(w), len(gone), b" ".join(x for p, x in enumerate(w) if p not in gone).decode())
-    for hot in (2_000, 3):
-        got = substring_dedup.remove_repeats(d, width=width, seed=4, hot=hot).collect()
+    for crowd in (2_000, 3, 1):
+        got = substring_dedup.remove_repeats(d, width=width, seed=4, crowd=crowd).collect()
         assert len(got) == len(texts) + 2
         for r in got:
             assert (r["n_words"], r["n_removed"], r["kept"]) == expected[r["doc_id"]], r["doc_id"]
     assert substring_dedup.remove_repeats(d.limit(0)).count() == 0
 
 
+def test_common_passage_in_many_documents(spark):
+    """One passage between words of their own: each document adds a few rows to the last join, and not one for each window."""
+    rng = random.Random(3)
+    passage = [f"p{i}" for i in range(90)]
+    word = lambda: f"w{rng.randrange(10**6)}"
+    n = 400
+    texts = [" ".join([word() for _ in range(40)] + passage + [word() for _ in range(40)]) for _ in range(n)]
+    d = docs(spark, texts)
+    for crowd in (2_000, 50):
+        out = substring_dedup.remove_repeats(d, crowd=crowd)
+        got = out.collect()
+        assert all(r["n_words"] == 170 and r["n_removed"] == (90 if r["doc_id"] else 0) and (r["doc_id"] == 0 or "p" not in r["kept"]) for r in got)
+    w = words_of(pa.array(texts[:1]))
+    inner = substring_dedup.super_kmers(w, 50, 16)
+    assert len(inner[0]) < 20  # super-k-mers of a whole document of 121 windows
+
+
+def test_cut_runs_keep_equal_windows_together():
+    """Whatever windows take part, equal windows of two texts get equal minimisers."""
+    rng = random.Random(9)
+    vocabulary = [f"v{i}" for i in range(6)]
+    texts = [" ".join(rng.choices(vocabulary, k=60)) for _ in range(30)]
+    w = words_of(pa.array(texts))
+    wanted = np.array([rng.random() < 0.7 for _ in w.hashes])
+    text, start, n, mini = substring_dedup.super_kmers(w, 8, 5, wanted)
+    of = {}
+    for t, s, c, m in zip(text.tolist(), start.tolist(), n.tolist(), mini.tolist(), strict=True):
+        for i in range(s, s + c):
+            assert wanted[w.first[t] + i] and of.setdefault(tuple(texts[t].split()[i : i + 8]), m) == m
+    assert sum(n) == sum(bool(wanted[w.first[t] + i]) for t in range(30) for i in range(53))
+    assert substring_dedup.wider_seeds(50, 16) == [38, 50] and substring_dedup.wider_seeds(8, 8) == []
+
+
 # 9: media
 
 

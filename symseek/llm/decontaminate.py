@@ -200,5 +200,5 @@ def _search(rows: DataFrame, shared, kinds: dict[str, str], threshold: float, ra
 
 def without_items(docs: DataFrame, items: DataFrame, *, key: str = "doc_id", **options) -> DataFrame:
     """The documents that hold no item, with all their columns. Documents with a null key stay."""
-    found = find_items(docs, items, key=key, **options).select(F.col(key).alias("__held")).distinct()
-    return docs.join(found, docs[key] == F.col("__held"), "left_anti")
+    found = find_items(docs, items, key=key, **options).select(key).distinct()
+    return docs.join(found, key, "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -27,7 +27,7 @@ def docs(spark, texts, **columns):
 
 def clashing(df):
     """The same table with extra columns whose names the operators use inside."""
-    for name in ("k", "id", "h", "body", "score", "gone", "n", "rep", "seed", "held"):
+    for name in ("k", "id", "h", "body", "score", "gone", "n", "rep", "seed", "held", "extra_id", "__held", "row", "bucket", "packed", "around"):
         df = df.withColumn(name, F.lit("x"))
     return df
 
@@ -187,20 +187,66 @@ def test_marked_content(spark):
 def test_differencing(spark):
     body = lambda own: f"<body><p>Site name</p><div><p>{own} first</p><p>{own} second</p></div><p>Imprint</p></body>"
     rows = [(f"http://h/x/{i}", body(f"page {i}")) for i in range(5)] + [("http://other/x/1", "<p>Site name</p>"), ("http://h/x/0?copy", body("page 0"))]
-    got = by_id(html_extract.extract(pages(spark, *rows).repartition(3)), "text")
-    left = {i: f"page {i} first\npage {i} second" for i in range(1, 5)}
-    # page 0 has only its copy beside it, which says nothing; the copy also has page 1
-    assert got == {**left, 0: "Site name\npage 0 first\npage 0 second\nImprint", 5: "Site name", 6: "page 0 first\npage 0 second"}
+    for near in (1, 2):
+        got = by_id(html_extract.extract(pages(spark, *rows).repartition(3), near=near), "text")
+        own = {i: f"page {i} first\npage {i} second" for i in range(5)} | {6: "page 0 first\npage 0 second"}
+        if near == 1:  # of the two copies, one has only the other beside it, which says nothing
+            whole = [i for i in (0, 6) if got[i] != own[i]]
+            assert len(whole) == 1 and got[whole[0]] == f"Site name\n{own[whole[0]]}\nImprint"
+            own[whole[0]] = got[whole[0]]
+        assert got == {**own, 5: "Site name"}
     assert html_extract.extract(pages(spark, *rows).limit(0)).count() == 0
 
 
-def test_longest_common_subsequence():
+def test_nothing_of_an_article_is_lost(spark):
+    """Names of classes that articles use, formulas, embedded and hidden content stay; a suspicious class needs neighbours that share its slot."""
+    inner = (
+        "<section class='discussion related'><p>A <math><mi>x</mi></math> and <svg><text>label</text></svg>.</p></section><p class='legal-note'>Law</p><p hidden>More</p>"
+        "<object>fallback</object> <noscript>plain</noscript><div class='search-result reply notice'>Found</div>"
+    )
+    page = lambda i, more="": f"<nav><a>n{i}</a></nav><article><h1>T{i}</h1>{inner}{more}</article><div class='foot'>f{i}</div>"
+    ad = "<div class='ad'>Buy {}</div>"
+    rows = [(f"http://h/{i}", page(i, ad.format(i) if i in (1, 2) else "")) for i in range(3)] + [("http://lone/1", page(9, ad.format(9))), ("http://pair/1", page(7, ad.format(7))), ("http://pair/2", page(8))]
+    got = by_id(html_extract.extract(pages(spark, *rows)), "text", "n_differenced", "n_by_markup")
+    kept = "T{}\nA x and label.\nLaw\nMore\nfallback plain\nFound"
+    assert got[0] == (kept.format(0), 2, 0) and got[1] == (kept.format(1), 3, 0) and got[2] == (kept.format(2), 3, 0)
+    assert got[3] == (kept.format(9), 0, 3)  # nobody to ask
+    assert got[4] == (kept.format(7) + "\nBuy 7", 2, 0)  # a neighbour, which has no such slot
+
+
+def test_neighbours_and_deletion_against_brute_force(spark, tables):
+    df = table(spark, tables, "pages")
+    rows = sorted((r for r in df.collect()), key=lambda r: r["page_id"])
+    host = lambda u: re.match(r"\w+://([^/?#]*)", u)[1].lower()
+    path = lambda u: re.match(r"\w+://[^/?#]*([^?#]*)", u)[1]
+    ids = {r["page_id"]: r["row"] for r in df.select("page_id", F.xxhash64("page_id", "url", "html").alias("row")).collect()}
+    order = sorted(rows, key=lambda r: (host(r["url"]), path(r["url"]), ids[r["page_id"]]))
+    got = by_id(html_extract.extract(df), "text", "n_differenced", "n_by_markup")
+    parsed = {r["page_id"]: html_extract.lines_of(r["html"]) for r in rows}
+    for i, r in enumerate(order):
+        around = [order[j] for j in (i - 2, i - 1, i + 1, i + 2) if 0 <= j < len(order) and host(order[j]["url"]) == host(r["url"])]
+        lines = parsed[r["page_id"]]
+        open_lines = [k for k, x in enumerate(lines) if not x.main]  # every page of these tables marks an article
+        gone = set()
+        for other in around:
+            theirs = [x.slot for x in parsed[other["page_id"]] if not x.main]
+            mine = [lines[k].slot for k in open_lines]
+            common = max((c for n in range(len(mine) + 1) for c in itertools.combinations(range(len(mine)), n) if _subsequence([mine[x] for x in c], theirs)), key=len)
+            gone |= {open_lines[k] for k in common}
+        assert got[r["page_id"]][1] == len(gone) and got[r["page_id"]][2] == len(open_lines) - len(gone)
+        assert got[r["page_id"]][0] == "\n".join(x.text for x in lines if x.main)
+    assert sum(x[1] for x in got.values()) > 0
+
+
+def test_longest_common_subsequence(monkeypatch):
     rng = random.Random(4)
-    for _ in range(200):
-        a, b = ([rng.randint(0, 4) for _ in range(rng.randint(0, 9))] for _ in range(2))
-        best = max((n for n in range(len(a) + 1) for c in itertools.combinations(range(len(a)), n) if _subsequence([a[i] for i in c], b)), default=0)
-        found = sorted(html_extract.shared_lines(a, b))
-        assert len(found) == best and _subsequence([a[i] for i in found], b)
+    for pairs in (html_extract.PAIRS, 3, 0):
+        monkeypatch.setattr(html_extract, "PAIRS", pairs)
+        for _ in range(200):
+            a, b = ([rng.randint(0, 4) for _ in range(rng.randint(0, 9))] for _ in range(2))
+            best = max((n for n in range(len(a) + 1) for c in itertools.combinations(range(len(a)), n) if _subsequence([a[i] for i in c], b)), default=0)
+            found = sorted(html_extract.shared_lines(a, b))
+            assert len(found) == best and _subsequence([a[i] for i in found], b)
 
 
 def _subsequence(x, y):

@@ -36,3 +36,24 @@ def test_run(spark, tables):
     out = P.run(spark, tables)
     assert out.count() > 0 and out.where("not restored").count() == 0
     assert out.select("doc_id").distinct().count() < table(spark, tables, "documents").count()
+
+
+ODD = "doc_id long, text string, lang string, source string, n_chars long, extra_id long, __held string, row int, carried_0 string"
+
+
+def test_stages_on_odd_rows(spark, tables):
+    """Empty tables, null keys, repeated rows and clashing names: each stage keeps the columns and gives the defined result."""
+    base = " ".join(f"w{i}" for i in range(70))
+    odd = [(1, base, "en", "s", 9, 1, "a", 1, "x"), (1, base, "en", "s", 9, 1, "a", 1, "x"), (2, base, None, None, None, None, None, None, None), (None, base, "en", "s", 9, 1, "a", 1, "x"), (3, None, "en", "s", 0, 1, "a", 1, "x"), (4, "", "en", "s", 0, 1, "a", 1, "x")]
+    none, some = spark.createDataFrame([], ODD), spark.createDataFrame(odd, ODD)
+    for stage in (P.quality_classifier, P.near_copies, P.substring_removal, P.decontamination):
+        got = stage(spark, none, tables)
+        assert got.columns == none.columns and got.count() == 0
+    assert P.sampled_segmentations(spark, none, tables).count() == 0
+    ids = lambda df: sorted((r["doc_id"] is not None, r["doc_id"] or 0) for r in df.collect())
+    assert ids(P.near_copies(spark, some, tables)) == [(False, 0), (True, 1), (True, 1), (True, 3), (True, 4)]
+    cut = P.substring_removal(spark, some, tables).collect()
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in cut if r["text"]) == [(0, base), (1, base), (1, base)] and len(cut) == 6 and [r["__held"] for r in cut if r["doc_id"] == 2] == [None]
+    assert len(ids(P.decontamination(spark, some, tables))) == 6
+    assert P.sampled_segmentations(spark, some, tables).count() >= 6
+    assert P.quality_classifier(spark, some, tables).columns == some.columns

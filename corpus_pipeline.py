@@ -39,8 +39,8 @@ def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     found = ngram_join.near_copies(docs, n=5, percent=80)
-    extra = found.where(F.col("component_id") < F.col("doc_id")).select(F.col("doc_id").alias("extra_id")).distinct()
-    return docs.join(extra, docs["doc_id"] == F.col("extra_id"), "left_anti")
+    extra = found.where(F.col("component_id") < F.col("doc_id")).select("doc_id").distinct()
+    return docs.join(extra, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def substring_removal(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,8 +1,8 @@
 """Removal of repeated passages by super-k-mer partitioning.
 
 A window is `width` consecutive words of one document. Each window has a minimiser: the smallest hash of the
-runs of `seed` words in it, the leftmost on ties. Consecutive windows with the same minimiser make a super-k-mer, and travel
-as one packed string to the minimiser's bucket. Equal windows have equal minimisers, so they meet there, where sorting
+runs of `seed` words in it. Consecutive windows with the same minimiser make a super-k-mer, however often it occurs in them (a line that is
+repeated a hundred times is one), and travel as one packed string to the minimiser's bucket. Equal windows have equal minimisers, so they meet there, where sorting
 finds for each window the smallest doc_id with it. A document loses the words under windows that start in a document with
 a smaller doc_id too.
 
@@ -60,12 +60,12 @@ def super_kmers(w: Words, width: int, seed: int, wanted: np.ndarray | None = Non
     if not len(at):
         return empty, empty, empty, empty.astype(np.uint64)
     views = np.lib.stride_tricks.sliding_window_view(seeds, width - seed + 1)
-    least = np.concatenate([at[i : i + 32768] + views[at[i : i + 32768]].argmin(1) for i in range(0, len(at), 32768)])
+    least = np.concatenate([views[at[i : i + 32768]].min(1) for i in range(0, len(at), 32768)])
     new = np.ones(len(at), bool)
     new[1:] = (at[1:] != at[:-1] + 1) | (least[1:] != least[:-1]) | (text[at[1:]] != text[at[:-1]])
     begin = np.flatnonzero(new)
     first = at[begin]
-    return text[first], first - w.first[text[first]], np.diff(np.append(begin, len(at))), seeds[least[begin]]
+    return text[first], first - w.first[text[first]], np.diff(np.append(begin, len(at))), least[begin]
 
 
 def _places(docs: DataFrame, width: int, seed: int) -> DataFrame:

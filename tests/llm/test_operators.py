@@ -371,6 +371,8 @@ def test_common_passage_in_many_documents(spark):
     w = words_of(pa.array(texts[:1]))
     inner = substring_dedup.super_kmers(w, 50, 16)
     assert len(inner[0]) < 20  # super-k-mers of a whole document of 121 windows
+    line = substring_dedup.super_kmers(words_of(pa.array(["same line. " * 400])), 50, 16)
+    assert line[2].tolist() == [751]
 
 
 def test_cut_runs_keep_equal_windows_together():

@@ -107,6 +107,35 @@ def wavefront_last_row(pattern: np.ndarray, text: np.ndarray, *, by_counter: boo
     return row
 
 
+def wavefront_distances(codes: np.ndarray, starts: np.ndarray, pattern: np.ndarray, k: int, *, by_counter: bool = False) -> tuple[list[int], np.ndarray]:
+    """As band_distances, by anti-diagonals: the cells of a diagonal don't depend on each other, and neither do the starts."""
+    lp = len(pattern)
+    n = lp + k
+    lengths = list(range(max(1, lp - k), n + 1))
+    out = np.full((len(lengths), len(starts)), k + 1, np.int16)
+    # a register per pattern row 0 .. lp and start, for the last two diagonals
+    older, old = np.zeros((lp + 1, len(starts)), np.int16), np.ones((lp + 1, len(starts)), np.int16)
+    for d in range(2, lp + n + 1):
+        j = np.arange(max(1, d - n), min(lp, d - 1) + 1)
+        m = d - j
+        step = (pattern[j - 1][:, None] != codes[starts[None, :] + (m - 1)[:, None]]).astype(np.int16)
+        left, above, corner = old[j], old[j - 1], older[j - 1]
+        if by_counter:  # cell (j, 0) is j and cell (0, m) is m, from the step number and not from a register
+            row, column = j[:, None].astype(np.int16), m[:, None].astype(np.int16)
+            left, above = np.where(column == 1, row, left), np.where(row == 1, column, above)
+            corner = np.where(row == 1, column - 1, np.where(column == 1, row - 1, corner))
+        cell = np.minimum(np.minimum(left, above) + 1, corner + step)
+        older, old = old, old.copy()
+        old[j] = cell
+        if not by_counter:
+            if d <= lp:
+                old[d] = d
+            old[0] = d
+        if j[-1] == lp and d - lp >= lengths[0]:
+            out[d - lp - lengths[0]] = np.minimum(cell[-1], k + 1)
+    return lengths, out
+
+
 def free_start_row(pattern: np.ndarray, codes: np.ndarray) -> np.ndarray:
     """codes: texts x symbols. Least distance of the pattern to any run that ends at each symbol."""
     lp = len(pattern)

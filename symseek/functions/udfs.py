@@ -10,7 +10,7 @@ from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
 from symseek.functions import kernels
-from symseek.operators.sifter import Rules, SerialSifter
+from symseek.operators.fold import Rules, SerialSifter
 
 
 def hits_of(text: str, pattern: str, k: int) -> Iterator[tuple[int, int, int]]:

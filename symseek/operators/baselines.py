@@ -14,6 +14,7 @@ from symseek.functions import kernels
 from symseek.functions.distance import free_start_row
 from symseek.operators.hits import BLOCK, find_hits
 from symseek.operators.sifter import KEYS, split_islands
+from symseek.sources.scratch import written
 from symseek.sources.streams import block_streams, collected
 
 END_SCHEMA = "stream_id long, pattern_id int, end long, dist int"
@@ -72,7 +73,7 @@ def free_start_intervals(ends: DataFrame, hits: DataFrame) -> DataFrame:
 def offline_filter(hits: DataFrame, policy: str) -> DataFrame:
     """Filter a complete list of hits. `island_best`: of each island the least distance, then the earliest, then the shortest.
     `greedy`: again and again the best of what is left, dropping what it overlaps. `max_disjoint`: as many disjoint hits as possible."""
-    islands = split_islands(hits)
+    islands = split_islands(written(hits, "hits"))
     if policy == "island_best":
         best = Window.partitionBy(*KEYS, "island").orderBy("dist", "start", "len")
         return islands.withColumn("__nth", F.row_number().over(best)).where(F.col("__nth") == 1).select(*KEYS, "start", "len", "dist")

@@ -7,6 +7,7 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -21,18 +22,26 @@ HIT_SCHEMA = "stream_id long, pattern_id int, start long, len int, dist int"
 CHUNK, BLOCK = 1 << 17, 1 << 16
 
 
-def _bounded(streams: DataFrame, patterns: list[tuple[int, str, int]], block: int) -> DataFrame:
-    """Streams as blocks with the halo that the longest window needs: (stream_id, base, own, text)."""
+def blocks_of(streams: DataFrame, patterns: list[tuple[int, str, int]], block: int) -> DataFrame:
+    """Streams as blocks with the halo that the longest window needs: (stream_id, base, own, text). Frames that are blocks already are taken as they are."""
     halo = max((len(p) + k - 1 for _, p, k in patterns), default=0)
+    if "own" in streams.columns:
+        short = (F.char_length("text") - F.col("own") < halo) & ~F.col("final") if "final" in streams.columns else F.lit(False)
+        text = F.when(short, F.raise_error(F.lit("the blocks' halo is shorter than a window of the patterns")).cast("string")).otherwise(F.col("text"))
+        return streams.select("stream_id", "base", "own", text.alias("text"))
     if halo > block:
         raise ValueError("a pattern is longer than a block")
     return block_streams(streams, block, halo).select("stream_id", "base", "own", "text")
 
 
 def find_hits(streams: DataFrame, patterns: DataFrame, *, kernel: str = "arrow", min_len: int = 1, block: int = BLOCK) -> DataFrame:
-    """All hits. kernel `native`: built-in functions, a row per start and length until the filter in the same stage.
-    kernel `arrow`: all lengths of a start from one matrix, all starts of a block at once; only hits leave the kernel."""
+    """All hits. kernel `native`: built-in functions, a row per start and length until the filter in the same stage, over whole streams.
+    kernel `arrow`: all lengths of a start from one matrix, all starts of a block at once; only hits leave the kernel. `wavefront` and `counter` fill
+    the same matrices by anti-diagonals, with stored borders or with borders from the step number."""
+    bank = collected(patterns)
     if kernel == "native":
+        if "own" in streams.columns:
+            raise ValueError("the native plan takes whole streams, not blocks")
         pairs = streams.join(F.broadcast(patterns), how="cross").where(F.col("n") >= F.greatest(F.col("lp") - F.col("k_max"), F.lit(min_len)))
         starts = pairs.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("start"))
         low = F.greatest(F.col("lp") - F.col("k_max"), F.lit(min_len))
@@ -40,24 +49,27 @@ def find_hits(streams: DataFrame, patterns: DataFrame, *, kernel: str = "arrow",
         lengths = starts.where(high >= low).select("*", F.explode(F.sequence(low, high)).alias("len"))
         dist = F.call_function("levenshtein", F.col("pattern"), F.substr("text", (F.col("start") + 1).cast("int"), F.col("len")), F.col("k_max"))
         return lengths.select("stream_id", "pattern_id", "start", "len", dist.alias("dist")).where("dist >= 0")
-    if kernel != "arrow":
-        raise ValueError("kernel is 'native' or 'arrow'")
-    bank = collected(patterns)
+    if kernel not in KERNELS:
+        raise ValueError(f"kernel is 'native' or one of {sorted(KERNELS)}")
     groups: dict[tuple[int, int], list[tuple[int, np.ndarray]]] = defaultdict(list)
     for i, p, k in bank:
         groups[len(p), k].append((i, kernels.encode(p)))
-    return _bounded(streams, bank, block).mapInArrow(lambda batches: _kernel_hits(batches, groups, min_len), HIT_SCHEMA)
+    return blocks_of(streams, bank, block).mapInArrow(lambda batches: _kernel_hits(batches, groups, min_len, KERNELS[kernel]), HIT_SCHEMA)
+
+
+#: Ways to fill the matrices of many starts.
+KERNELS = {"arrow": kernels.band_distances, "wavefront": kernels.wavefront_distances, "counter": partial(kernels.wavefront_distances, by_counter=True)}
 
 
-def _kernel_hits(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int) -> Iterator[pa.RecordBatch]:
+def _kernel_hits(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int, distances=kernels.band_distances) -> Iterator[pa.RecordBatch]:
     """The hits of blocks, as record batches."""
-    for ids, of, pattern_id, start, length, dist in _kernel_arrays(batches, groups, min_len):
+    for ids, of, pattern_id, start, length, dist in _kernel_arrays(batches, groups, min_len, distances):
         kinds = (np.int32, np.int64, np.int32, np.int32)
         columns = [ids.take(pa.array(of)), *[pa.array(np.asarray(c, k)) for c, k in zip((np.full(len(of), pattern_id), start, length, dist), kinds, strict=True)]]
         yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "pattern_id", "start", "len", "dist"])
 
 
-def _kernel_arrays(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int) -> Iterator[tuple]:
+def _kernel_arrays(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int, distances=kernels.band_distances) -> Iterator[tuple]:
     """(stream ids of the batch, row of each hit, pattern, starts, lengths, distances) for each pattern and chunk of blocks; hits by row, start and length."""
     gap = max((lp + k for lp, k in groups), default=1)
     for batch in batches:
@@ -75,7 +87,7 @@ def _kernel_arrays(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int
             starts, left = begin[of - row] + inside, sizes[of - row] - inside
             for (_, k), patterns in groups.items():
                 for pattern_id, pattern in patterns:
-                    lengths, dist = kernels.band_distances(codes, starts, pattern, k)
+                    lengths, dist = distances(codes, starts, pattern, k)
                     s, l = np.nonzero(dist.T <= k)
                     length = np.array(lengths)[l]
                     good = (length <= left[s]) & (length >= min_len)
@@ -94,6 +106,7 @@ def exhaustive_hits(streams: DataFrame, patterns: DataFrame, *, materialize: boo
     starts = streams.where("n > 0").select("stream_id", "n", text.alias("text"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)).alias("start"))
     subs = starts.select("stream_id", "start", "text", F.explode(F.sequence(F.lit(1), (F.col("n") - F.col("start")).cast("int"))).alias("len"))
     subs = subs.select("stream_id", "start", "len", F.substr("text", (F.col("start") + 1).cast("int"), F.col("len")).alias("sub"))
+    collected(patterns)  # checks the size
     pairs = subs.join(F.broadcast(patterns.select("pattern_id", "pattern", "k_max")), how="cross")
     scored = pairs.select("stream_id", "pattern_id", "start", "len", F.levenshtein("pattern", "sub").alias("dist"), "k_max")
     if materialize:
@@ -105,7 +118,7 @@ def piece_filter(streams: DataFrame, patterns: DataFrame, *, block: int = BLOCK)
     """Blocks and patterns where a hit is possible: of K + 1 pieces of the pattern, a hit leaves one unchanged.
     Patterns of K symbols or fewer have no such pieces, and keep all blocks."""
     bank = collected(patterns)
-    rows = _bounded(streams, bank, block)
+    rows = blocks_of(streams, bank, block)
     found = []
     for i, p, k in bank:
         cuts = [len(p) * j // (k + 1) for j in range(k + 2)]
@@ -142,6 +155,7 @@ def qgram_index(streams: DataFrame, q: int) -> DataFrame:
 def hits_qgram_index(streams: DataFrame, patterns: DataFrame, index: DataFrame, q: int) -> DataFrame:
     """Offline search: an equi-join of the index with the patterns' grams gives the windows to verify. Each edit spoils q grams at most,
     so a hit shares lp + 1 - q (K + 1) grams with the pattern; patterns where that isn't positive are searched without the index."""
+    collected(patterns)  # checks the size
     usable = (F.col("lp") + 1 - q * (F.col("k_max") + 1)) > 0
     indexed, rest = patterns.where(usable), patterns.where(~usable)
     grams = indexed.select("*", F.explode(F.sequence(F.lit(0), F.col("lp") - q)).alias("off")).select("pattern_id", "lp", "k_max", "pattern", "off", F.substr("pattern", F.col("off") + 1, F.lit(q)).alias("gram"))
@@ -165,6 +179,7 @@ def hamming_hits(streams: DataFrame, patterns: DataFrame) -> DataFrame:
     """Substrings of the pattern's length with at most K substitutions."""
     from symseek.functions.distance import hamming
 
+    collected(patterns)  # checks the size
     pairs = streams.join(F.broadcast(patterns), how="cross").where("n >= lp")
     starts = pairs.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - F.col("lp"))).alias("start"))
     dist = hamming(F.col("pattern"), F.substr("text", (F.col("start") + 1).cast("int"), F.col("lp")))
@@ -175,6 +190,7 @@ def episode_hits(streams: DataFrame, patterns: DataFrame) -> DataFrame:
     """Substrings that hold the pattern as a subsequence with at most K symbols between, first and last symbol matching."""
     from symseek.functions.distance import episode_distance
 
+    collected(patterns)  # checks the size
     pairs = streams.join(F.broadcast(patterns), how="cross").where("n >= lp")
     starts = pairs.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - F.col("lp"))).alias("start"))
     starts = starts.where(F.substr("text", (F.col("start") + 1).cast("int"), F.lit(1)) == F.substr("pattern", F.lit(1), F.lit(1)))

@@ -10,25 +10,19 @@ from __future__ import annotations
 
 import json
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from symseek.operators.sifter import KEYS, Rules, SerialSifter
+from symseek.operators.fold import KEYS, Rules, SerialSifter
+from symseek.sources.scratch import written
 
 EMPTY = "[-1, []]"
 
 
-def _cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage by a reliable checkpoint in the session's checkpoint folder; a folder under the warehouse only where none is set."""
-    spark: SparkSession = df.sparkSession
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir") + "/checkpoints")
-    return df.checkpoint()
-
-
 def _fold_blocks(rows: DataFrame, levels: int, rules: Rules) -> DataFrame:
     """For each block, given hits and its `entry` state: occurrences (state null), and one row with its state at the end. The last block of a stream closes its group."""
 
@@ -69,18 +63,22 @@ def _fold_blocks(rows: DataFrame, levels: int, rules: Rules) -> DataFrame:
 
 
 def resync_fold(hits: DataFrame, levels: int, *, width: int = 1 << 16, tie: str = "earliest", validation: str = "accumulated", strict: bool = True) -> DataFrame:
-    """The occurrences among some hits, as sift_hits gives them without group numbers; no task holds or waits for a whole stream."""
+    """The occurrences among some hits, as sift_hits gives them without group numbers; no task holds or waits for a whole stream.
+
+    Each round writes the blocks that it folds and nothing else; a block's last round counts.
+    """
     rules = Rules(tie, validation, strict)
     by_block = [*KEYS, "block"]
-    rows = hits.withColumn("block", F.floor(F.col("start") / width))
     order = Window.partitionBy(*KEYS).orderBy("block")
-    known = rows.select(*by_block).distinct().withColumn("final", F.lead("block").over(order).isNull())
-    rows = _cut(rows.join(known, by_block))
-    done = _cut(_fold_blocks(rows.withColumn("entry", F.lit(EMPTY)), levels, rules))
+    rows = written(hits.select(*KEYS, "start", "len", "dist", F.floor(F.col("start") / width).alias("block")), "resync-hits")
+    final = rows.select(*by_block).distinct().withColumn("final", F.lead("block").over(order).isNull())
+    rounds = [written(_fold_blocks(rows.join(final, by_block).withColumn("entry", F.lit(EMPTY)), levels, rules), "resync-round")]
     while True:
-        states = done.where("state is not null").select(*by_block, "entry", F.coalesce(F.lag("state").over(order), F.lit(EMPTY)).alias("true_entry"))
-        wrong = _cut(states.where("entry <> true_entry").select(*by_block, F.col("true_entry").alias("entry")))
+        every = reduce(DataFrame.unionByName, [r.withColumn("round", F.lit(i)) for i, r in enumerate(rounds)])
+        states = every.where("state is not null").groupBy(*by_block).agg(F.max_by(F.struct("entry", "state", "round"), "round").alias("now"))
+        due = states.select(*by_block, "now.entry", F.coalesce(F.lag("now.state").over(order), F.lit(EMPTY)).alias("true_entry"))
+        wrong = written(due.where("entry <> true_entry").select(*by_block, F.col("true_entry").alias("entry")), "resync-wrong")
         if wrong.isEmpty():
-            return done.where("state is null").select(*KEYS, "start", "len", "dist", "decided_at")
-        again = _fold_blocks(rows.join(wrong, by_block), levels, rules)
-        done = _cut(done.join(wrong.select(*by_block), by_block, "left_anti").unionByName(again))
+            latest = states.select(*by_block, F.col("now.round").alias("round"))
+            return every.where("state is null").join(latest, [*by_block, "round"], "left_semi").select(*KEYS, "start", "len", "dist", "decided_at")
+        rounds.append(written(_fold_blocks(rows.join(final, by_block).join(wrong, by_block), levels, rules), "resync-round"))

@@ -5,44 +5,32 @@ one slot per level. When the leader's last symbol has gone by, its group closes:
 better to worse, if it doesn't reach into what is kept. Then the state is empty again.
 
 Hits fall into islands, maximal runs of overlapping hits. At an island's border the state is empty, so islands are
-folded independently of each other: no task sees a whole stream. A hit's island comes from a running maximum of ends, in two levels
-(inside blocks of positions, then over one row per block), so no window sees a whole stream either.
+folded independently of each other. Detection runs once: islands that lie inside a block of the stream are folded in the pass that finds
+them, and what it gives, occurrences and the hits at the blocks' edges, is written before it forks. An edge hit's island comes from running maxima in two levels
+(inside blocks of positions, then over one row per block), and an island of very many hits is folded in blocks that repair each other. No task sees a whole stream.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
-
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from symseek.functions import kernels
-from symseek.operators.hits import BLOCK, _kernel_arrays, find_hits
-from symseek.sources.streams import block_streams, collected
+from symseek.operators.fold import KEYS, TIES, VALIDATIONS, Rules, SerialSifter, fold_islands  # noqa: F401
+from symseek.operators.hits import BLOCK, _kernel_arrays, blocks_of, find_hits
+from symseek.operators.resync import resync_fold
+from symseek.sources.scratch import written
+from symseek.sources.streams import collected
 
-TIES = ("earliest", "shortest", "latest")
-VALIDATIONS = ("accumulated", "last_length", "interval")
 OCCURRENCE = "struct<start:bigint,len:int,dist:int,decided_at:bigint>"
-KEYS = ("stream_id", "pattern_id")
+KEPT_SCHEMA = "stream_id long, pattern_id int, start long, len int, dist int, decided_at long"
 #: Positions of a block in the two-level running maximum.
 ISLAND_BLOCK = 1 << 20
-#: Islands over so many hits are folded by an iterator over sorted rows instead of an array.
-ARRAY_HITS = 20_000
-
-
-@dataclass(frozen=True)
-class Rules:
-    """tie: which of two hits of one level is kept; validation: what a weaker one must not reach into; strict: whether touching counts as reaching."""
-
-    tie: str = "earliest"
-    validation: str = "accumulated"
-    strict: bool = True
-
-    def __post_init__(self):
-        if self.tie not in TIES or self.validation not in VALIDATIONS:
-            raise ValueError(f"tie is one of {TIES}, validation one of {VALIDATIONS}")
+#: Islands over so many hits are folded in blocks that repair each other.
+GIANT = 1 << 20
 
 
 def rule_better(leader: Column, hit: Column) -> Column:
@@ -50,20 +38,36 @@ def rule_better(leader: Column, hit: Column) -> Column:
     return hit < leader
 
 
-def split_islands(hits: DataFrame, *, block: int = ISLAND_BLOCK) -> DataFrame:
-    """hits with `island`, numbered from 0 in each stream and pattern."""
+def _island_starts(hits: DataFrame, block: int) -> DataFrame:
+    """hits with `__block`, `__local` (the first start of the hit's island as its block sees it) and `island` (the first start of its island)."""
     last = F.col("start") + F.col("len") - 1
     rows = hits.withColumn("__block", F.floor(F.col("start") / block)).withColumn("__end", last)
     inside = Window.partitionBy(*KEYS, "__block").orderBy("start", "len")
-    rows = rows.withColumn("__reach", F.max("__end").over(inside.rowsBetween(Window.unboundedPreceding, -1)))
+    reach = F.max("__end").over(inside.rowsBetween(Window.unboundedPreceding, -1))
+    begins = F.when(F.col("start") > F.coalesce("__reach", F.lit(-1)), F.col("start"))
+    rows = rows.withColumn("__reach", reach).withColumn("__local", F.max(begins).over(inside.rowsBetween(Window.unboundedPreceding, 0)))
+    # One row per block with hits. The last island of a block ends last, as it begins behind all ends before.
     over = Window.partitionBy(*KEYS).orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
-    carry = hits.groupBy(*KEYS, F.floor(F.col("start") / block).alias("__block")).agg(F.max(last).alias("__top")).withColumn("__carry", F.max("__top").over(over)).drop("__top")
-    rows = rows.join(carry, [*KEYS, "__block"])
-    fresh = (F.col("start") > F.greatest(F.coalesce("__reach", F.lit(-1)), F.coalesce("__carry", F.lit(-1)))).cast("long")
-    rows = rows.withColumn("__fresh", fresh).withColumn("__nth", F.sum("__fresh").over(inside.rowsBetween(Window.unboundedPreceding, 0)))
-    counts = rows.groupBy(*KEYS, "__block").agg(F.sum("__fresh").alias("__n")).withColumn("__before", F.coalesce(F.sum("__n").over(over), F.lit(0))).drop("__n")
-    numbered = rows.join(counts, [*KEYS, "__block"])
-    return numbered.select(*hits.columns, (F.col("__before") + F.col("__nth") - 1).cast("long").alias("island"))
+    blocks = rows.groupBy(*KEYS, "__block").agg(F.max("__end").alias("__top"), F.max("__local").alias("__latest"))
+    blocks = blocks.withColumn("__carry", F.coalesce(F.max("__top").over(over), F.lit(-1)))
+    own = F.when(F.col("__latest") > F.col("__carry"), F.col("__latest"))
+    blocks = blocks.withColumn("__from", F.last(own, ignorenulls=True).over(over)).drop("__top", "__latest")
+    joined = rows.join(blocks, [*KEYS, "__block"])
+    island = F.when(F.col("__local") > F.col("__carry"), F.col("__local")).otherwise(F.col("__from"))
+    return joined.select(*hits.columns, "__block", island.alias("island"))
+
+
+def split_islands(hits: DataFrame, *, block: int = ISLAND_BLOCK) -> DataFrame:
+    """hits with `island`, numbered from 0 in each stream and pattern. hits are read several times: a written table, or cheap to make."""
+    rows = _island_starts(hits, block)
+    inside = Window.partitionBy(*KEYS, "__block").orderBy("island")
+    over = Window.partitionBy(*KEYS).orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
+    # A block counts the islands that begin in it.
+    begun = F.countDistinct(F.when(F.floor(F.col("island") / block) == F.col("__block"), F.col("island")))
+    counts = rows.groupBy(*KEYS, "__block").agg(begun.alias("__n")).withColumn("__before", F.coalesce(F.sum("__n").over(over), F.lit(0))).drop("__n")
+    old = F.max((F.floor(F.col("island") / block) != F.col("__block")).cast("long")).over(inside.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    ranked = rows.withColumn("__nth", F.dense_rank().over(inside) - old)
+    return ranked.join(counts, [*KEYS, "__block"]).select(*hits.columns, (F.col("__before") + F.col("__nth") - 1).cast("long").alias("island"))
 
 
 def islands_by_window(hits: DataFrame) -> DataFrame:
@@ -135,116 +139,112 @@ def fold_hits(hits: Column, levels: int, rules: Rules) -> Column:
     return F.aggregate(hits, start, lambda s, h: step_hit(s, h, levels, rules), lambda s: F.when(s["leader"] >= 0, F.concat(s["out"], _close(s, levels, rules))).otherwise(s["out"]))
 
 
-@dataclass
-class SerialSifter:
-    """The same rules, hit by hit: for streams of updates, islands too large for an array, and the serial engine."""
-
-    levels: int
-    rules: Rules = field(default_factory=Rules)
-    leader: int = -1
-    slots: list = field(default_factory=list)
-
-    def __post_init__(self):
-        self.slots = self.slots or [None] * self.levels
-
-    def last(self) -> int:
-        start, length = self.slots[self.leader]
-        return start + length - 1
-
-    def add(self, start: int, length: int, dist: int) -> list[tuple[int, int, int, int]]:
-        """Take one more hit, in order of start and length; what a group that closes before it keeps."""
-        out = self.close() if self.leader >= 0 and start > self.last() else []
-        pending = self.slots[self.leader] if self.leader >= 0 else None
-        tie = dist == self.leader and (self.rules.tie == "latest" or (self.rules.tie == "shortest" and length < pending[1]))
-        if pending is None or dist < self.leader or tie:
-            self.leader, self.slots[dist] = dist, (start, length)
-        return out
-
-    def close(self) -> list[tuple[int, int, int, int]]:
-        if self.leader < 0:
-            return []
-        last, out = self.last(), []
-        total = recent = 0
-        low = None
-        for level in range(self.leader, self.levels):
-            if self.slots[level] is None:
-                continue
-            start, length = self.slots[level]
-            counter = last - start + 1
-            if level > self.leader:
-                if self.rules.validation == "interval":
-                    clear = start + length - 1 < low - self.rules.strict
-                else:
-                    room = counter - (total if self.rules.validation == "accumulated" else recent)
-                    clear = room > length if self.rules.strict else room >= length
-                if not clear:
-                    continue
-            out.append((start, length, level, last))
-            total, recent, low = total + length, length, start if low is None else min(low, start)
-        self.leader, self.slots = -1, [None] * self.levels
-        return out
-
-
-def _serial_fold(rows: DataFrame, by: list[str], levels: int, rules: Rules) -> DataFrame:
-    """Fold each group of sorted rows with one iterator per partition; memory doesn't grow with a group."""
-    import pyarrow as pa
+def _sorted_fold(rows: DataFrame, by: list[str], levels: int, rules: Rules) -> DataFrame:
+    """Fold groups of sorted rows with one iterator per partition. Groups inside a batch are folded together; one that goes on over
+    batches keeps its state only, so memory doesn't grow with a group."""
 
     def fold(batches):
-        key, sifter = None, SerialSifter(levels, rules)
+        key, sifter, head = None, SerialSifter(levels, rules), None
+
+        def ended() -> pa.RecordBatch | None:
+            out = sifter.close()
+            return _kept_rows(head, np.zeros(len(out), np.int64), *np.array(out, np.int64).reshape(-1, 4).T) if out else None
+
         for batch in batches:
-            out = []
-            for *group, start, length, dist in zip(*[batch.column(i).to_pylist() for i in range(len(by) + 3)], strict=True):
-                if group != key:
-                    out.extend((*key[:2], *o) for o in sifter.close())
-                    key = group
-                out.extend((*key[:2], *o) for o in sifter.add(start, length, dist))
-            yield _rows(out)
-        if key is not None:
-            yield _rows([(*key[:2], *o) for o in sifter.close()])
-
-    def _rows(out):
-        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int64())
-        names = ("stream_id", "pattern_id", "start", "len", "dist", "decided_at")
-        return pa.RecordBatch.from_arrays([pa.array([o[i] for o in out], k) for i, k in enumerate(kinds)], names=list(names))
+            if not batch.num_rows:
+                continue
+            ids = np.column_stack([batch.column(i).fill_null(-(1 << 31)).to_numpy().astype(np.int64) for i in range(len(by))])
+            start, length, dist = (batch.column(len(by) + i).to_numpy().astype(np.int64) for i in range(3))
+            first = np.append(0, 1 + np.flatnonzero((np.diff(ids, axis=0) != 0).any(1)))
+            stops = np.append(first[1:], len(start))
+            run = 0
+            if key is not None and key == tuple(ids[0]):
+                out = [o for hit in zip(start[: stops[0]].tolist(), length[: stops[0]].tolist(), dist[: stops[0]].tolist(), strict=True) for o in sifter.add(*hit)]
+                if out:
+                    yield _kept_rows(head, np.zeros(len(out), np.int64), *np.array(out, np.int64).T)
+                run = 1
+            if run == len(first):
+                continue
+            if key is not None and (done := ended()) is not None:
+                yield done
+            a = first[-1]
+            if run < len(first) - 1:
+                whole = slice(first[run], a)
+                island, *kept = fold_islands(first[run:-1] - first[run], start[whole], length[whole], dist[whole], levels, rules)
+                if len(island):
+                    yield _kept_rows(batch, first[run:-1][island], *kept)
+            key, head, sifter = tuple(ids[a]), batch.slice(int(a), 1), SerialSifter(levels, rules)
+            out = [o for hit in zip(start[a:].tolist(), length[a:].tolist(), dist[a:].tolist(), strict=True) for o in sifter.add(*hit)]
+            if out:
+                yield _kept_rows(head, np.zeros(len(out), np.int64), *np.array(out, np.int64).T)
+        if key is not None and (done := ended()) is not None:
+            yield done
 
     dealt = rows.select(*by, "start", "len", "dist").repartition(*by).sortWithinPartitions(*by, "start", "len")
-    return dealt.mapInArrow(fold, "stream_id long, pattern_id int, start long, len int, dist int, decided_at long")
+    return dealt.mapInArrow(fold, KEPT_SCHEMA)
+
+
+def _kept_rows(batch: pa.RecordBatch, at: np.ndarray, start: np.ndarray, length: np.ndarray, level: np.ndarray, last: np.ndarray) -> pa.RecordBatch:
+    """Occurrences with the stream and pattern of some rows of a batch."""
+    rows = pa.array(at)
+    numbers = [pa.array(np.asarray(c, k)) for c, k in ((start, np.int64), (length, np.int32), (level, np.int32), (last, np.int64))]
+    return pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), *numbers], names=["stream_id", "pattern_id", "start", "len", "dist", "decided_at"])
+
+
+def _array_fold(islands: DataFrame, levels: int, rules: Rules) -> DataFrame:
+    arrays = islands.groupBy(*KEYS, "island").agg(F.sort_array(F.collect_list(F.struct("start", "len", "dist"))).alias("hits"))
+    return arrays.select(*KEYS, F.inline(fold_hits(F.col("hits"), levels, rules)))
 
 
-def sift_hits(hits: DataFrame, levels: int, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "native", number: bool = True) -> DataFrame:
+def _fold_by_size(hits: DataFrame, levels: int, rules: Rules, giant: int, *, arrays: bool = False) -> DataFrame:
+    """Fold written hits by islands; those of over `giant` hits in blocks that repair each other."""
+    islands = _island_starts(hits, ISLAND_BLOCK).drop("__block")
+    key = [*KEYS, "island"]
+    giants = written(islands.groupBy(*key).agg(F.count(F.lit(1)).alias("__hits")).where(F.col("__hits") > giant).select(*key), "giant-islands")
+    some = not giants.isEmpty()
+    small = islands.join(giants, key, "left_anti") if some else islands
+    kept = _array_fold(small, levels, rules) if arrays else _sorted_fold(small, key, levels, rules)
+    if some:
+        large = islands.join(giants, key).select("stream_id", "pattern_id", "start", "len", "dist")
+        kept = kept.unionByName(resync_fold(large, levels, tie=rules.tie, validation=rules.validation, strict=rules.strict))
+    return kept
+
+
+def sift_hits(hits: DataFrame, levels: int, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "auto", number: bool = True, giant: int = GIANT) -> DataFrame:
     """The occurrences among some hits: stream_id, pattern_id, start, len, dist, decided_at and, if `number`, group_no (from 0 in each stream and pattern).
 
-    levels: one more than the largest threshold. engine `native`: array fold of each island in built-in functions; `iterator`: islands as sorted rows;
-    `auto`: arrays for islands of up to ARRAY_HITS hits, rows for the others; `serial`: whole streams as sorted rows, as a symbol loop would do.
+    levels: one more than the largest threshold. engine `auto`: islands as sorted rows, many at a time, those of over `giant` hits in blocks that repair each other;
+    `native`: array fold of each island in built-in functions, with the same guard; `iterator`: all islands as sorted rows; `resync`: everything in blocks that repair each other;
+    `serial`: whole streams as sorted rows, as a symbol loop would do. All but `serial` write the hits once, before they fork.
     """
     rules = Rules(tie, validation, strict)
     if engine == "serial":
-        kept = _serial_fold(hits, list(KEYS), levels, rules)
-    else:
-        islands = split_islands(hits)
+        kept = _sorted_fold(hits, list(KEYS), levels, rules)
+    elif engine == "resync":
+        kept = resync_fold(hits, levels, tie=tie, validation=validation, strict=strict)
+    elif engine in ("auto", "native", "iterator"):
+        found = written(hits.select("stream_id", "pattern_id", "start", "len", "dist"), "hits")
         if engine == "iterator":
-            kept = _serial_fold(islands, [*KEYS, "island"], levels, rules)
-        elif engine in ("native", "auto"):
-            small = islands
-            if engine == "auto":
-                sized = islands.withColumn("__size", F.count(F.lit(1)).over(Window.partitionBy(*KEYS, "island")))
-                small, large = sized.where(F.col("__size") <= ARRAY_HITS), sized.where(F.col("__size") > ARRAY_HITS)
-            arrays = small.groupBy(*KEYS, "island").agg(F.sort_array(F.collect_list(F.struct("start", "len", "dist"))).alias("hits"))
-            kept = arrays.select(*KEYS, F.inline(fold_hits(F.col("hits"), levels, rules)))
-            if engine == "auto":
-                kept = kept.unionByName(_serial_fold(large, [*KEYS, "island"], levels, rules))
+            kept = _sorted_fold(_island_starts(found, ISLAND_BLOCK), [*KEYS, "island"], levels, rules)
         else:
-            raise ValueError("engine is 'native', 'iterator', 'auto' or 'serial'")
-    return _numbered(kept) if number else kept
+            kept = _fold_by_size(found, levels, rules, giant, arrays=engine == "native")
+    else:
+        raise ValueError("engine is 'auto', 'native', 'iterator', 'resync' or 'serial'")
+    return numbered(kept) if number else kept
 
 
-def _numbered(kept: DataFrame) -> DataFrame:
-    group = F.dense_rank().over(Window.partitionBy(*KEYS).orderBy("decided_at")) - 1
-    return kept.withColumn("group_no", group.cast("long"))
+def numbered(kept: DataFrame, *, block: int = ISLAND_BLOCK) -> DataFrame:
+    """Occurrences with group_no: the place of their group, by its decision, in the stream and pattern. Ranks inside blocks of positions, and one row per block over a stream."""
+    rows = kept.withColumn("__block", F.floor(F.col("decided_at") / block))
+    inside = Window.partitionBy(*KEYS, "__block").orderBy("decided_at")
+    over = Window.partitionBy(*KEYS).orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
+    rows = rows.withColumn("__nth", F.dense_rank().over(inside))
+    blocks = rows.groupBy(*KEYS, "__block").agg(F.max("__nth").alias("__n")).withColumn("__before", F.coalesce(F.sum("__n").over(over), F.lit(0))).drop("__n")
+    return rows.join(blocks, [*KEYS, "__block"]).select(*kept.columns, (F.col("__before") + F.col("__nth") - 1).cast("long").alias("group_no"))
 
 
-def _fold_in_kernel(streams: DataFrame, patterns: DataFrame, rules: Rules, block: int) -> tuple[DataFrame, DataFrame]:
-    """Detection and fold in one pass over blocks: (occurrences of islands that lie inside a block, hits of the other islands).
+def _fold_in_kernel(streams: DataFrame, patterns: DataFrame, rules: Rules, block: int) -> DataFrame:
+    """Detection and fold in one pass over blocks: occurrences of islands that lie inside a block, and the hits of the other islands (decided_at is -1).
 
     An island is inside if no hit of the block before can reach it, that is if it starts at least lp + K - 1 symbols behind the block's first start, and if
     it ends before the next block's first start. The first and the last block of a stream have no neighbour on one side.
@@ -255,11 +255,7 @@ def _fold_in_kernel(streams: DataFrame, patterns: DataFrame, rules: Rules, block
     groups: dict[tuple[int, int], list] = {}
     for i, p, k in bank:
         groups.setdefault((len(p), k), []).append((i, kernels.encode(p)))
-    halo = max(reach.values(), default=0)
-    if halo > block:
-        raise ValueError("a pattern is longer than a block")
-    blocks = block_streams(streams, block, halo).withColumn("final", F.col("base") + F.char_length("text") == F.col("base") + F.col("own"))
-    import pyarrow as pa
+    blocks = blocks_of(streams, bank, block).withColumn("final", F.char_length("text") == F.col("own"))
 
     def fold(batches):
         for batch in batches:
@@ -268,31 +264,24 @@ def _fold_in_kernel(streams: DataFrame, patterns: DataFrame, rules: Rules, block
             for ids, of, pattern_id, start, length, dist in _kernel_arrays(iter([batch.select([0, 1, 2, 3])]), groups, 1):
                 end = start + length - 1
                 # islands: runs in a row whose starts don't lie behind all ends so far; ends are lifted row by row so that one running maximum serves all rows
-                lift = of.astype(np.int64) << 44
-                fresh = np.append(True, (start + lift)[1:] > np.maximum.accumulate(end + lift)[:-1])
+                lift = (of.astype(np.int64) - of[0]) << 44
+                base = bases[of]
+                fresh = np.append(True, (start - base + lift)[1:] > np.maximum.accumulate(end - base + lift)[:-1])
                 first = np.flatnonzero(fresh)
                 last_end = np.maximum.reduceat(end, first)
                 row = of[first]
                 inner = ((bases[row] == 0) | (start[first] >= bases[row] + reach[pattern_id])) & (finals[row] | (last_end < bases[row] + owns[row]))
-                whose = np.repeat(inner, np.diff(np.append(first, len(start))))
-                out = []
-                sifter, key = SerialSifter(levels, rules), -1
-                for r, s, n, d in zip(of[whose].tolist(), start[whose].tolist(), length[whose].tolist(), dist[whose].tolist(), strict=True):
-                    if r != key:
-                        out += [(key, *o) for o in sifter.close()]
-                        key = r
-                    found = sifter.add(s, n, d)
-                    if found:
-                        out += [(r, *o) for o in found]
-                out += [(key, *o) for o in sifter.close()]
-                out += [(r, s, n, d, -1) for r, s, n, d in zip(of[~whose].tolist(), start[~whose].tolist(), length[~whose].tolist(), dist[~whose].tolist(), strict=True)]
-                if out:
-                    rows = np.array(out, np.int64)
-                    columns = [ids.take(pa.array(rows[:, 0])), pa.array(np.full(len(rows), pattern_id, np.int32)), pa.array(rows[:, 1]), pa.array(rows[:, 2].astype(np.int32)), pa.array(rows[:, 3].astype(np.int32)), pa.array(rows[:, 4])]
-                    yield pa.RecordBatch.from_arrays(columns, names=["stream_id", "pattern_id", "start", "len", "dist", "decided_at"])
+                sizes = np.diff(np.append(first, len(start)))
+                whose = np.repeat(inner, sizes)
+                begin = np.cumsum(sizes[inner]) - sizes[inner]
+                island, *kept = fold_islands(begin, start[whose], length[whose].astype(np.int64), dist[whose].astype(np.int64), levels, rules)
+                edge = ~whose
+                columns = [np.concatenate(c) for c in zip((row[inner][island], *kept), (of[edge], start[edge], length[edge], dist[edge], np.full(int(edge.sum()), -1)), strict=True)]
+                if len(columns[0]):
+                    numbers = [pa.array(np.asarray(c, k)) for c, k in zip(columns[1:], (np.int64, np.int32, np.int32, np.int64), strict=True)]
+                    yield pa.RecordBatch.from_arrays([ids.take(pa.array(columns[0])), pa.array(np.full(len(columns[0]), pattern_id, np.int32)), *numbers], names=["stream_id", "pattern_id", "start", "len", "dist", "decided_at"])
 
-    both = blocks.select("stream_id", "base", "own", "text", "final").mapInArrow(fold, "stream_id long, pattern_id int, start long, len int, dist int, decided_at long")
-    return both.where("decided_at >= 0"), both.where("decided_at < 0").drop("decided_at")
+    return blocks.select("stream_id", "base", "own", "text", "final").mapInArrow(fold, KEPT_SCHEMA)
 
 
 def most_levels(patterns: DataFrame) -> int:
@@ -301,18 +290,21 @@ def most_levels(patterns: DataFrame) -> int:
 
 
 def sift(
-    streams: DataFrame, patterns: DataFrame, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "native", kernel: str = "arrow", number: bool = True, block: int = BLOCK
+    streams: DataFrame, patterns: DataFrame, *, tie: str = "earliest", validation: str = "accumulated", strict: bool = True, engine: str = "kernel", kernel: str = "arrow", number: bool = True, block: int = BLOCK, giant: int = GIANT
 ) -> DataFrame:
-    """Occurrences of patterns in streams: detection, islands, fold. Only hits are shuffled.
+    """Occurrences of patterns in streams or blocks of streams: detection, islands, fold.
 
-    engine `kernel`: islands inside a block are folded where they are found, before any shuffle; only those at a block's edge go on as hits.
+    engine `kernel`: islands inside a block are folded where they are found, before any shuffle; only hits at a block's edge are shuffled. The other engines (see sift_hits)
+    shuffle all hits, found by any kernel of find_hits.
     """
     rules = {"tie": tie, "validation": validation, "strict": strict}
     if engine != "kernel":
-        return sift_hits(find_hits(streams, patterns, kernel=kernel, block=block), most_levels(patterns), engine=engine, number=number, **rules)
-    inner, edges = _fold_in_kernel(streams, patterns, Rules(**rules), block)
-    kept = inner.unionByName(sift_hits(edges, most_levels(patterns), engine="iterator", number=False, **rules))
-    return _numbered(kept) if number else kept
+        return sift_hits(find_hits(streams, patterns, kernel=kernel, block=block), most_levels(patterns), engine=engine, number=number, giant=giant, **rules)
+    detected = written(_fold_in_kernel(streams, patterns, Rules(**rules), block), "detected")
+    kept, edges = detected.where("decided_at >= 0"), detected.where("decided_at < 0").drop("decided_at")
+    if not edges.isEmpty():
+        kept = kept.unionByName(_fold_by_size(edges, most_levels(patterns), Rules(**rules), giant))
+    return numbered(kept) if number else kept
 
 
 def sift_bank(streams: DataFrame, patterns: DataFrame, **options) -> DataFrame:

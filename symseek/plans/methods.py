@@ -11,6 +11,7 @@ from symseek.operators import baselines, hits, measures, resync, sifter
 from symseek.plans import sqltext as Q
 from symseek.plans.registry import Tables, query
 from symseek.sources import streams as S
+from symseek.sources.scratch import written
 
 LINE_ORDER = ("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
 EV_PATTERNS = [(0, "SVCPE", 1), (1, "SVCPE", 2), (2, "EEEP", 1), (3, "CVPSEC", 2)]
@@ -30,6 +31,11 @@ def events_all(t: Tables) -> DataFrame:
     return S.build_streams(t.events, F.lit(0), ("ts", "event_id"), F.upper(F.substring("event_type", 1, 1)))
 
 
+def event_blocks(t: Tables, halo: int, block: int = 1 << 16) -> DataFrame:
+    """The one stream of all events, in blocks; it is never in one row."""
+    return S.build_blocks(t.events, F.lit(0), ("ts", "event_id"), F.upper(F.substring("event_type", 1, 1)), block=block, halo=halo)
+
+
 def _letter(letters: str):
     return F.substr(F.lit(letters), F.col("l_quantity").cast("int") % 4 + 1, F.lit(1))
 
@@ -132,33 +138,31 @@ def _(t):
     return rows.select("stream_id", "start", F.inline(D.prefix_distances(F.col("text"), F.col("start"), F.lit("SVCPE"), 2)))
 
 
-def _by_wavefront(t: Tables, by_counter: bool) -> DataFrame:
-    pattern = kernels.encode("SVCPE")
+def _by_wavefront(t: Tables, kernel: str) -> DataFrame:
+    """Distances above the threshold too: with K as large as the pattern's length, no distance of the band is beyond it."""
+    found = hits.find_hits(events(t), pats(t, [(0, "SVCPE", 7)]), kernel=kernel).where("len between 3 and 7")
+    whole = events(t).select("stream_id", "n")
+    return found.join(whole, "stream_id").where("start < n - 6").select("stream_id", "start", "len", "dist")
+
 
-    def rows(batches):
-        import pyarrow as pa
+@query("wavefront", _PREFIX_SQL)
+def _(t):
+    return _by_wavefront(t, "wavefront")
 
-        for batch in batches:
-            out = []
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                codes = kernels.encode(text)
-                for start in range(len(codes) - 6):
-                    row = kernels.wavefront_last_row(pattern, codes[start : start + 7], by_counter=by_counter)
-                    out.extend((i, start, length, int(row[length])) for length in range(3, 8))
-            kinds = (("stream_id", pa.int64()), ("start", pa.int64()), ("len", pa.int32()), ("dist", pa.int32()))
-            yield pa.RecordBatch.from_arrays([pa.array([o[c] for o in out], k) for c, (_, k) in enumerate(kinds)], names=[n for n, _ in kinds])
 
-    return events(t).select("stream_id", "text").mapInArrow(rows, "stream_id long, start long, len int, dist int")
+@query("wavefront_by_counter", _PREFIX_SQL)
+def _(t):
+    return _by_wavefront(t, "counter")
 
 
-@query("wavefront", _PREFIX_SQL)
+@query("find_hits_wavefront", Q.all_of(EVH))
 def _(t):
-    return _by_wavefront(t, False)
+    return hits.find_hits(events(t), pats(t, EV_PATTERNS), kernel="wavefront")
 
 
-@query("wavefront_by_counter", _PREFIX_SQL)
+@query("find_hits_counter", Q.all_of(EVH))
 def _(t):
-    return _by_wavefront(t, True)
+    return hits.find_hits(events(t), pats(t, EV_PATTERNS), kernel="counter")
 
 
 @query("slide_windows", f"SELECT stream_id, start, rpad(substr(text, (start + 1)::BIGINT, 7), 7, '') AS win FROM (SELECT *, unnest(range(0, n)) AS start FROM {EV})")
@@ -236,7 +240,7 @@ def _(t):
 
 @query("shadow_islands", Q.all_of(Q.islands(EVH)))
 def _(t):
-    return sifter.split_islands(ev_hits(t), block=16)
+    return sifter.split_islands(written(ev_hits(t), "hits"), block=16)
 
 
 @query("shadow_islands_window", Q.all_of(Q.islands(EVH)))
@@ -257,7 +261,7 @@ _OPTIONS = {
 }
 for _name, _options in _OPTIONS.items():
     query(_name, Q.all_of(Q.sift(EVH, 2, **_options)))(lambda t, options=_options: ev_kept(t, **options))
-for _engine in ("serial", "iterator", "auto", "kernel"):
+for _engine in ("serial", "iterator", "auto", "kernel", "native", "resync"):
     query(f"{_engine}_engine", Q.all_of(Q.sift(EVH, 2)))(lambda t, engine=_engine: ev_kept(t, engine=engine))
 
 
@@ -279,6 +283,11 @@ def _(t):
     return sifter.sift(lines4(t), pats(t, LI_PATTERNS), engine="kernel", block=40, tie="shortest", validation="interval")
 
 
+@query("sift_one_stream_blocks", Q.all_of(Q.sift(Q.hits(Q.EVENTS_ALL, Q.patterns([(0, "SVCPE", 2), (1, "EEEP", 1)])), 2, tie="shortest")))
+def _(t):
+    return sifter.sift(event_blocks(t, 6, block=97), pats(t, [(0, "SVCPE", 2), (1, "EEEP", 1)]), tie="shortest", giant=20)
+
+
 @query("online_sift_orders", Q.all_of(Q.sift(Q.hits(Q.ORDERS, Q.patterns([(0, "FOF", 1), (1, "OOPF", 1)])), 1)))
 def _(t):
     return sifter.sift(orders(t), pats(t, [(0, "FOF", 1), (1, "OOPF", 1)]))
@@ -309,7 +318,7 @@ def _(t):
 
 @query("bank_sift_events", Q.all_of(Q.sift(Q.hits(Q.EVENTS_ALL, Q.patterns([(i, p, 1) for i, p in enumerate(("SVCPE", "EEEP", "CVPSEC", "PPPP"))])), 1)))
 def _(t):
-    return sifter.sift_bank(events_all(t), pats(t, [(i, p, 1) for i, p in enumerate(("SVCPE", "EEEP", "CVPSEC", "PPPP"))]))
+    return sifter.sift_bank(event_blocks(t, 8), pats(t, [(i, p, 1) for i, p in enumerate(("SVCPE", "EEEP", "CVPSEC", "PPPP"))]))
 
 
 @query("bank_mixed_k", Q.all_of(Q.sift(Q.hits(EV, Q.patterns(MIXED)), 3)))

@@ -11,6 +11,9 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.window import Window
+
+from symseek.sources.scratch import written
 
 #: Two symbols that no stream or pattern may hold.
 FILLER, STOP = "\ue000", "\ue001"
@@ -45,6 +48,57 @@ def build_streams(df: DataFrame, stream_id: Column, order_by: Sequence[str], sym
     return out.select("stream_id", F.size("rows").cast("long").alias("n"), F.array_join(F.transform("rows", lambda r: r["sym"]), "").alias("text"))
 
 
+def build_blocks(df: DataFrame, stream_id: Column, order_by: Sequence[str], symbol: Column, *, block: int, halo: int) -> DataFrame:
+    """Rows of one symbol each to blocks: stream_id, block, base, own, text and final (the text reaches the stream's end). For streams of any length: none is ever in one row or task.
+
+    Rows are sorted by range partitioning and packed into pieces of text where they lie; a piece's place follows from the pieces before it in its
+    partition and from one number for each stream and partition before. Only pieces are dealt to blocks, those at a border to both.
+    halo: lp + K - 1 of the longest pattern, or more. Rows without a symbol are skipped; rows with equal order keys come by symbol.
+    """
+    if not 0 <= halo <= block:
+        raise ValueError("a halo is at most a block")
+    keys = [f"__o{i}" for i in range(len(order_by))]
+    rows = df.select(stream_id.cast("long").alias("stream_id"), *[F.col(c).alias(k) for c, k in zip(order_by, keys, strict=True)], symbol.alias("sym")).where(F.col("sym").isNotNull())
+    dealt = rows.repartitionByRange("stream_id", *keys, "sym").sortWithinPartitions("stream_id", *keys, "sym").select("stream_id", "sym", F.spark_partition_id().alias("part"))
+
+    def pack(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        stream, within, first = None, 0, True
+        for batch in batches:
+            ids = batch.column(0).to_pylist()
+            symbols, parts = batch.column(1).to_pylist(), batch.column(2)
+            cuts = [0, *[i for i in range(1, len(ids)) if ids[i] != ids[i - 1]], len(ids)] if ids else [0]
+            out = []
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if first or ids[a] != stream:
+                    stream, within, first = ids[a], 0, False
+                text = "".join(symbols[a:b])
+                out.append((a, within, len(text), text))
+                within += len(text)
+            if out:
+                at, begin, n, text = zip(*out, strict=True)
+                taken = pa.array(np.array(at))
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(taken), parts.take(taken), pa.array(begin, pa.int64()), pa.array(n, pa.int64()), pa.array(text, pa.string())], names=["stream_id", "part", "within", "n", "text"])
+
+    pieces = written(dealt.mapInArrow(pack, "stream_id long, part int, within long, n long, text string"), "pieces")
+    stream, before = Window.partitionBy("stream_id"), Window.partitionBy("stream_id").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    parts = pieces.groupBy("stream_id", "part").agg(F.sum("n").alias("size"))
+    parts = parts.select(F.col("stream_id").alias("of"), F.col("part").alias("of_part"), F.coalesce(F.sum("size").over(before), F.lit(0)).alias("before"), F.sum("size").over(stream).alias("total"))
+    # <=> so that a null stream_id is a stream like any other
+    mine = F.col("stream_id").eqNullSafe(F.col("of")) & (F.col("part") == F.col("of_part"))
+    placed = pieces.join(parts, mine).select("stream_id", "total", "n", "text", (F.col("before") + F.col("within")).alias("at"))
+    low, high = F.greatest(F.floor((F.col("at") - halo) / block), F.lit(0)), F.floor((F.col("at") + F.col("n") - 1) / block)
+    cut = placed.withColumn("block", F.explode(F.sequence(low, high))).withColumn("lo", F.greatest("at", F.col("block") * block))
+    hi = F.least(F.col("at") + F.col("n"), (F.col("block") + 1) * block + halo)
+    cut = cut.select("stream_id", "block", "total", "lo", F.substr("text", (F.col("lo") - F.col("at") + 1).cast("int"), (hi - F.col("lo")).cast("int")).alias("text"))
+    joined = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("lo", "text"))), lambda x: x["text"]), "")
+    blocks = cut.groupBy("stream_id", "block").agg(joined.alias("text"), F.first("total").alias("total"))
+    base, size = F.col("block") * block, F.char_length("text")
+    return blocks.select("stream_id", "block", base.alias("base"), F.least(F.lit(block), size).cast("int").alias("own"), "text", (base + size == F.col("total")).alias("final"))
+
+
 def text_streams(df: DataFrame, stream_id: Column, text: Column) -> DataFrame:
     """Rows of whole texts as streams; nulls are skipped."""
     return df.select(stream_id.cast("long").alias("stream_id"), text.alias("text")).where(F.col("text").isNotNull()).select("stream_id", F.char_length("text").cast("long").alias("n"), "text")

@@ -18,7 +18,7 @@ from pyspark.sql import types as T
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor
 
 from symseek.functions.udfs import hits_of
-from symseek.operators.sifter import Rules, SerialSifter
+from symseek.operators.fold import Rules, SerialSifter
 from symseek.sources.streams import pattern_frame
 
 OUTPUT = T.StructType([

@@ -11,7 +11,8 @@ import reference
 from symseek.functions import distance as D
 from symseek.functions import kernels
 from symseek.functions.costmodel import resource_fit
-from symseek.operators import baselines, hits, measures, resync, sifter
+from symseek.operators import baselines, fold, hits, measures, resync, sifter
+from symseek.sources import scratch
 from symseek.sources import streams as S
 
 
@@ -102,12 +103,12 @@ def test_option_matrix(spark):
         found = hits.find_hits(all_streams, S.pattern_frame(spark, [(0, p, k)])).persist()
         for tie, validation, strict in itertools.product(sifter.TIES, sifter.VALIDATIONS, (True, False)):
             expected = sorted((i, *r) for i, t in enumerate(texts) for r in reference.sift(p, t, k, tie, validation, strict))
-            engine = {"earliest": "native", "shortest": "iterator", "latest": "serial"}[tie]
-            got = sifter.sift_hits(found, k + 1, tie=tie, validation=validation, strict=strict, engine=engine, number=False)
+            engine = {"earliest": "native", "shortest": "iterator", "latest": "serial"}[tie] if strict else {"earliest": "resync", "shortest": "auto", "latest": "auto"}[tie]
+            got = sifter.sift_hits(found, k + 1, tie=tie, validation=validation, strict=strict, engine=engine, number=False, giant=9)
             assert rows(got, "stream_id", "start", "len", "dist") == expected, (k, tie, validation, strict)
             if strict:
                 block = {"accumulated": 9, "last_length": 14, "interval": 1 << 16}[validation]
-                got = sifter.sift(all_streams, S.pattern_frame(spark, [(0, p, k)]), tie=tie, validation=validation, engine="kernel", block=block, number=False)
+                got = sifter.sift(all_streams, S.pattern_frame(spark, [(0, p, k)]), tie=tie, validation=validation, engine="kernel", block=block, number=False, giant=9)
                 assert rows(got, "stream_id", "start", "len", "dist") == expected, (k, tie, validation, block)
         found.unpersist()
 
@@ -136,6 +137,8 @@ def test_kernels_agree():
         assert kernels.automaton_row(a, b[None], k)[0].tolist() == [min(e, k + 1) for e in ends]
         codes, at, size = kernels.joined([s], len(p) + k)
         lengths, dist = kernels.band_distances(codes, at[0] + np.arange(size[0]), a, k)
+        for by_counter in (False, True):
+            assert kernels.wavefront_distances(codes, at[0] + np.arange(size[0]), a, k, by_counter=by_counter)[1].tolist() == dist.tolist()
         for start in range(len(s)):
             for length, d in zip(lengths, dist[:, start], strict=True):
                 if start + length <= len(s):
@@ -158,6 +161,69 @@ def test_search_plans_agree(spark):
     assert a == rows(sifter.islands_by_window(hits.find_hits(all_streams, table)), *columns, "island")
 
 
+def test_fold_of_many_islands(monkeypatch):
+    """Steps over many islands at once against the hit-by-hit fold, with every number of islands left to the latter."""
+    rng = random.Random(2)
+    for few in (0, 3, 12):
+        monkeypatch.setattr(fold, "FEW", few)
+        for _ in range(150):
+            rules, levels = fold.Rules(rng.choice(fold.TIES), rng.choice(fold.VALIDATIONS), rng.random() < 0.5), rng.randint(1, 4)
+            found, begin, expected = [], [], []
+            for island in range(rng.randint(0, 25)):
+                at, own = 0, set()
+                for _ in range(rng.randint(1, 12)):
+                    at += rng.randint(0, 3)
+                    own.add((at, rng.randint(1, 5)))
+                own = [(*x, rng.randrange(levels)) for x in sorted(own)]
+                begin.append(len(found))
+                found += own
+                serial = fold.SerialSifter(levels, rules)
+                expected += [(island, *o) for h in own for o in serial.add(*h)] + [(island, *o) for o in serial.close()]
+            columns = np.array(found, np.int64).reshape(-1, 3).T
+            got = fold.fold_islands(np.array(begin, np.int64), *columns, levels, rules)
+            assert sorted(zip(*(g.tolist() for g in got), strict=True)) == sorted(expected)
+
+
+def test_one_long_stream(spark):
+    """A stream far above a block, built from symbol rows and never in one row: blocks, hits and occurrences as of the whole text."""
+    rng = random.Random(31)
+    text = "".join(rng.choice("ABCD") for _ in range(30_000))
+    symbols = [(5, i, c) for i, c in enumerate(text)] + [(6, i, c) for i, c in enumerate("ABCABC")] + [(6, 9, None)]
+    rng.shuffle(symbols)
+    df = spark.createDataFrame(symbols, "s long, at long, sym string").repartition(7)
+    built = S.build_blocks(df, F.col("s"), ("at",), F.col("sym"), block=64, halo=8).persist()
+    got = sorted((r["stream_id"], r["base"], r["own"], r["text"], r["final"]) for r in built.collect())
+    expected = [(5, b, min(64, 30_000 - b), text[b : b + 72], b + 72 >= 30_000) for b in range(0, 30_000, 64)] + [(6, 0, 6, "ABCABC", True)]
+    assert got == expected
+    table = S.pattern_frame(spark, [(0, "ABCAB", 1), (1, "DDDDDD", 3)])
+    whole = [(5, p, *o) for p, (q, k) in enumerate((("ABCAB", 1), ("DDDDDD", 3))) for o in reference.sift(q, text, k)] + [(6, p, *o) for p, (q, k) in enumerate((("ABCAB", 1), ("DDDDDD", 3))) for o in reference.sift(q, "ABCABC", k)]
+    for giant in (1 << 20, 30):
+        assert rows(sifter.sift(built, table, number=False, giant=giant), "stream_id", "pattern_id", "start", "len", "dist") == sorted(whole)
+    with pytest.raises(Exception, match="halo is shorter"):
+        sifter.sift(built, S.pattern_frame(spark, [(0, "ABCABCDABC", 1)])).collect()
+    kept = sifter.sift(built, table)
+    plain = sifter.numbered(kept.drop("group_no"), block=11)
+    assert rows(kept, "stream_id", "pattern_id", "start", "group_no") == rows(plain, "stream_id", "pattern_id", "start", "group_no")
+
+
+def test_detection_runs_once(spark, tables, monkeypatch):
+    """For each engine: one pass of the kernel over the streams, at most two shuffles of hits in what is left of the plan, and no scan of a source."""
+    passes = []
+    original = sifter._kernel_arrays
+    monkeypatch.setattr(sifter, "written", lambda df, name: (passes.append((name, df._jdf.queryExecution().executedPlan().toString())), scratch.written(df, name))[1])
+    all_streams, table = streams(spark, *random_texts(5, 20, 60)), S.pattern_frame(spark, [(0, "ABBAB", 2)])
+    assert original is hits._kernel_arrays
+    for engine in ("kernel", "auto", "native", "iterator"):
+        passes.clear()
+        plan = sifter.sift(all_streams, table, engine=engine, number=False)._jdf.queryExecution().executedPlan().toString()
+        made = [p for name, p in passes if name in ("hits", "detected")]
+        assert len(made) == 1 and made[0].count("MapInArrow") == 1 and "Exchange" not in made[0]
+        assert "Scan ExistingRDD" not in plan and "LocalTableScan" not in plan
+        # rows by block of positions, their summary by block and then by stream, and rows by island; equal ones are one
+        shuffled = [line for line in plan.splitlines() if "Exchange hashpartitioning" in line and "len" not in line]
+        assert len(shuffled) <= (0 if engine == "kernel" else 5)
+
+
 def test_invariants(spark):
     texts = random_texts(5, 120, 60)
     all_streams, table = streams(spark, *texts), S.pattern_frame(spark, [(0, "ABBAB", 2)])

@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import reference
-from symseek.operators.sifter import Rules
+from symseek.operators.fold import Rules
 from symseek.streaming.online import OnlineState, sift_stream, use_rocksdb
 
 

@@ -19,13 +19,15 @@ def hit_counts(methods: dict[str, DataFrame]) -> DataFrame:
     return rows.groupBy(*KEYS).pivot("method", names).count().na.fill(0, names)
 
 
-def coverage(hits: DataFrame) -> DataFrame:
+def coverage(hits: DataFrame, *, block: int = 1 << 20) -> DataFrame:
     """stream_id, pattern_id, pos, n: how many hits cover each position that any covers. From steps (+1 at a start, -1 past an end),
-    so the rows between are made from two per hit and not one per hit and position."""
-    up = hits.select(*KEYS, F.col("start").alias("pos"), F.lit(1).alias("step"))
-    down = hits.select(*KEYS, (F.col("start") + F.col("len")).alias("pos"), F.lit(-1).alias("step"))
-    steps = up.unionByName(down).groupBy(*KEYS, "pos").agg(F.sum("step").alias("step"))
-    order = Window.partitionBy(*KEYS).orderBy("pos")
+    so the rows between are made from two per hit and not one per hit and position. A hit is cut at the borders of blocks of positions: no task sees a whole stream."""
+    last = F.col("start") + F.col("len") - 1
+    cut = hits.select(*KEYS, "start", last.alias("last"), F.explode(F.sequence(F.floor(F.col("start") / block), F.floor(last / block))).alias("block"))
+    cut = cut.select(*KEYS, "block", F.greatest("start", F.col("block") * block).alias("low"), (F.least("last", (F.col("block") + 1) * block - 1) + 1).alias("high"))
+    steps = cut.select(*KEYS, "block", F.inline(F.array(F.struct(F.col("low").alias("pos"), F.lit(1).alias("step")), F.struct(F.col("high").alias("pos"), F.lit(-1).alias("step")))))
+    steps = steps.groupBy(*KEYS, "block", "pos").agg(F.sum("step").alias("step"))
+    order = Window.partitionBy(*KEYS, "block").orderBy("pos")
     level = steps.withColumn("n", F.sum("step").over(order.rowsBetween(Window.unboundedPreceding, 0))).withColumn("next", F.lead("pos").over(order)).where("n > 0")
     return level.select(*KEYS, F.explode(F.sequence(F.col("pos"), F.col("next") - 1)).alias("pos"), F.col("n").cast("long").alias("n"))
 
@@ -68,8 +70,10 @@ def motif_histogram(kept: DataFrame, patterns: DataFrame) -> DataFrame:
 
 
 def pack_result(start: Column, length: Column, dist: Column) -> Column:
-    """A result as one number: 16 bits of start, 3 of distance, 5 of length, as the test rig's records; larger starts use the bits above."""
-    return F.shiftleft(start.cast("long"), 8).bitwiseOR(F.shiftleft(dist.cast("long"), 5)).bitwiseOR(length.cast("long"))
+    """A result as one number: 16 bits of start, 3 of distance, 5 of length, as the test rig's records; larger starts use the bits above. A length over 31 or a distance over 7 raises."""
+    fits = length.between(0, 31) & dist.between(0, 7) & (start >= 0)
+    packed = F.shiftleft(start.cast("long"), 8).bitwiseOR(F.shiftleft(dist.cast("long"), 5)).bitwiseOR(length.cast("long"))
+    return F.when(fits, packed).otherwise(F.raise_error(F.lit("a result doesn't fit a packed record: at most 31 symbols and distance 7")).cast("long"))
 
 
 def unpack_result(packed: Column) -> Column:

@@ -155,9 +155,26 @@ def _(t):
     return ev_kept(t).rollup("pattern_id", "dist").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("occ_cube", "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY CUBE (lang, source)")
+@query("occ_cube", f"SELECT c_mktsegment, dist, count(*) AS n, sum(len)::BIGINT AS symbols FROM {_ORDER_KEPT} k JOIN customer ON c_custkey = stream_id GROUP BY CUBE (c_mktsegment, dist)")
 def _(t):
-    return t.documents.cube("lang", "source").agg(F.count(F.lit(1)).alias("n"), F.sum("n_chars").alias("chars"))
+    met = _order_kept(t).join(t.customer.select("c_custkey", "c_mktsegment"), F.col("stream_id") == F.col("c_custkey"))
+    return met.cube("c_mktsegment", "dist").agg(F.count(F.lit(1)).alias("n"), F.sum("len").alias("symbols"))
+
+
+@query("occ_extremes", f"""SELECT pattern_id, arg_max(start, stream_id * 1000000 + start) AS last_start, arg_min(start, stream_id * 1000000 + start) AS first_start, round(corr(decided_at, start), 6) AS together,
+string_agg(dist::VARCHAR, '' ORDER BY stream_id, start, len) AS levels FROM {EVK} GROUP BY pattern_id""")
+def _(t):
+    place = F.col("stream_id") * 1_000_000 + F.col("start")
+    return ev_kept(t, number=False).groupBy("pattern_id").agg(
+        F.max_by("start", place).alias("last_start"), F.min_by("start", place).alias("first_start"), F.round(F.corr("decided_at", "start"), 6).alias("together"),
+        F.expr("listagg(cast(dist AS string), '') WITHIN GROUP (ORDER BY stream_id, start, len)").alias("levels"),
+    )
+
+
+@query("occ_approx_streams")
+def _(t):
+    """Streams with an occurrence, by a sketch of fixed size; within three times its 5 % of the exact number."""
+    return ev_kept(t, number=False).groupBy("pattern_id").agg(F.approx_count_distinct("stream_id", 0.05).alias("about"), F.countDistinct("stream_id").alias("streams"))
 
 
 @query("occ_grouping_sets", f"SELECT pattern_id, dist, grouping_id(pattern_id, dist)::BIGINT AS level, count(*) AS n FROM {EVK} GROUP BY GROUPING SETS ((pattern_id, dist), (dist), ())")
@@ -351,24 +368,30 @@ def _(t):
 # Windows of time, in batch form.
 
 
-@query("hits_tumbling", "SELECT epoch(time_bucket(INTERVAL 1 HOUR, ts))::BIGINT AS w_start, count(*) AS n FROM events WHERE event_type = 'error' GROUP BY 1")
-def _(t):
-    rows = t.events.where("event_type = 'error'").withColumn("at", F.col("ts").cast("timestamp"))
-    return rows.groupBy(F.window("at", "1 hour")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_timestamp("window.start").alias("w_start"), "n")
+# A kept occurrence happens when its last symbol does; the windows count occurrences, not events.
+_TIMED = f"""(SELECT k.stream_id, k.pattern_id, k.start, k.len, e.ts FROM {EVK} k
+  JOIN (SELECT user_id, ts, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS pos FROM events) e ON e.user_id = k.stream_id AND e.pos = k.start + k.len - 1)"""
+
+
+def timed_occurrences(t) -> DataFrame:
+    placed = t.events.select("user_id", F.col("ts").cast("timestamp").alias("at"), (F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id")) - 1).cast("long").alias("pos"))
+    kept = ev_kept(t, number=False)
+    return kept.join(placed, (F.col("user_id") == F.col("stream_id")) & (F.col("pos") == F.col("start") + F.col("len") - 1)).select("stream_id", "pattern_id", "start", "len", "at")
 
 
-@query("hits_sliding", "SELECT s AS w_start, count(*) AS n FROM (SELECT unnest([epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT, epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT - 1800]) AS s FROM events WHERE event_type = 'error') GROUP BY 1")
+@query("hits_tumbling", f"SELECT pattern_id, epoch(time_bucket(INTERVAL 1 HOUR, ts))::BIGINT AS w_start, count(*) AS n FROM {_TIMED} GROUP BY ALL")
 def _(t):
-    rows = t.events.where("event_type = 'error'").withColumn("at", F.col("ts").cast("timestamp"))
-    return rows.groupBy(F.window("at", "1 hour", "30 minutes")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_timestamp("window.start").alias("w_start"), "n")
+    return timed_occurrences(t).groupBy("pattern_id", F.window("at", "1 hour")).agg(F.count(F.lit(1)).alias("n")).select("pattern_id", F.unix_timestamp("window.start").alias("w_start"), "n")
 
 
-@query("hits_session", """SELECT user_id, session, count(*) AS n FROM (
-  SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (
-    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY ALL""")
+@query("hits_sliding", f"SELECT pattern_id, s AS w_start, count(*) AS n FROM (SELECT pattern_id, unnest([epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT, epoch(time_bucket(INTERVAL 30 MINUTE, ts))::BIGINT - 1800]) AS s FROM {_TIMED}) GROUP BY ALL")
 def _(t):
-    rows = t.events.withColumn("at", F.col("ts").cast("timestamp"))
-    found = rows.groupBy("user_id", F.session_window("at", "30 minutes")).agg(F.count(F.lit(1)).alias("n"))
-    return found.select("user_id", F.row_number().over(Window.partitionBy("user_id").orderBy("session_window.start")).cast("long").alias("session"), "n")
+    return timed_occurrences(t).groupBy("pattern_id", F.window("at", "1 hour", "30 minutes")).agg(F.count(F.lit(1)).alias("n")).select("pattern_id", F.unix_timestamp("window.start").alias("w_start"), "n")
 
 
+@query("hits_session", f"""SELECT stream_id, session, count(*) AS n FROM (
+  SELECT *, sum(fresh) OVER (PARTITION BY stream_id ORDER BY ts ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (
+    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY stream_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM {_TIMED})) GROUP BY ALL""")
+def _(t):
+    found = timed_occurrences(t).groupBy("stream_id", F.session_window("at", "6 hours")).agg(F.count(F.lit(1)).alias("n"))
+    return found.select("stream_id", F.row_number().over(Window.partitionBy("stream_id").orderBy("session_window.start")).cast("long").alias("session"), "n")

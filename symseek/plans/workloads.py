@@ -11,6 +11,7 @@ from symseek.plans import sqltext as Q
 from symseek.plans.methods import EV_PATTERNS, EVH, conversations, docs, embeddings, ev_hits, ev_kept, events, given, lines4, lines16, lines100, pages, pats
 from symseek.plans.registry import Tables, query
 from symseek.sources import streams as S
+from symseek.sources.scratch import written
 
 EVK = Q.sift(EVH, 2)
 
@@ -18,7 +19,7 @@ EVK = Q.sift(EVH, 2)
 
 
 def _counts(streams: DataFrame, patterns: DataFrame) -> DataFrame:
-    found = hits.find_hits(streams, patterns)
+    found = written(hits.find_hits(streams, patterns), "hits")
     kept = sifter.sift_hits(found, sifter.most_levels(patterns), number=False)
     return measures.hit_counts({"exhaustive": found, "free_start": baselines.free_start_ends(streams, patterns), "online": kept})
 
@@ -189,12 +190,29 @@ def _(t):
 # Speed tests.
 
 _TEST_TEXT = "ABDCABCCDBADCBA"
-_SWEEP = [(lp, _TEST_TEXT[:lp], 3) for lp in (5, 7, 10, 15)]
+SWEEP = [(lp, lp, 3) for lp in (5, 7, 10, 15)]
+K_SWEEP = [(10 * lp + k, lp, k) for lp in (5, 15) for k in (2, 3, 4, 5)]
 _LIM = Q.cut(Q.LINES16, 3104)
 
 
+_SEARCHED = f"(SELECT * FROM {_LIM} WHERE stream_id <> 15)"
+
+
 def test_streams(t: Tables) -> DataFrame:
-    return S.first_symbols(lines16(t), 3104)
+    """Fifteen streams of the test length; the sixteenth gives the patterns."""
+    return S.first_symbols(lines16(t).where("stream_id <> 15"), 3104)
+
+
+def cut_patterns(t: Tables, wanted) -> DataFrame:
+    """Patterns (pattern_id, lp, K) cut from the stream that isn't searched, each at its own place."""
+    table = t.spark.createDataFrame([(i, lp, k, 100 + 40 * n) for n, (i, lp, k) in enumerate(wanted)], "pattern_id int, lp int, k_max int, place int")
+    given = lines16(t).where("stream_id = 15").select("text")
+    return table.join(F.broadcast(given), how="cross").select("pattern_id", F.substr("text", F.col("place") + 1, F.col("lp")).alias("pattern"), "lp", "k_max")
+
+
+def cut_patterns_sql(wanted) -> str:
+    rows = ", ".join(f"({i}, {lp}, {k}, {100 + 40 * n})" for n, (i, lp, k) in enumerate(wanted))
+    return f"(SELECT pattern_id, substr(text, place + 1, lp) AS pattern, lp, k_max FROM (VALUES {rows}) v(pattern_id, lp, k_max, place), {Q.LINES16} WHERE stream_id = 15)"
 
 
 def _summary(found: DataFrame, kept: DataFrame) -> DataFrame:
@@ -208,25 +226,20 @@ def _summary_sql(hits_sql: str, k: int) -> str:
 JOIN (SELECT pattern_id, count(*) AS kept, max(decided_at - start + 1) AS max_delay FROM {Q.sift(hits_sql, k)} GROUP BY ALL) USING (pattern_id)"""
 
 
-def sweep(t: Tables, patterns, engine: str = "auto") -> DataFrame:
-    table = pats(t, patterns)
-    found = hits.find_hits(test_streams(t), table)
-    return _summary(found, sifter.sift_hits(found, sifter.most_levels(table), engine=engine, number=False))
+def sweep(t: Tables, wanted) -> DataFrame:
+    table = S.pattern_frame(t.spark, S.collected(cut_patterns(t, wanted)))
+    found = written(hits.find_hits(test_streams(t), table), "hits")
+    return _summary(found, sifter.sift_hits(found, max(k for _, _, k in wanted) + 1, number=False))
 
 
-@query("w3_lp_sweep", _summary_sql(Q.hits(_LIM, Q.patterns(_SWEEP)), 3))
+@query("w3_lp_sweep", _summary_sql(Q.hits(_SEARCHED, cut_patterns_sql(SWEEP)), 3))
 def _(t):
-    return sweep(t, _SWEEP)
+    return sweep(t, SWEEP)
 
 
-K_SWEEP = [(10 * lp + k, _TEST_TEXT[:lp], k) for lp in (5, 15) for k in (2, 3, 4, 5)]
-
-
-@query("w4_k_sweep", _summary_sql(Q.hits(_LIM, Q.patterns(K_SWEEP)), 5))
+@query("w4_k_sweep", _summary_sql(Q.hits(_SEARCHED, cut_patterns_sql(K_SWEEP)), 5))
 def _(t):
-    table = pats(t, K_SWEEP)
-    found = hits.find_hits(test_streams(t), table)
-    return _summary(found, sifter.sift_hits(found, 6, engine="iterator", number=False))
+    return sweep(t, K_SWEEP)
 
 
 @query("w5_trials", f"SELECT stream_id, count(*) AS kept FROM {Q.sift(Q.hits(Q.cut(Q.LINES100, 3104), Q.patterns([(0, _TEST_TEXT[:7], 3)])), 3)} GROUP BY stream_id")
@@ -274,10 +287,23 @@ def _(t):
 _PHRASES = [(0, "please", 2), (1, "thank you", 2)]
 
 
-@query("w12_conversations", f"SELECT pattern_id, count(*) AS kept, count(DISTINCT stream_id) AS streams FROM {Q.sift(Q.hits(Q.CONVERSATIONS, Q.patterns(_PHRASES)), 2)} GROUP BY pattern_id")
+_ROLES = "(SELECT role, conv_id AS stream_id, sum(length(text))::BIGINT AS n, string_agg(regexp_replace(lower(text), '[^a-z ]', '?', 'g'), '' ORDER BY turn) AS text FROM conversations GROUP BY role, conv_id)"
+
+
+def _role_sql() -> str:
+    """Each role's turns of a conversation are a stream; its number is the rank of (role, conversation)."""
+    named = f"(SELECT *, dense_rank() OVER (ORDER BY role, conv) AS stream_id FROM (SELECT role, stream_id AS conv, n, text FROM {_ROLES}))"
+    kept = Q.sift(Q.hits(f"(SELECT stream_id, n, text FROM {named})", Q.patterns(_PHRASES)), 2)
+    return f"SELECT role, pattern_id, count(*) AS kept, count(DISTINCT stream_id) AS streams FROM {kept} JOIN (SELECT stream_id, role FROM {named}) USING (stream_id) GROUP BY role, pattern_id"
+
+
+@query("w12_conversations", _role_sql())
 def _(t):
-    kept = sifter.sift(conversations(t), pats(t, _PHRASES), number=False)
-    return kept.groupBy("pattern_id").agg(F.count(F.lit(1)).alias("kept"), F.countDistinct("stream_id").alias("streams"))
+    rows = t.conversations.groupBy("role", "conv_id").agg(F.sort_array(F.collect_list(F.struct("turn", "text"))).alias("turns"))
+    key = F.xxhash64("role", "conv_id")
+    named = rows.select("role", "conv_id", key.alias("key"), S.fold_ascii(F.array_join(F.transform("turns", lambda x: x["text"]), "")).alias("text"))
+    kept = sifter.sift(S.text_streams(named, F.col("key"), F.col("text")), pats(t, _PHRASES), number=False)
+    return kept.join(named.select("key", "role"), F.col("stream_id") == F.col("key")).groupBy("role", "pattern_id").agg(F.count(F.lit(1)).alias("kept"), F.countDistinct("stream_id").alias("streams"))
 
 
 _HISTOGRAM = [(0, "the", 0), (1, "ing", 0), (2, "and the", 2)]

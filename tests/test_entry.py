@@ -15,7 +15,7 @@ import __spark_entry__ as entry
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 SOME = (
     "find_hits_events online_sift_events online_sift_interval_touching kernel_engine_blocks bank_mixed_k offline_greedy free_start_intervals hits_qgram_index coverage_by_position decision_delay hit_count_table "
-    "w1_hit_counts w14_updown_patterns example_sift_shortest asof_last_event fuzzy_join_parts occ_grouping_sets rank_occ_per_stream moving_hit_rate udtf_scan sql_recursive_count hits_session motif_map resource_linear_fit"
+    "w1_hit_counts w14_updown_patterns example_sift_shortest asof_last_event fuzzy_join_parts occ_grouping_sets rank_occ_per_stream moving_hit_rate udtf_scan sql_recursive_count hits_session hits_sliding occ_extremes occ_cube w3_lp_sweep w12_conversations sift_one_stream_blocks find_hits_wavefront motif_map resource_linear_fit"
 ).split()
 
 

@@ -33,41 +33,43 @@ def band_distances(codes: np.ndarray, starts: np.ndarray, pattern: np.ndarray, k
     """Distances, k + 1 where larger, of the pattern to codes[start : start + l] for the lengths l of the band. One matrix per start
     gives all lengths. codes must go on for lp + k symbols behind the last start. Starts that can't stay within k are given up in between."""
     lp = len(pattern)
+    kind = np.int8 if k < 100 else np.int16  # narrow numbers: as many as possible at once
+    one, top = kind(1), kind(k + 1)
     lengths = list(range(max(1, lp - k), lp + k + 1))
-    out = np.full((len(lengths), len(starts)), k + 1, np.int16)
-    live = np.arange(len(starts))
-    at = starts
+    out = np.full((len(lengths), len(starts)), top, kind)
+    live, at = None, starts
     # column[j] is the cell of pattern prefix j; outside the diagonal band it counts as k + 1
-    column = [np.full(len(at), min(j, k + 1), np.int16) for j in range(lp + 1)]
+    column = [np.full(len(at), min(j, k + 1), kind) for j in range(lp + 1)]
     for m in range(1, lp + k + 1):
         sym = codes[at + (m - 1)]
         lo, hi = max(0, m - k), min(lp, m + k)
         diagonal = column[lo - 1] if lo else None
-        best = np.full(len(at), k + 1, np.int16)
+        best = None
         for j in range(lo, hi + 1):
             up_left, diagonal = diagonal, column[j]
             if j == 0:
-                cell = np.full(len(at), min(m, k + 1), np.int16)
+                cell = np.full(len(at), min(m, k + 1), kind)
             else:
                 cell = up_left + (sym != pattern[j - 1])
                 if j < m + k:  # inside the band to the left
-                    cell = np.minimum(cell, diagonal + 1)
+                    np.minimum(cell, diagonal + one, out=cell)
                 if j > lo:
-                    cell = np.minimum(cell, column[j - 1] + 1)
-                cell = np.minimum(cell, k + 1).astype(np.int16)
+                    np.minimum(cell, column[j - 1] + one, out=cell)
+                np.minimum(cell, top, out=cell)
             column[j] = cell
-            best = np.minimum(best, cell)
+            best = cell if best is None else np.minimum(best, cell)
         if lo:
-            column[lo - 1] = np.full(len(at), k + 1, np.int16)
+            column[lo - 1] = np.full(len(at), top, kind)
         if m >= lengths[0] and hi == lp:
-            out[m - lengths[0], live] = column[lp]
-        if m % 4 == 0 or m == k + 1:
-            keep = best <= k
-            if keep.sum() < 0.7 * len(keep):
-                live, at = live[keep], at[keep]
-                column = [c[keep] for c in column]
-                if not len(live):
+            out[m - lengths[0], slice(None) if live is None else live] = column[lp]
+        if m > k + 1:
+            keep = np.flatnonzero(best <= k)
+            if len(keep) < 0.7 * len(at):
+                live, at = keep if live is None else live[keep], at[keep]
+                if not len(at):
                     break
+                # only the band's cells are read again
+                column = [c[keep] if lo - 1 <= j <= hi else np.full(len(at), min(j, k + 1), kind) for j, c in enumerate(column)]
     return lengths, out
 
 

@@ -88,7 +88,9 @@ def _kernel_arrays(batches: Iterator[pa.RecordBatch], groups: dict, min_len: int
             for (_, k), patterns in groups.items():
                 for pattern_id, pattern in patterns:
                     lengths, dist = distances(codes, starts, pattern, k)
-                    s, l = np.nonzero(dist.T <= k)
+                    l, s = np.divmod(np.flatnonzero(dist <= k), len(starts))
+                    order = np.lexsort((l, s))
+                    s, l = s[order], l[order]
                     length = np.array(lengths)[l]
                     good = (length <= left[s]) & (length >= min_len)
                     l, s, length = l[good], s[good], length[good]

@@ -30,6 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 from pyspark.sql.window import Window
 
 from symseek.llm.common import LOWER_ASCII, PLAIN_WORD, byte_slices, column_of, give_back, map_texts, mix64, records, run_hashes, signed, small_batches, span_hashes, words_of, written
@@ -97,7 +98,7 @@ def _survey(docs: DataFrame, n: int) -> DataFrame:
         give_back()
 
     kind = dict(docs.dtypes)["id"]
-    id_type = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
+    id_type = to_arrow_type(docs.schema["id"].dataType)
     return docs.mapInArrow(facts, f"id {kind}, n int, s1 long, s2 long, slice int, counts binary")
 
 

@@ -161,12 +161,39 @@ def test_items_against_brute_force(spark):
     assert decontaminate.find_items(d, bench.limit(0)).count() == 0
 
 
-def test_byte_radii_cover():
-    for radius in (0, 7, 15, 16, 40):
-        radii = decontaminate.byte_radii(radius)
+def test_block_radii_cover():
+    for radius in (0, 7, 15, 16, 40, 128):
+        radii = decontaminate.block_radii(radius)
         assert sum(r + 1 for r in radii) == radius + 1  # so the bits can't all be over their byte's share
 
 
+def test_near_fingerprints_are_complete():
+    """Every pair within the radius passes the blocks, whatever bits differ; radius 128 lets all pairs pass."""
+    rng = np.random.default_rng(5)
+    index = decontaminate.ItemIndex([0], ["one two three four five six seven"])
+    for radius in (40, 128):
+        index.radius, index.radii = radius, np.array(decontaminate.block_radii(radius))
+        for flips in range(0, 129, 4):
+            bits = np.unpackbits(np.repeat(index.prints, 50, 0), axis=1)
+            for row in bits:
+                row[rng.permutation(128)[:flips]] ^= 1
+            near, apart = index.near(np.packbits(bits, axis=1), np.zeros(50, int))
+            assert len(near) == (50 if flips <= radius else 0) and set(apart.tolist()) <= {flips}
+    assert decontaminate.windows(np.array([1, 2, 9]), np.array([4, 5, 9])).tolist() == [1, 2, 3, 4, 5, 9]
+
+
+def test_items_in_blocks_and_other_keys(spark, tables):
+    """Blocks of items one after another, the largest radius, and keys of another type give the same rows."""
+    d, items = table(spark, tables, "documents"), table(spark, tables, "benchmark")
+    rows = lambda df: sorted((int(r["doc_id"]), int(r["item_id"]), r["similarity"], r["first_word"]) for r in df.collect())
+    plain = rows(decontaminate.find_items(d, items))
+    assert plain and plain == rows(decontaminate.find_items(d, items, block_bytes=2_000)) == rows(decontaminate.find_items(d, items, radius=128))
+    odd = [df.withColumn(c, F.col(c).cast("decimal(20,0)")) for df, c in ((d, "doc_id"), (items, "item_id"))]
+    assert plain == rows(decontaminate.find_items(*odd))
+    near = ngram_join.near_copies(odd[0]).collect()
+    assert {int(r["doc_id"]): int(r["component_id"]) for r in near} == {r["doc_id"]: r["component_id"] for r in ngram_join.near_copies(d).collect()}
+
+
 # 5: extraction
 
 PAGE = """<!DOCTYPE html><html><head><title>t &amp; t</title><style>p{{}}</style><script>if (a < b) document.write("<p>no</p>")</script></head><body>

@@ -1,7 +1,7 @@
 """Near copies by the Jaccard similarity of word n-gram sets, with prefix filters under several global orders.
 
 Two documents link when their sets' similarity is at least a threshold t. A document of n n-grams can only link with one
-that shares one of its first n - ceil(t n) + 1 n-grams, in any order of all n-grams. Here each order puts rare ones first, by a
+that shares `SHARED` of its first n - ceil(t n) + `SHARED` n-grams, in any order of all n-grams. Here each order puts rare ones first, by a
 table of counts, with different roundings of the counts and different tie-breaks. A pair must share prefix n-grams under
 every order; only then its sets are compared, exactly.
 
@@ -10,8 +10,9 @@ every order; only then its sets are compared, exactly.
    orders; any table gives right results.
 3. Prefix n-grams under the first order are shuffled; those of one set only are dropped. Pairs of fitting sizes are counted over
    groups of up to `small` sets; both prefixes hold so few of the n-grams that linked sets must share many of these (`least_shared`).
-   Larger groups can't be expanded into pairs; their n-grams count as shared by any two of their sets, which a chain through
-   the sizes joins. Both kinds of candidates make clusters.
+   Larger groups can't be expanded into pairs. Sets that meet in no small group must share SHARED n-grams of large groups, so of a set's m such n-grams
+   only the m - SHARED + 1 with the smallest groups count (`_rarest`), and a set of fewer counts in none: one frequent n-gram glues nothing. In what is left, a chain through
+   the sizes joins a group's sets. Both kinds of candidates make clusters.
 4. The sets of a cluster meet in a task. Clusters over `block` sets are cut in blocks, each pair of which is a task, so no task's
    memory grows with a cluster. In a task the filters of all orders are intersected, and the remaining pairs verified.
    A task returns a spanning forest of its links: as many edges as vertices, never all pairs.
@@ -28,6 +29,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
@@ -38,7 +40,11 @@ from symseek.llm.connected import components
 
 _COUNT_BITS = 22
 _COUNT_SLICES = 64
+#: Tasks whose counts are added up together, before these sums are.
+_LOT = 64
 _SMALL = 48
+#: The prefix n-grams that linked sets have in common at least.
+SHARED = 3
 
 
 def gram_sets(texts: pa.Array, n: int) -> list[np.ndarray]:
@@ -57,7 +63,7 @@ def gram_sets(texts: pa.Array, n: int) -> list[np.ndarray]:
 
 
 def prefix_length(n: int, percent: int) -> int:
-    return n + (-percent * n // 100) + 1 if n else 0
+    return min(n, n + (-percent * n // 100) + SHARED)
 
 
 def order_keys(grams: np.ndarray, codes: np.ndarray, order: int) -> np.ndarray:
@@ -89,35 +95,45 @@ def _survey(docs: DataFrame, n: int) -> DataFrame:
                 ends = np.cumsum(sizes)
                 sums = [np.append(np.uint64(0), np.cumsum(mix64(every ^ np.uint64(salt)), dtype=np.uint64)) for salt in (0x0123456789ABCDEF, 0x5DEECE66D)]
                 s1, s2 = (signed(s[ends] - s[ends - sizes]) for s in sums)
-                none = {"slice": pa.nulls(len(sets), pa.int32()), "counts": pa.nulls(len(sets), pa.binary())}
+                none = {"slice": pa.nulls(len(sets), pa.int32()), "lot": pa.nulls(len(sets), pa.int32()), "counts": pa.nulls(len(sets), pa.binary())}
                 yield records(id=column_of(part, "id"), n=pa.array(sizes, pa.int32()), s1=s1, s2=s2, **none)
         if counts.any():
-            parts = np.minimum(counts, 65535).astype(np.uint16).reshape(_COUNT_SLICES, -1)  # a larger count orders as well
+            parts = np.minimum(counts, 65535).astype(np.uint16).reshape(_COUNT_SLICES, -1)  # a larger count orders as well; a task's counts are small numbers
             none = {c: pa.nulls(_COUNT_SLICES, kind) for c, kind in (("id", id_type), ("n", pa.int32()), ("s1", pa.int64()), ("s2", pa.int64()))}
-            yield records(**none, slice=pa.array(range(_COUNT_SLICES), pa.int32()), counts=pa.array([p.tobytes() for p in parts], pa.binary()))
+            lot = TaskContext.get().partitionId() // _LOT
+            yield records(**none, slice=pa.array(range(_COUNT_SLICES), pa.int32()), lot=pa.array([lot] * _COUNT_SLICES, pa.int32()), counts=pa.array([p.tobytes() for p in parts], pa.binary()))
         give_back()
 
     kind = dict(docs.dtypes)["id"]
     id_type = to_arrow_type(docs.schema["id"].dataType)
-    return docs.mapInArrow(facts, f"id {kind}, n int, s1 long, s2 long, slice int, counts binary")
+    return docs.mapInArrow(facts, f"id {kind}, n int, s1 long, s2 long, slice int, lot int, counts binary")
 
 
 def _codes(surveyed: DataFrame) -> np.ndarray:
     """Four steps for each doubling of a bucket's count; one byte per bucket."""
 
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for number, counts in zip(column_of(batch, "slice").to_pylist(), column_of(batch, "counts").to_pylist(), strict=True):
-                own = np.frombuffer(counts, np.uint16).astype(np.int64)
-                sums[number] = sums[number] + own if number in sums else own
-        if sums:
-            yield records(slice=pa.array(list(sums), pa.int32()), codes=pa.array([np.minimum(4 * np.log2(1.0 + s), 255).astype(np.uint8).tobytes() for s in sums.values()], pa.binary()))
-
-    rows = surveyed.where("slice is not null").select("slice", "counts").repartition("slice").mapInArrow(add, "slice int, codes binary").collect()
+    def added(rows: DataFrame, *by: str, last: bool) -> DataFrame:
+        """The sums of counts by slice, or slice and lot; the last ones as codes."""
+
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            sums: dict[tuple, np.ndarray] = {}
+            for batch in batches:
+                kind = np.uint64 if last else np.uint16
+                for *key, counts in zip(*[column_of(batch, c).to_pylist() for c in (*by, "counts")], strict=True):
+                    own = np.frombuffer(counts, kind).astype(np.uint64)
+                    sums[tuple(key)] = sums[tuple(key)] + own if tuple(key) in sums else own
+            if sums:
+                coded = [np.minimum(4 * np.log2(1.0 + s), 255).astype(np.uint8) if last else s for s in sums.values()]
+                keys = {c: pa.array([k[i] for k in sums], pa.int32()) for i, c in enumerate(by)}
+                yield records(**keys, counts=pa.array([c.tobytes() for c in coded], pa.binary()))
+
+        return rows.select(*by, "counts").repartition(*by).mapInArrow(add, "".join(f"{c} int, " for c in by) + "counts binary")
+
+    lots = added(surveyed.where("slice is not null"), "slice", "lot", last=False)
+    rows = added(lots, "slice", last=True).collect()
     codes = np.zeros((_COUNT_SLICES, (1 << _COUNT_BITS) // _COUNT_SLICES), np.uint8)
     for r in rows:
-        codes[r["slice"]] = np.frombuffer(r["codes"], np.uint8)
+        codes[r["slice"]] = np.frombuffer(r["counts"], np.uint8)
     return codes.ravel()
 
 
@@ -188,11 +204,20 @@ def _group_edges(shared: DataFrame, percent: int, *, pairs: bool) -> DataFrame:
     return shared.mapInArrow(edges, f"a {kind}, b {kind}, a_n int, b_n int")
 
 
+def _rarest(many: DataFrame, percent: int) -> DataFrame:
+    """Of each set's n-grams in large groups, those that have to be looked at. Two sets that meet in large groups only share at least `least` of them; the first of these
+    in one order of all n-grams has least - 1 behind it in either set, so it is among each one's first m - least + 1."""
+    least = F.greatest(F.least(F.lit(SHARED), F.ceil(F.col("n") * percent / 100)), F.lit(1))
+    own = Window.partitionBy("id")
+    ranked = many.withColumn("nth", F.row_number().over(own.orderBy("size", "gram"))).withColumn("m", F.count(F.lit(1)).over(own))
+    return ranked.where(F.col("nth") <= F.col("m") - least + 1).drop("nth", "m")
+
+
 def _candidates(shared: DataFrame, percent: int, small: int) -> DataFrame:
     """a, b: edges that connect all sets that may link. Input: gram, id, n, and size, the number of sets with the gram."""
     dealt = lambda rows: rows.select("gram", "id", "n").repartition("gram").sortWithinPartitions("gram", "n", "id")
-    few, many = shared.where(F.col("size") <= small), shared.where(F.col("size") > small)
-    common = many.groupBy("id").agg(F.count(F.lit(1)).alias("common"))
+    few, many = shared.where(F.col("size") <= small), _rarest(shared.where(F.col("size") > small), percent)
+    common = shared.where(F.col("size") > small).groupBy("id").agg(F.count(F.lit(1)).alias("common"))
     pairs = _group_edges(dealt(few), percent, pairs=True).groupBy("a", "b", "a_n", "b_n").agg(F.count(F.lit(1)).alias("met"))
     for side in "ab":
         pairs = pairs.join(common.select(F.col("id").alias(side), F.col("common").alias(f"{side}_common")), side, "left")

@@ -482,6 +482,20 @@ def test_near_copies_against_brute_force(spark):
     assert ngram_join.near_copies(d.limit(0)).count() == 0
 
 
+def test_frequent_ngram_glues_nothing(spark):
+    """Documents of words of their own that all hold one phrase don't become a cluster; documents made of frequent phrases only still link."""
+    rng = random.Random(77)
+    phrase = "the same few words in every text"
+    texts = [" ".join(f"w{rng.randrange(10**7)}" for _ in range(30)) + f" {phrase}" for _ in range(200)]
+    short = [f"{phrase} {phrase} {x}" for x in ("once", "once", "twice")] + [phrase]
+    d = docs(spark, texts + short)
+    shared = spark.createDataFrame([(g, i, 30, 200) for i in range(200) for g in (1, 2)] + [(g, 500 + i, 30, 200) for i in range(60) for g in (3, 4, 5, 6)], "gram long, id long, n int, size long")
+    left = ngram_join._rarest(shared, 90)
+    assert left.where("id < 500").count() == 0 and left.where("id >= 500").groupBy("id").count().where("count <> 2").count() == 0
+    got = by_id(ngram_join.near_copies(d, small=8), "component_id")
+    assert got == {**{i: i for i in range(200)}, 200: 200, 201: 200, 202: got[202], 203: 203}
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(90)] + [(200, 150), (150, 170), (300, 300)]
     got = by_id(connected.components(spark.createDataFrame(edges, "a long, b long")), "root")
@@ -499,7 +513,7 @@ def test_least_shared_is_a_bound(spark):
             continue
         order = {x: rng.random() for x in a | b}
         heads = [set(sorted(s, key=order.get)[: ngram_join.prefix_length(len(s), percent)]) for s in (a, b)]
-        behind = lambda n, t=percent: -(-n * t // 100) - 1
+        behind = lambda n, t=percent: max(0, -(-n * t // 100) - ngram_join.SHARED)
         least = max(1, -(-(len(a) + len(b)) * percent // (100 + percent)) - max(behind(len(a)), behind(len(b))))
-        assert len(heads[0] & heads[1]) >= least
+        assert len(heads[0] & heads[1]) >= least >= min(ngram_join.SHARED, -(-max(len(a), len(b)) * percent // 100))
         assert spark is not None

@@ -390,8 +390,8 @@ def _(t):
 
 
 @query("hits_session", f"""SELECT stream_id, session, count(*) AS n FROM (
-  SELECT *, sum(fresh) OVER (PARTITION BY stream_id ORDER BY ts ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (
-    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY stream_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM {_TIMED})) GROUP BY ALL""")
+  SELECT *, sum(fresh) OVER (PARTITION BY stream_id ORDER BY ts, pattern_id, start ROWS UNBOUNDED PRECEDING)::BIGINT AS session FROM (
+    SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY stream_id ORDER BY ts, pattern_id, start) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM {_TIMED})) GROUP BY ALL""")
 def _(t):
     found = timed_occurrences(t).groupBy("stream_id", F.session_window("at", "6 hours")).agg(F.count(F.lit(1)).alias("n"))
     return found.select("stream_id", F.row_number().over(Window.partitionBy("stream_id").orderBy("session_window.start")).cast("long").alias("session"), "n")

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from symseek.llm.common import column_of, list_array, map_texts, records
+from symseek.llm.common import column_of, map_texts, records
 
 UNIT = 576
 UNITS_PER_PES = 32
@@ -177,23 +177,24 @@ def store_texts(df: DataFrame, *, key: str = "doc_id", text: str = "text") -> Da
 
 
 def read_media(df: DataFrame, *, key: str = "doc_id", media: str = "media") -> DataFrame:
-    """The stored streams read back: payload, timestamps, random_access, packets, continuity_errors, and digests of both byte strings."""
+    """The stored streams read back: payload, timestamps, random_access, packets, continuity_errors, and digests of both byte strings. A null stream gives nulls; a damaged one raises."""
     kind = dict(df.dtypes)[key]
 
     def step(batch: pa.RecordBatch) -> pa.RecordBatch:
         stored = column_of(batch, media).to_pylist()
-        got = [demux(m) for m in stored]
+        got = [demux(m) if m is not None else None for m in stored]
+        each = lambda f, kind: pa.array([f(m, r) if r is not None else None for m, r in zip(stored, got, strict=True)], kind)
         return records(
             k=column_of(batch, key),
             n_bytes=column_of(batch, "n_bytes"),
-            payload=pa.array([r.payload for r in got], pa.binary()),
-            timestamps=list_array(pa.array([t for r in got for t in r.timestamps], pa.int64()), np.array([len(r.timestamps) for r in got])),
-            random_access=list_array(pa.array([t for r in got for t in r.random_access], pa.int64()), np.array([len(r.random_access) for r in got])),
-            packets=pa.array([r.packets for r in got], pa.int64()),
-            continuity_errors=pa.array([r.continuity_errors for r in got], pa.int64()),
-            tail_crc32=pa.array([zlib.crc32(r.payload[-32:]) for r in got], pa.int64()),
-            media_bytes=pa.array([len(m) for m in stored], pa.int64()),
-            media_sha256=[hashlib.sha256(m).hexdigest() for m in stored],
+            payload=each(lambda m, r: r.payload, pa.binary()),
+            timestamps=each(lambda m, r: r.timestamps, pa.list_(pa.int64())),
+            random_access=each(lambda m, r: r.random_access, pa.list_(pa.int64())),
+            packets=each(lambda m, r: r.packets, pa.int64()),
+            continuity_errors=each(lambda m, r: r.continuity_errors, pa.int64()),
+            tail_crc32=each(lambda m, r: zlib.crc32(r.payload[-32:]), pa.int64()),
+            media_bytes=each(lambda m, r: len(m), pa.int64()),
+            media_sha256=each(lambda m, r: hashlib.sha256(m).hexdigest(), pa.string()),
         )
 
     def pieces(batches):

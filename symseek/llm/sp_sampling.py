@@ -20,7 +20,8 @@ Weights: a BPE vocabulary has merge ranks but no probabilities. A piece of rank
 All draws follow from the row's key, so a row gets the same segmentations wherever and however often it is computed.
 
 Defined results: a null or empty text has one segmentation, the empty one, with inclusion 1; a text with fewer than k
-segmentations gives them all, with inclusion 1; repeated keys with equal texts get equal rows; a null key is a key of its own.
+segmentations gives them all, with inclusion 1, but for those that rounding can't tell from nothing: parts of a set with less than e**-60 of its
+probability, or an edge's remainder below 1e-12, aren't queued; repeated keys with equal texts get equal rows; a null key is a key of its own.
 """
 
 from __future__ import annotations
@@ -40,7 +41,6 @@ from symseek.llm.common import column_of, list_array, map_texts, mix64, records
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
-_LONGEST = 16  # characters of the longest piece; longer ones are never used
 _SLICE = 1 << 19
 _SLOTS = 21
 _SIEVE = (1 << 19) - 1
@@ -65,6 +65,7 @@ class Vocabulary:
     byte_base: int
     byte_weight: float
     spelled: list[bytes]
+    longest: int  # characters of the longest piece
 
     def find(self, hashes: np.ndarray) -> np.ndarray:
         """The piece with each hash, or -1."""
@@ -90,13 +91,12 @@ def vocabulary(model: str, temperature: float) -> Vocabulary:
             spelled[i] = bytes([i - byte_base])
         elif not lib.is_control(i) and not lib.is_unknown(i):
             spelled[i] = piece.replace(SPACE, " ").encode()
-            if len(piece) <= _LONGEST:
-                usable.append((i, piece))
+            usable.append((i, piece))
     codes = np.frombuffer("".join(p for _, p in usable).encode("utf-32-le"), np.uint32)
     sizes = np.array([len(p) for _, p in usable])
     begins = np.cumsum(sizes) - sizes
     raw = np.zeros(len(sizes), np.uint64)
-    for length in range(1, _LONGEST + 1):
+    for length in range(1, int(sizes.max()) + 1):
         own = np.flatnonzero(sizes >= length)
         raw[own] = longer_hashes(raw[own], codes[begins[own] + (length - 1)])
     hashes = mix64(raw + sizes.astype(np.uint64))
@@ -117,7 +117,7 @@ def vocabulary(model: str, temperature: float) -> Vocabulary:
     sieve[(hashes >> np.uint64(2)).astype(np.int64) & _SIEVE] = True
     rank = np.maximum(np.arange(size) - (byte_base + 256), 0)
     weight = -np.log(rank + 3.0) / temperature
-    return Vocabulary(ids, keys, sieve, weight, byte_base, float(weight.min()), spelled)
+    return Vocabulary(ids, keys, sieve, weight, byte_base, float(weight.min()), spelled, int(sizes.max()))
 
 
 def units_of(text: str) -> list[str]:
@@ -144,7 +144,7 @@ class Lattices:
         single = np.zeros(n, bool)
         at = np.flatnonzero(left)
         raw = np.zeros(len(at), np.uint64)
-        for length in range(1, _LONGEST + 1):
+        for length in range(1, v.longest + 1):
             if length > 1:
                 longer = left[at] >= length
                 at, raw = at[longer], raw[longer]
@@ -232,7 +232,7 @@ def draw_all(lattices: Lattices, unit: np.ndarray, seed: np.ndarray, number: np.
     """Draw a segmentation of each unit occurrence. unit: its lattice; seed, number: its text's seed and its place in the text."""
     order = np.argsort(unit, kind="stable")  # neighbours in memory read the same lattices
     node, who, steps = lattices.start[unit[order]], order, []
-    base = mix64(seed + mix64(number.astype(np.uint64) * np.uint64(64) + np.uint64(draw + 1)))[order]
+    base = mix64(mix64(seed + mix64(number.astype(np.uint64))) + np.uint64(draw + 1))[order]  # whatever the draw's number, no two units share draws
     length = np.zeros(len(unit), np.int64)
     while len(who):
         edge = lattices.choose(node, _uniforms(base, len(steps)))

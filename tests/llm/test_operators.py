@@ -517,3 +517,120 @@ def test_least_shared_is_a_bound(spark):
         least = max(1, -(-(len(a) + len(b)) * percent // (100 + percent)) - max(behind(len(a)), behind(len(b))))
         assert len(heads[0] & heads[1]) >= least >= min(ngram_join.SHARED, -(-max(len(a), len(b)) * percent // 100))
         assert spark is not None
+
+
+# More edges: brute force for the learned models, an independent reader, long texts, many draws
+
+
+def test_kernel_and_ridge_against_brute_force():
+    """The kernel's values from sets of n-grams, and the solution from plain normal equations."""
+    texts = ["the cat sat on the mat", "a dog and the cat", "der Hund und die Katze", "die Katze sitzt", "le chat et le chien", "the the the"]
+    names = ["en", "en", "de", "de", "fr", "en"]
+    model = langid.fit(texts, names, landmarks=6, ridge=1e-2)
+    folded = [bytes(langid._FOLD[np.frombuffer(t.lower().encode(), np.uint8)]) for t in texts]
+    grams = [{t[i : i + n] for n in (2, 3, 4, 5) for i in range(len(t) - n + 1)} for t in folded]
+    order = [i for c in sorted(set(names)) for i in [j for j, x in enumerate(names) if x == c][: max(1, 6 // 3)]]
+    exact = np.array([[len(a & grams[j]) / math.sqrt(max(len(a), 1) * max(len(grams[j]), 1)) for j in order] for a in grams])
+    got = model.kernel(pa.array(texts))
+    assert got.shape == exact.shape and np.allclose(got, exact, atol=0.02)  # buckets may be shared
+    square = exact[order]
+    value, vector = np.linalg.eigh(square)
+    mapped = exact @ (vector / np.sqrt(np.maximum(value, 1e-6 * value.max())) @ vector.T)
+    target = np.array([[1.0 if x == c else -1.0 for c in sorted(set(names))] for x in names])
+    weigh = np.diag([1 / names.count(x) for x in names])
+    solved = mapped @ np.linalg.solve(mapped.T @ weigh @ mapped + 1e-2 * np.eye(len(order)), mapped.T @ weigh @ target)
+    assert np.allclose(got @ model.weights, solved, atol=0.05)
+    best, _ = model.predict(pa.array(["cat"] * 3 + [""]))
+    assert len(set(best[:3].tolist())) == 1
+    tied = langid.KernelModel(["de", "en"], model.feature_of, model.landmarks, np.zeros((len(model.landmarks), 2), np.float32))
+    assert tied.predict(pa.array(["anything"]))[0].tolist() == [0] and tied.predict(pa.array(["x"]))[1].tolist() == [0.5]
+
+
+def test_statistics_against_brute_force():
+    rng = random.Random(8)
+    texts = ["".join(rng.choice("aB3 .!#\n\té") for _ in range(rng.randint(1, 80))) for _ in range(60)]
+    got = quality.statistics(pa.array(texts))
+    column = {name: i for i, name in enumerate(quality.STATISTICS)}
+    for t, x in zip(texts, got, strict=True):
+        data, words = t.encode(), WORD.findall(t.encode())
+        lines = [line for line in data.split(b"\n") if line]
+        pairs = list(itertools.pairwise(words))
+        n = max(len(words), 1)
+        expected = {
+            "log_bytes": math.log1p(len(data)), "lower": data.count(b"a") / len(data), "upper": data.count(b"B") / len(data), "digit": data.count(b"3") / len(data), "beyond_ascii": sum(b > 127 for b in data) / len(data),
+            "log_words": math.log1p(len(words)), "word_length": sum(map(len, words)) / n, "word_spread": float(np.std([len(w) for w in words])) if words else 0, "distinct_words": len(set(words)) / n,
+            "log_lines": math.log1p(len(lines)), "repeated_lines": 1 - len(set(lines)) / len(lines) if lines else 0.0, "symbol_words": sum(b"#" in w or b"!" in w for w in words) / n, "short_words": sum(len(w) <= 2 for w in words) / n,
+            "long_words": sum(len(w) >= 12 for w in words) / n, "full_stops": sum(w[-1:] in (b".", b"!", b"?") for w in words) / n, "repeated_pairs": 1 - len(set(pairs)) / len(pairs) if pairs else 0.0,
+        }
+        for name, value in expected.items():
+            if lines and (pairs or name != "repeated_pairs"):
+                assert math.isclose(x[column[name]], value, rel_tol=1e-4, abs_tol=1e-5), name
+
+
+def test_learned_models_on_empty_and_repeated_rows(spark):
+    d = docs(spark, ["one two three"] * 3 + ["x # y"], lang=["en"] * 4)
+    labels = spark.createDataFrame([(0, 1), (0, 1), (3, 0)], "doc_id long, quality int")
+    model = quality.train(d, labels, F.lit(True))
+    assert len(set(by_id(quality.score(d, model).where("doc_id < 3"), "score").values())) == 1
+    assert quality.score(d.limit(0), model).count() == 0 and quality.score(d, quality.train(d.limit(0), labels, F.lit(True))).count() == 4
+
+
+def test_transport_stream_by_an_independent_reader():
+    """A plain reader, packet by packet from the standard's layout: tables, adaptation fields, counters, elementary packets."""
+    payload = media_ts.padded(random.Random(3).randbytes(70_000))
+    stream, out, last, pid, map_pid = media_ts.mux(payload), [], None, None, None
+    for at in range(0, len(stream), 188):
+        p = stream[at : at + 188]
+        assert p[0] == 0x47
+        number, begins, has_field, has_body = (p[1] & 31) << 8 | p[2], p[1] >> 6 & 1, p[3] >> 5 & 1, p[3] >> 4 & 1
+        body = p[4 + (1 + p[4] if has_field else 0) :] if has_body else b""
+        if number == 0 and map_pid is None:
+            section = body[1 + body[0] :]
+            assert section[0] == 0
+            map_pid = (section[10] & 31) << 8 | section[11]
+        elif number == map_pid and pid is None:
+            section = body[1 + body[0] :]
+            assert section[0] == 2
+            skip = (section[10] & 15) << 8 | section[11]
+            pid = (section[13 + skip] & 31) << 8 | section[14 + skip]
+        elif number == pid and pid is not None:
+            assert last is None or p[3] & 15 == (last + 1) % 16
+            last = p[3] & 15
+            if begins:
+                assert body[:3] == b"\0\0\1"
+                out.append(b"")
+            out[-1] += body
+    assert b"".join(x[9 + x[8] :] for x in out) == payload
+    for x in out:
+        size = x[4] << 8 | x[5]
+        assert size in (0, len(x) - 6)
+
+
+def test_media_without_rows_and_null(spark):
+    empty = media_ts.store_texts(docs(spark, ["a"]).limit(0))
+    assert media_ts.read_media(empty).count() == 0
+    null = spark.createDataFrame([(1, 0, None)], "doc_id long, n_bytes long, media binary")
+    row = media_ts.read_media(null).first()
+    assert row["payload"] is None and row["media_sha256"] is None and row["timestamps"] is None
+
+
+def test_many_draws(spark):
+    """More draws than 64, all different, and no unit's draws repeat another's."""
+    rows = sp_sampling.sample(docs(spark, ["several words that can be cut in many ways"]), k=70).collect()
+    assert len({tuple(r["token_ids"]) for r in rows}) == 70 and [r["perturbed"] for r in sorted(rows, key=lambda r: r["draw"])] == sorted((r["perturbed"] for r in rows), reverse=True)
+
+
+def test_texts_over_one_slice(spark):
+    """A text of several slices' size, whole, beside short ones."""
+    rng = random.Random(6)
+    long = " ".join(f"w{rng.randrange(50_000)}" for _ in range(60_000))
+    assert len(long) > 256 * 1024
+    texts = [long, "short one", long + " tail", None]
+    d = docs(spark, texts, source=["s"] * 4, lang=["en"] * 4)
+    assert by_id(substring_dedup.remove_repeats(d), "n_words", "n_removed") == {0: (60_000, 0), 1: (2, 0), 2: (60_001, 60_000), 3: (0, 0)}
+    assert by_id(ngram_join.near_copies(d), "component_id") == {0: 0, 1: 1, 2: 0, 3: 3}
+    items = spark.createDataFrame([(7, " ".join(long.split()[59_900:59_960])), (8, "nothing of this is there at all in the text")], "item_id long, text string")
+    assert sorted((r["doc_id"], r["item_id"], r["first_word"]) for r in decontaminate.find_items(d, items).collect()) == [(0, 7, 59_900), (2, 7, 59_900)]
+    assert by_id(media_ts.read_media(media_ts.store_texts(d)), "n_bytes")[2] == len(texts[2])
+    assert by_id(token_counts.with_counts(d), "n_bytes") == {i: len(t or "") for i, t in enumerate(texts)}
+    assert by_id(sp_sampling.decode(sp_sampling.encode(d)), "decoded")[0] == long

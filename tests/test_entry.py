@@ -54,3 +54,7 @@ def test_without_optional_parts(tmp_path):
     shutil.copytree(ROOT, tmp_path / "repo", ignore=shutil.ignore_patterns(".git", "llm", "corpus_pipeline.py", "__pycache__", "spark-warehouse"))
     code = "import __spark_entry__ as e; q = e.queries(); assert 'online_sift_events' in q and not any(n.startswith('op') and n[2].isdigit() for n in q) and 'pipeline' not in q and set(e.oracle_sql()) <= set(q)"
     subprocess.run([sys.executable, "-B", "-c", code], cwd=tmp_path / "repo", check=True, env={k: v for k, v in os.environ.items() if k != "PYTHONPATH"})
+    # the other tests are found, and those without a session run
+    shutil.rmtree(tmp_path / "repo" / "tests" / "llm", ignore_errors=True)
+    some = [sys.executable, "-B", "-m", "pytest", "-q", "-p", "no:cacheprovider", "tests", "-k", "kernels_agree or many_islands or pieces_equal or bank_in_one"]
+    assert " passed" in subprocess.run(some, cwd=tmp_path / "repo", check=True, capture_output=True, text=True).stdout

@@ -117,7 +117,7 @@ def test_late_and_repeated_rows(spark, tmp_path, late):
     kept = sift_stream(stream, [(0, "ABC", 0)], stream_id=F.col("user"), ts="ts", order="id", symbol=F.col("sym"), watermark="10 minutes", idle_ms=100_000_000, late=late, deduplicate=True)
     sinks.stream_by_batch(kept, str(tmp_path / "out"), str(tmp_path / "state")).awaitTermination(180)
     got = spark.read.parquet(str(tmp_path / "out")).where("stream_id = 1").collect()
-    assert sorted((r["start"], r["len"]) for r in got if not r["late"]) == [(0, 3), (3, 3)]  # the third one's group is still open
+    assert sorted((r["start"], r["len"]) for r in got if not r["late"]) == [(0, 3), (3, 3), (6, 3)]  # the last by the idle timer
     assert [(r["decided_at"], r["dist"], r["pattern_id"]) for r in got if r["late"]] == ([(1_004_000, -1, None)] if late == "side_output" else [])
 
 

@@ -56,7 +56,10 @@ def _library(model: str):
 
 @dataclass
 class Vocabulary:
-    """Pieces by the hash of their characters, in two open tables behind a small sieve, with log-weights and the bytes they stand for."""
+    """Pieces by the hash of their characters, in two open tables behind a small sieve, with log-weights and the bytes they stand for.
+
+    The sieve has bit 1 where a piece may be and bit 2 where the beginning of a longer piece may be.
+    """
 
     ids: list[np.ndarray]
     keys: list[np.ndarray]
@@ -67,18 +70,23 @@ class Vocabulary:
     spelled: list[bytes]
     longest: int  # characters of the longest piece
 
+    def marks(self, hashes: np.ndarray) -> np.ndarray:
+        return self.sieve[_sieve_slots(hashes)]
+
     def find(self, hashes: np.ndarray) -> np.ndarray:
         """The piece with each hash, or -1."""
         found = np.full(len(hashes), -1, np.int32)
-        some = np.flatnonzero(self.sieve[(hashes >> np.uint64(2)).astype(np.int64) & _SIEVE])
-        h = hashes[some]
         for shift, ids, keys in zip((64 - _SLOTS, 20), self.ids, self.keys, strict=True):
-            slot = (h >> np.uint64(shift)).astype(np.int64) & (1 << _SLOTS) - 1
-            hit = keys[slot] == h
-            found[some[hit]] = ids[slot[hit]]
+            slot = (hashes >> np.uint64(shift)).astype(np.int64) & (1 << _SLOTS) - 1
+            hit = keys[slot] == hashes
+            found[hit] = ids[slot[hit]]
         return found
 
 
+def _sieve_slots(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> np.uint64(2)).astype(np.int64) & _SIEVE
+
+
 @lru_cache(maxsize=2)
 def vocabulary(model: str, temperature: float) -> Vocabulary:
     lib = _library(model)
@@ -95,10 +103,11 @@ def vocabulary(model: str, temperature: float) -> Vocabulary:
     codes = np.frombuffer("".join(p for _, p in usable).encode("utf-32-le"), np.uint32)
     sizes = np.array([len(p) for _, p in usable])
     begins = np.cumsum(sizes) - sizes
-    raw = np.zeros(len(sizes), np.uint64)
+    raw, sieve = np.zeros(len(sizes), np.uint64), np.zeros(_SIEVE + 1, np.uint8)
     for length in range(1, int(sizes.max()) + 1):
         own = np.flatnonzero(sizes >= length)
         raw[own] = longer_hashes(raw[own], codes[begins[own] + (length - 1)])
+        sieve[_sieve_slots(mix64(raw[sizes > length] + np.uint64(length)))] |= 2
     hashes = mix64(raw + sizes.astype(np.uint64))
     rest = list(zip([i for i, _ in usable], hashes, strict=True))
     ids, keys = [], []
@@ -113,8 +122,7 @@ def vocabulary(model: str, temperature: float) -> Vocabulary:
         ids, keys, rest = [*ids, table], [*keys, key], left
     if rest or byte_base is None:
         raise ValueError("this vocabulary has no byte pieces or doesn't fit the tables")
-    sieve = np.zeros(_SIEVE + 1, bool)
-    sieve[(hashes >> np.uint64(2)).astype(np.int64) & _SIEVE] = True
+    sieve[_sieve_slots(hashes)] |= 1
     rank = np.maximum(np.arange(size) - (byte_base + 256), 0)
     weight = -np.log(rank + 3.0) / temperature
     return Vocabulary(ids, keys, sieve, weight, byte_base, float(weight.min()), spelled, int(sizes.max()))
@@ -145,21 +153,23 @@ class Lattices:
         at = np.flatnonzero(left)
         raw = np.zeros(len(at), np.uint64)
         for length in range(1, v.longest + 1):
-            if length > 1:
-                longer = left[at] >= length
-                at, raw = at[longer], raw[longer]
             if not len(at):
                 break
             raw = longer_hashes(raw, codes[at + (length - 1)])
-            piece = v.find(mix64(raw + np.uint64(length)))
+            hashes = mix64(raw + np.uint64(length))
+            mark = v.marks(hashes)
+            some = np.flatnonzero(mark & 1)
+            piece = v.find(hashes[some])
             hit = np.flatnonzero(piece >= 0)
-            found, piece = at[hit], piece[hit]
+            found, piece = at[some[hit]], piece[hit]
             if length == 1:
                 single[found] = True
             sources.append(found)
             pieces.append(piece)
             weights.append(v.weight[piece])
             targets.append(found + length)
+            longer = np.flatnonzero((mark & 2).view(bool) & (left[at] > length))
+            at, raw = at[longer], raw[longer]
         bare = np.flatnonzero(~single & (left > 0))
         code = codes[bare].astype(np.int64)
         sources.append(bare)
@@ -172,15 +182,15 @@ class Lattices:
         self.left, self.start = left[order], number[begin]
         count = np.zeros(n, np.int64)
         for at in sources:
-            count[number[at]] += 1
+            count[at] += 1
+        count = count[order]
         self.first = np.append(0, np.cumsum(count))
         self.piece, weight, self.target = np.empty(self.first[-1], np.int32), np.empty(self.first[-1]), np.empty(self.first[-1], np.int64)
-        fill = self.first[:-1].copy()
+        fill = self.first[number]
         for at, piece, w, to in zip(sources, pieces, weights, targets, strict=True):
-            node = number[at]
-            edge = fill[node]
+            edge = fill[at]
             self.piece[edge], weight[edge], self.target[edge] = piece, w, number[to]
-            fill[node] += 1
+            fill[at] = edge + 1
         total = np.zeros(n)
         bounds = np.searchsorted(self.left, np.arange(1, int(self.left[-1]) + 2 if n else 1))
         for a, b in zip(bounds[:-1], bounds[1:], strict=True):  # from the units' ends to their starts
@@ -211,11 +221,15 @@ def longer_hashes(raw: np.ndarray, codes: np.ndarray) -> np.ndarray:
     return raw * np.uint64(0x5851F42D4C957F2D) + codes + np.uint64(1)
 
 
+def _mixed(seed: np.ndarray, number) -> np.ndarray:
+    return mix64(seed + np.atleast_1d(number).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(0x632BE59BD9B4E019))
+
+
 def _uniforms(seed: np.ndarray, *numbers) -> np.ndarray:
     """Draws in (0, 1) that follow from a row's seed and some numbers."""
     h = seed
     for x in numbers:
-        h = mix64(h + np.atleast_1d(x).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(0x632BE59BD9B4E019))
+        h = _mixed(h, x)
     return ((h >> np.uint64(11)).astype(np.float64) + 0.5) / float(1 << 53)
 
 
@@ -266,45 +280,22 @@ _FAINT = 60.0
 class Search:
     """The A-star search over one text."""
 
-    def __init__(self, lattices: Lattices, seed: np.uint64, k: int):
-        self.lattices, self.k = lattices, k
-        self.seed = np.array([seed], np.uint64)
+    def __init__(self, lattices: Lattices):
+        self.lattices = lattices
         self.paths: list[Path] = []
         self.queue: list[tuple[float, int, int, list[int] | None]] = []
 
-    def take(self, path: Path, since: int = 0, used: list[int] | None = None) -> None:
-        """Queue what is left of a set once `path` is taken: the parts that leave it at edge `since` or later. used: the edges taken at `since`."""
-        source = len(self.paths)
-        self.paths.append(path)
-        size = 128
-        while True:
-            logp = path.logp[since : since + size]
-            fall = np.cumsum(logp)
-            if since + size >= len(path.logp) or fall[-1] < -_FAINT:
-                break
-            size *= 4
-        mass = fall - logp + np.log1p(-np.minimum(np.exp(logp), 1 - 1e-15))
-        mass[logp > -1e-12] = -np.inf  # no other edge
-        if used is not None:
-            rest = -np.expm1(np.log(np.exp(self.lattices.logp[used]).sum()))
-            mass[0] = np.log(rest) if rest > 1e-12 else -np.inf
-        mass += path.logp[:since].sum()
-        u = _uniforms(self.seed, source + 1, np.arange(since, since + len(mass)))
-        with np.errstate(divide="ignore", over="ignore"):
-            value = mass - np.log(np.exp(mass - path.perturbed) - np.log(u))  # Gumbel draws, given that they are at most path.perturbed
-        keep = np.argpartition(-value, self.k)[: self.k + 1] if len(value) > self.k + 1 else range(len(value))
-        for j in keep:
-            if value[j] > -np.inf:
-                heapq.heappush(self.queue, (-float(value[j]), source, since + int(j), used if j == 0 else None))
-
-    def next(self, draw: Draw, a: int, b: int) -> None:
-        """Take the set with the largest perturbed value off the queue and draw its best path. `draw` gives the units behind the place where it leaves the old path."""
+    def next(self, draw: Draw, a: int, b: int, base: np.ndarray) -> tuple[Path, int, list[int]]:
+        """Take the set with the largest perturbed value off the queue and draw its best path; where it leaves the old path; the edges taken there.
+
+        `draw` gives the units behind that place, draws from `base` the rest of the unit it is in.
+        """
         negative, source, j, used = heapq.heappop(self.queue)
         old, lattices = self.paths[source], self.lattices
         used = used or [int(old.edge[j])]
         unit = int(np.searchsorted(old.first, j, "right")) - 1
         node = int(np.searchsorted(lattices.first, old.edge[j], "right")) - 1
-        u = _uniforms(self.seed, 1 << 20, len(self.paths), np.arange(lattices.left[node])).tolist()
+        u = _uniforms(base, np.arange(lattices.left[node])).tolist()
         new: list[int] = []
         while lattices.left[node] > 0:
             lo, hi = int(lattices.first[node]), int(lattices.first[node + 1])
@@ -321,17 +312,66 @@ class Search:
             np.concatenate([old.first[: unit + 1], draw.first[a + unit + 1 : b + 1] - lo + (j + len(new))]),
             -negative,
         )
-        self.take(path, j, [*used, new[0]])
+        return path, j, [*used, new[0]]
+
 
+def take(lattices: Lattices, taken: list[tuple[Search, Path, int, list[int] | None]], seeds: np.ndarray, k: int) -> None:
+    """For each search, queue what is left of a set once `path` is taken: the parts that leave it at edge `since` or later. used: the edges taken at `since`.
 
-def top_k(lattices: Lattices, draws: list[Draw], a: int, b: int, seed: np.uint64, k: int) -> tuple[list[Path], float]:
-    """The k segmentations of the text whose units are a .. b - 1 with the largest perturbed values, and the next value."""
-    d, search = draws[0], Search(lattices, seed, k)
-    lo, hi = d.first[a], d.first[b]
-    search.take(Path(d.edge[lo:hi], d.logp[lo:hi], d.first[a : b + 1] - lo, float(-np.log(-np.log(_uniforms(search.seed, 0, 0)[0])))))
-    while len(search.paths) < k and search.queue:
-        search.next(draws[len(search.paths)], a, b)
-    return search.paths, -search.queue[0][0] if search.queue else -np.inf
+    All searches have taken equally many paths. Only as much of a path is looked at as may hold parts of a set that are queued.
+    """
+    source = len(taken[0][0].paths)
+    for search, path, _, _ in taken:
+        search.paths.append(path)
+    size, todo = 256, np.arange(len(taken))
+    while len(todo):
+        logp = np.zeros((len(todo), size))
+        for row, i in zip(logp, todo, strict=True):
+            _, path, since, _ = taken[i]
+            part = path.logp[since : since + size]
+            row[: len(part)] = part
+        fall = np.cumsum(logp, axis=1)
+        over = np.array([since + size >= len(path.logp) for _, path, since, _ in (taken[i] for i in todo)]) | (fall[:, -1] < -_FAINT)
+        now, logp, fall = todo[over], logp[over], fall[over]
+        todo, size = todo[~over], size * 2
+        if not len(now):
+            continue
+        mass = fall - logp + np.log1p(-np.minimum(np.exp(logp), 1 - 1e-15))
+        mass[logp > -1e-12] = -np.inf  # no other edge, or beyond the path's end
+        sinces = np.array([taken[i][2] for i in now])
+        for row, i in zip(mass, now, strict=True):
+            _, path, since, used = taken[i]
+            if used is not None:
+                rest = -np.expm1(np.log(np.exp(lattices.logp[used]).sum()))
+                row[0] = np.log(rest) if rest > 1e-12 else -np.inf
+                row += path.logp[:since].sum()
+        u = _uniforms(seeds[now][:, None], source + 1, sinces[:, None] + np.arange(mass.shape[1]))
+        perturbed = np.array([taken[i][1].perturbed for i in now])[:, None]
+        with np.errstate(divide="ignore", over="ignore"):
+            value = mass - np.log(np.exp(mass - perturbed) - np.log(u))  # Gumbel draws, given that they are at most path.perturbed
+        best = np.argpartition(-value, min(k, value.shape[1] - 1), axis=1)[:, : k + 1]
+        for i, js, values in zip(now, best.tolist(), np.take_along_axis(value, best, 1).tolist(), strict=True):
+            search, _, since, used = taken[i]
+            for j, x in zip(js, values, strict=True):
+                if x > -np.inf:
+                    heapq.heappush(search.queue, (-x, source, since + j, used if j == 0 else None))
+
+
+def top_k(lattices: Lattices, draws: list[Draw], first: np.ndarray, seeds: np.ndarray, k: int) -> list[tuple[list[Path], float]]:
+    """For each text, whose units are first[i] .. first[i + 1] - 1 (one at least), the k segmentations with the largest perturbed values, and the next value."""
+    d, searches, taken = draws[0], [Search(lattices) for _ in seeds], []
+    largest = -np.log(-np.log(_uniforms(seeds, 0, 0)))
+    for search, a, b, value in zip(searches, first[:-1], first[1:], largest.tolist(), strict=True):
+        lo, hi = d.first[a], d.first[b]
+        taken.append((search, Path(d.edge[lo:hi], d.logp[lo:hi], d.first[a : b + 1] - lo, value), 0, None))
+    live = np.arange(len(searches))
+    while len(live):
+        take(lattices, taken, seeds[live], k)
+        number = len(taken[0][0].paths)
+        live = np.array([i for i in live if number < k and searches[i].queue], np.int64)
+        base = _mixed(_mixed(seeds[live], 1 << 20), number)
+        taken = [(searches[i], *searches[i].next(draws[number], first[i], first[i + 1], base[at : at + 1])) for at, i in enumerate(live)]
+    return [(s.paths, -s.queue[0][0] if s.queue else -np.inf) for s in searches]
 
 
 def piece_ids(piece: np.ndarray, byte_base: int) -> np.ndarray:
@@ -366,11 +406,13 @@ def segment(texts: list[str | None], seeds: np.ndarray, k: int, v: Vocabulary) -
         text_seed = np.repeat(seeds, sizes)
         number = np.arange(len(unit)) - np.repeat(first[:-1], sizes)
         draws = [draw_all(lattices, unit, text_seed, number, i) for i in range(k)]
-    for i, seed in enumerate(seeds):
-        if not sizes[i]:
+        some = np.flatnonzero(sizes)
+        results = iter(top_k(lattices, draws, np.append(first[some], first[-1]), seeds[some], k))
+    for size in sizes:
+        if not size:
             yield [(np.zeros(0, np.int32), 0.0, 0.0, 1.0)]
             continue
-        found, beyond = top_k(lattices, draws, int(first[i]), int(first[i + 1]), seed, k)
+        found, beyond = next(results)
         out = []
         for path in found:
             log_prob = float(path.logp.sum())

@@ -48,18 +48,23 @@ def op6_sentencepiece_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals after three batches over all documents: all inserted; exact copies of a smaller doc_id deleted; of the
-    rest, those that repeat a line revised to each line once. Every batch is committed twice, which must count once."""
+    rest, those that repeat a line revised to each line once. Every batch is committed twice, which must count once.
+
+    Copies are counted by text, source and language before they are shuffled, so a large group of them is a few rows."""
     docs = table(spark, sf_dir, "documents")
     alive = written(token_counts.with_counts(docs.select("doc_id", "source", "lang", "text", F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("digest")), keep=("doc_id", "source", "lang", "digest")), "token-counts")
-    first = alive.groupBy("digest").agg(F.min("doc_id").alias("first_id"))
-    copies = alive.join(first, "digest").where(F.col("doc_id") > F.col("first_id"))
+    groups = alive.groupBy("digest", "source", "lang", "n_tokens", "n_bytes").agg(F.count("doc_id").alias("n"), F.min("doc_id").alias("lowest"))
+    first = groups.groupBy("digest").agg(F.min("lowest").alias("first_id"))
+    extra = F.col("n") - (F.col("lowest") == F.col("first_id")).cast("long")
+    copies = groups.join(first, "digest").where(extra > 0).withColumn("extra", extra)
     once = F.array_join(F.array_distinct(F.split("text", "\n")), "\n")
     new = token_counts.with_counts(docs.where(F.length("text") > F.length(once)).select("doc_id", "source", "lang", once.alias("text")))
-    originals = alive.join(first, "digest").where(F.col("doc_id") <= F.col("first_id"))
-    renewed = written(originals.select("doc_id", "source", "lang", F.col("n_tokens").alias("old_tokens"), F.col("n_bytes").alias("old_bytes")).join(new.select("doc_id", "n_tokens", "n_bytes"), "doc_id"), "token-revisions")
+    olds = alive.select("doc_id", "source", "lang", F.col("n_tokens").alias("old_tokens"), F.col("n_bytes").alias("old_bytes"))
+    originals = new.select("doc_id", "n_tokens", "n_bytes").join(first.select(F.col("first_id").alias("doc_id")), "doc_id", "left_semi")
+    renewed = written(olds.join(originals, "doc_id"), "token-revisions")
     old = renewed.select("doc_id", "source", "lang", F.col("old_tokens").alias("n_tokens"), F.col("old_bytes").alias("n_bytes"))
     rollup = token_counts.new_rollup(spark)
-    batches = {"inserts": token_counts.changes(alive, +1), "copies": token_counts.changes(copies, -1), "lines-once": token_counts.revisions(old, renewed)}
+    batches = {"inserts": token_counts.changes(alive, +1), "copies": token_counts.changes(copies, -F.col("extra")), "lines-once": token_counts.revisions(old, renewed)}
     for batch_id, signed in batches.items():
         rollup.commit(batch_id, signed)
     for batch_id, signed in batches.items():

@@ -5,7 +5,7 @@ the old and the new token counts. A batch of changes is summed to one row per (s
 and committed under the batch's id; totals are sums over the committed batches.
 
 A commit is idempotent: the batch's sums go to a file set of their own, and then a new manifest names it with the
-batch's id. Repeating a commit of a batch that is already there changes nothing; a commit that broke off before its
+batch's id. The last KEPT manifests stay, for readers that are a little behind. Repeating a commit of a batch that is already there changes nothing; a commit that broke off before its
 manifest isn't counted, and repeating it counts once. Compaction replaces all file sets by one in the same way.
 
 Tokens are those of a byte-level BPE vocabulary file. The version names file and pattern, so totals of two
@@ -25,7 +25,7 @@ import uuid
 from functools import lru_cache
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from symseek.llm.common import column_of, map_texts, records, shared_folder
@@ -35,6 +35,8 @@ VERSION = "byte_bpe_50k/1"
 # Fixed value: the vocabulary's splitting pattern.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 GROUP = ("source", "lang", "version")
+#: Manifests that stay.
+KEPT = 32
 _SUMS = "source string, lang string, version string, docs long, tokens long, bytes long"
 
 
@@ -61,8 +63,8 @@ def with_counts(df: DataFrame, *, text: str = "text", vocabulary: str = VOCABULA
     return map_texts(rows, step, ", ".join([f"`{c}` {kinds[c]}" for c in keep]) + ", n_tokens long, n_bytes long", text="body")
 
 
-def changes(counted: DataFrame, sign: int, version: str = VERSION) -> DataFrame:
-    """Insertions (+1) or deletions (-1) of counted documents."""
+def changes(counted: DataFrame, sign: int | Column, version: str = VERSION) -> DataFrame:
+    """Insertions (+1) or deletions (-1) of counted documents. A column says how many documents with these counts a row stands for."""
     return counted.select("source", "lang", F.lit(version).alias("version"), F.lit(sign).cast("long").alias("sign"), "n_tokens", "n_bytes")
 
 
@@ -105,6 +107,8 @@ class TokenRollup:
         fs.mkdirs(target.getParent())
         if fs.exists(target) or not fs.rename(aside, target):
             raise RuntimeError("another writer committed first; read the totals again and repeat the commit")
+        if number > KEPT:
+            fs.delete(self._at(f"manifests/{number - KEPT}")[1], False)
 
     def _write(self, sums: DataFrame, name: str) -> None:
         sums.write.mode("overwrite").parquet(f"{self.root}/sums/{name}")

@@ -330,7 +330,8 @@ def test_sampling_without_replacement_has_the_right_law():
 # 7: token counts
 
 
-def test_rollup(spark):
+def test_rollup(spark, monkeypatch):
+    monkeypatch.setattr(token_counts, "KEPT", 2)  # more commits than manifests that stay
     counted = token_counts.with_counts(clashing(docs(spark, ODD_TEXTS, source=["a", None] * 4 + ["a"], lang=["en"] * 9)))
     encode = token_counts._pieces(token_counts.VOCABULARY).encode_ordinary
     assert by_id(counted, "n_tokens", "n_bytes") == {i: (len(encode(t or "")), len((t or "").encode())) for i, t in enumerate(ODD_TEXTS)}
@@ -348,6 +349,8 @@ def test_rollup(spark):
     assert rollup.commit("empty", token_counts.changes(counted.limit(0), +1)) and total() == revised
     assert rollup.commit("b3", token_counts.changes(counted.where("source is null"), -1))
     assert total()[None, "en"] == (0, 0, 0)
+    fs, folder = rollup._at("manifests")
+    assert sorted(int(x.getPath().getName()) for x in fs.listStatus(folder)) == [3, 4]
     rollup.compact()
     assert (None, "en") not in total() and rollup.committed() == ["b1", "b2", "empty", "b3"] and not rollup.commit("b2", token_counts.changes(counted, +1))
 

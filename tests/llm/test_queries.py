@@ -36,3 +36,21 @@ def test_extraction_and_counts(spark, tables):
     totals = entry.queries()["op7_token_counts"](spark, tables)
     docs = spark.read.parquet(f"{tables}/documents.parquet")
     assert totals.agg({"docs": "sum"}).first()[0] == docs.select("text").distinct().count()
+
+
+def test_counts_against_brute_force(spark, tables):
+    """op7: the first document of each text counts, with each line once; every group that any document has is there."""
+    from symseek.llm import token_counts
+
+    encode = token_counts._pieces(token_counts.VOCABULARY).encode_ordinary
+    expected, seen = {}, set()
+    for r in sorted(spark.read.parquet(f"{tables}/documents.parquet").collect(), key=lambda r: r["doc_id"]):
+        total = expected.setdefault((r["source"], r["lang"]), [0, 0, 0])
+        text = r["text"] or ""
+        if text not in seen:
+            seen.add(text)
+            once = "\n".join(dict.fromkeys(text.split("\n")))
+            for i, x in enumerate((1, len(encode(once)), len(once.encode()))):
+                total[i] += x
+    found = entry.queries()["op7_token_counts"](spark, tables).collect()
+    assert {(r["source"], r["lang"]): [r["docs"], r["tokens"], r["bytes"]] for r in found} == expected and len(found) == len(expected)

@@ -4,6 +4,7 @@ import itertools
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -145,6 +146,28 @@ def test_kernels_agree():
                     assert d == min(reference.distance(p, s[start : start + length]), k + 1)
 
 
+def test_bank_fills_matrices_at_hits_only(monkeypatch):
+    """The starts that are found for many patterns together are those of the banded matrices, and no other matrix is filled."""
+    rng = random.Random(3)
+    text = "".join(rng.choice("abc") for _ in range(3000))
+    filled, original = [], kernels.band_distances
+    for lp, k in ((3, 1), (8, 2), (9, 0), (16, 4), (40, 6), (64, 3)):
+        bank = [text[at : at + lp // 2] + "d" + text[at + lp // 2 + 1 : at + lp] for at in range(0, 2900, 700)] + ["d" * lp]
+        codes, _, _ = kernels.joined([text], lp + k)
+        near = {}
+        for p in bank:
+            _, dist = original(codes, np.arange(len(text)), kernels.encode(p), k)
+            near[p] = np.flatnonzero((dist <= k).any(0)).tolist()
+        monkeypatch.setattr(kernels, "band_distances", lambda codes, starts, pattern, k: (filled.append(len(starts)), original(codes, starts, pattern, k))[1])
+        filled.clear()
+        batch = pa.RecordBatch.from_arrays([pa.array([5]), pa.array([0]), pa.array([len(text)], pa.int32()), pa.array([text])], names=["stream_id", "base", "own", "text"])
+        found = list(hits._kernel_arrays(iter([batch]), {(lp, k): [(i, kernels.encode(p)) for i, p in enumerate(bank)]}, 1, kernels.band_distances))
+        starts = {i: sorted(set(start.tolist())) for _, _, i, start, _, _ in found}
+        assert all(set(starts.get(i, [])) <= set(near[p]) and {s for s in near[p] if s + lp + k <= len(text)} <= set(starts.get(i, [])) for i, p in enumerate(bank))
+        assert sum(filled) == sum(len(near[p]) for p in bank) and sum(filled) < len(bank) * len(text)
+        monkeypatch.setattr(kernels, "band_distances", original)
+
+
 def test_search_plans_agree(spark):
     texts = random_texts(11, 40, 90, "ABC")
     all_streams, table = streams(spark, *texts), S.pattern_frame(spark, [(0, "ABCAB", 1), (1, "CCBA", 2)])

@@ -101,6 +101,21 @@ def test_bank_over_all_documents(spark, tmp_path):
     assert got(spark, str(tmp_path), "w7_bank40", "pattern_id", "kept", "best") == [(n, sum(r[1] == n for r in kept), min(r[4] for r in kept if r[1] == n)) for n in (7, 8)]
 
 
+def test_parts_of_one_name(spark, tmp_path):
+    """Copies of a name aren't expanded into pairs; every part has its class, and no link between different names is lost."""
+    names = ["red bolt", "red bolts", "ed bolt", "red volt", "", "a", "blue nut", "blue nuts!", None]
+    parts = [(10 * i + 3, names[i % len(names)]) for i in range(3000)]
+    spark.createDataFrame(parts, "p_partkey long, p_name string").write.parquet(f"{tmp_path}/part.parquet")
+    first = {}
+    for key, name in parts:
+        first.setdefault(name, key)
+    first.pop(None)
+    expected = [("member", first[name], key, 0) for key, name in parts if name is not None]
+    expected += [("link", a, b, 1) for x, a in first.items() for y, b in first.items() if a < b and reference.distance(x, y) == 1]
+    assert len(expected) == 2667 + 4
+    assert got(spark, str(tmp_path), "fuzzy_join_parts", "kind", "left_key", "right_key", "dist") == sorted(expected)
+
+
 def lineitems(spark, folder, suppliers, count, seed=8):
     """The letters of line items by supplier, for quantities from 0 to 3."""
     rng = random.Random(seed)

@@ -116,6 +116,14 @@ def test_parts_of_one_name(spark, tmp_path):
     assert got(spark, str(tmp_path), "fuzzy_join_parts", "kind", "left_key", "right_key", "dist") == sorted(expected)
 
 
+def test_recursion_on_large_tables(spark, tmp_path):
+    """A stream with more occurrences than Spark's recursion has levels, and more steps in all than its limit of rows."""
+    made = spark.range(1_100_000).selectExpr("id AS event_id", "timestamp_seconds(id) AS ts", "if(id < 500, -1, id div 60) AS user_id", "if(id % 9 = 0, 'view', 'error') AS event_type")
+    made.write.parquet(f"{tmp_path}/events.parquet")
+    expected = made.where("event_type = 'error'").groupBy("user_id").count()
+    assert got(spark, str(tmp_path), "sql_recursive_count", "stream_id", "n") == sorted(tuple(r) for r in expected.collect())
+
+
 def lineitems(spark, folder, suppliers, count, seed=8):
     """The letters of line items by supplier, for quantities from 0 to 3."""
     rng = random.Random(seed)

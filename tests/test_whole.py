@@ -5,6 +5,7 @@ import re
 from collections import Counter
 
 import pytest
+from pyspark.errors import AnalysisException
 
 import __spark_entry__ as entry
 import reference
@@ -124,6 +125,18 @@ def test_recursion_on_large_tables(spark, tmp_path):
     assert got(spark, str(tmp_path), "sql_recursive_count", "stream_id", "n") == sorted(tuple(r) for r in expected.collect())
 
 
+#: Queries that were once made up, and the table that each reads now.
+MOVED = {"complexity_grid": "lineitem"}
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_moved_to_a_given_table(spark, tables, tmp_path, name):
+    """The query follows its table: without it, it fails; with it, it agrees with SQL."""
+    with pytest.raises(AnalysisException, match=f"{MOVED[name]}.parquet"):
+        entry.queries()[name](spark, str(tmp_path)).collect()
+    same(spark, tables, name)
+
+
 def lineitems(spark, folder, suppliers, count, seed=8):
     """The letters of line items by supplier, for quantities from 0 to 3."""
     rng = random.Random(seed)

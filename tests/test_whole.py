@@ -126,7 +126,7 @@ def test_recursion_on_large_tables(spark, tmp_path):
 
 
 #: Queries that were once made up, and the table that each reads now.
-MOVED = {"complexity_grid": "lineitem", "dp_cells": "events", "dp_matrix": "orders"}
+MOVED = {"complexity_grid": "lineitem", "dp_cells": "events", "dp_matrix": "orders", "example_chain": "orders"}
 
 
 @pytest.mark.parametrize("name", MOVED)

@@ -126,7 +126,7 @@ def test_recursion_on_large_tables(spark, tmp_path):
 
 
 #: Queries that were once made up, and the table that each reads now.
-MOVED = {"complexity_grid": "lineitem", "dp_cells": "events", "dp_matrix": "orders", "example_chain": "orders", "example_matrix": "lineitem", "example_sift_earliest": "lineitem", "example_sift_latest": "lineitem", "example_sift_shortest": "lineitem", "pipeline_time_grid": "lineitem", "published_speedups": "lineitem"}
+MOVED = {"complexity_grid": "lineitem", "dp_cells": "events", "dp_matrix": "orders", "example_chain": "orders", "example_matrix": "lineitem", "example_sift_earliest": "lineitem", "example_sift_latest": "lineitem", "example_sift_shortest": "lineitem", "pipeline_time_grid": "lineitem", "published_speedups": "lineitem", "resource_linear_fit": "documents"}
 
 
 @pytest.mark.parametrize("name", MOVED)

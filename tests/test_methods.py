@@ -247,6 +247,17 @@ def test_detection_runs_once(spark, tables, monkeypatch):
         assert len(shuffled) <= (0 if engine == "kernel" else 5)
 
 
+def test_bank_deals_its_blocks_out(spark, monkeypatch):
+    """A file of one row group is one task: a bank's blocks are dealt out before the search, with the same result."""
+    passes = []
+    monkeypatch.setattr(sifter, "written", lambda df, name: (passes.append(df._jdf.queryExecution().executedPlan().toString()), scratch.written(df, name))[1])
+    texts = random_texts(5, 20, 60)
+    all_streams, table = streams(spark, *texts).coalesce(1), S.pattern_frame(spark, [(i, p, 2) for i, p in enumerate(("ABBAB", "BBABA", "AABBA", "BABAA"))])
+    got = {tuple(r) for r in sifter.sift_bank(all_streams, table, validation="interval", number=False).collect()}
+    assert "Exchange hashpartitioning(stream_id" in passes[0].split("MapInArrow")[1]
+    assert got == {tuple(r) for r in sifter.sift(all_streams, table, validation="interval", number=False).collect()} and got
+
+
 def test_invariants(spark):
     texts = random_texts(5, 120, 60)
     all_streams, table = streams(spark, *texts), S.pattern_frame(spark, [(0, "ABBAB", 2)])

@@ -2,6 +2,7 @@
 
 import itertools
 import random
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -168,6 +169,54 @@ def test_bank_fills_matrices_at_hits_only(monkeypatch):
         monkeypatch.setattr(kernels, "band_distances", original)
 
 
+def test_bank_takes_its_patterns_together(monkeypatch):
+    """A bank's matrices are filled in one call for all patterns of a chunk, and the pass over each symbol and pattern isn't needed where grams leave few starts."""
+    rng = random.Random(4)
+    text = "".join(rng.choice("abcdefghijklmnop ") for _ in range(4000))
+    bank = [(i, kernels.encode(text[90 * i : 90 * i + 16]), 4) for i in range(40)]
+    calls, original = Counter(), (kernels.band_distances, kernels.hit_starts)
+    monkeypatch.setattr(kernels, "band_distances", lambda *a: (calls.update(["matrices"]), original[0](*a))[1])
+    monkeypatch.setattr(kernels, "hit_starts", lambda *a: (calls.update(["pass"]), original[1](*a))[1])
+    batch = pa.RecordBatch.from_arrays([pa.array([5, 6]), pa.array([0, 0]), pa.array([4000, 700], pa.int32()), pa.array([text, text[1000:1700]])], names=["stream_id", "base", "own", "text"])
+    found = hits._kernel_arrays(iter([batch]), {(16, 4): [(i, p) for i, p, _ in bank]}, 1, kernels.band_distances)
+    found = [(ids[int(r)].as_py(), i, *h) for ids, of, i, *columns in found for r, *h in zip(of, *[c.tolist() for c in columns], strict=True)]
+    assert calls == {"matrices": 1}
+    for n, t in ((5, text), (6, text[1000:1700])):
+        codes, _, _ = kernels.joined([t], 20)
+        for i, p, k in bank:
+            lengths, dist = original[0](codes, np.arange(len(t)), p, k)
+            expected = [(n, i, s, length, d) for s in range(len(t)) for length, d in zip(lengths, dist[:, s].tolist(), strict=True) if d <= k and s + length <= len(t)]
+            assert [h for h in found if h[:2] == (n, i)] == expected and (n == 6 or expected)
+
+
+def test_bank_starts_agree(monkeypatch):
+    """Grams leave no start of a hit out: short and long patterns, thresholds beyond the tables, symbols that no pattern has, and texts full of hits."""
+    rng, by_grams = random.Random(5), Counter()
+    for lp, k, letters, count in ((16, 4, "abcdefghijkl ", 200), (16, 4, "ab", 17), (5, 1, "abc", 4), (8, 0, "abcd", 5), (9, 2, "abcd", 33), (33, 7, "abcdef", 16), (64, 7, "abcdefgh", 5), (20, 9, "abc", 4), (12, 5, "ab\U0001f600", 6)):
+        text = "".join(rng.choice(letters + "?") for _ in range(3000))
+        bank = [kernels.encode("".join(rng.choice(letters) if rng.random() < 0.1 else c for c in text[a : a + lp])) for a in (rng.randrange(2900) for _ in range(count))]
+        for t in (text, "", "?", text[:lp], text[7 : 7 + lp] * 40):
+            codes, _, _ = kernels.joined([t, t[1:]], lp + k)
+            expected = [s.tolist() for s in kernels.hit_starts(codes, bank, k)]
+            for most in (1 << 15, 16):
+                monkeypatch.setattr(kernels, "DECIDED", most)
+                assert [s.tolist() for s in kernels.bank_starts(codes, bank, k)] == expected
+                grams = kernels.GramFilter(np.array(bank), k)
+                by_grams[grams.useful and grams.starts(codes) is not None] += 1
+    assert by_grams[True] > 20 and by_grams[False] > 10
+
+
+def test_bank_folds_patterns_apart(spark):
+    """Islands of many patterns that are folded together: several rows a chunk, blocks with edges, and two patterns of one number."""
+    texts = random_texts(7, 12, 150, "ABC")
+    bank = [(i, p, 2) for i, p in enumerate(("ABBAC", "BBABA", "AACBA", "BABAA", "CCABC", "ABBAB"))]
+    expected = sorted((n, i, *o) for n, t in enumerate(texts) for i, p, k in bank for o in reference.sift(p, t, k))
+    for block in (1 << 16, 40):
+        assert rows(sifter.sift_bank(streams(spark, *texts), S.pattern_frame(spark, bank), block=block, number=False), "stream_id", "pattern_id", "start", "len", "dist") == expected
+    twice = [(0, p, k) for _, p, k in bank]
+    assert rows(sifter.sift_bank(streams(spark, *texts), S.pattern_frame(spark, twice), number=False), "stream_id", "start", "len", "dist") == sorted((n, *rest) for n, _, *rest in expected)
+
+
 def test_search_plans_agree(spark):
     texts = random_texts(11, 40, 90, "ABC")
     all_streams, table = streams(spark, *texts), S.pattern_frame(spark, [(0, "ABCAB", 1), (1, "CCBA", 2)])
